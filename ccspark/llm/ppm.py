@@ -4,8 +4,8 @@ The context trie is a table: a node is a context of up to ``order`` bytes, its c
 are the symbols counted after it; the parent of a context is its own end. Texts are
 lower-cased (A-Z), preceded by ``order`` zero bytes and followed by one end symbol, so
 that a score is the probability of the whole text. A context with n counts of d symbols
-gives a symbol counted c times c / (n + d) and the escape d / (n + d). After an escape the
-symbols of the longer context are excluded: counts and kinds of the shorter one are taken
+gives a symbol counted c times (2c - 1) / 2n and the escape d / 2n. After an escape the
+symbols of the longer context are excluded: weights and kinds of the shorter one are taken
 without them. As every symbol of a context also stands in its parent, the excluded counts
 depend on the two contexts alone and are tabled; below order zero the symbols that never
 came are equally likely.
@@ -34,10 +34,10 @@ from ccspark.llm.common import text_of
 from ccspark.plans.store import Scratch
 
 END, SYMBOLS = 255, 256
-ORDER = 4
+ORDER = 5
 #: Shards of the trie and of the word counts; all sent at once while they fit.
 SHARDS = 16
-BROADCAST_BYTES = 384 << 20
+BROADCAST_BYTES = 320 << 20
 _MULT = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -188,11 +188,11 @@ def _key(ctx: np.ndarray, order: int) -> np.ndarray:
 
 
 class Level:
-    """All contexts of one order: for each (context, symbol) its log10 count, for each context the log10 of its
+    """All contexts of one order: for each (context, symbol) its log10 weight, for each context the log10 of its
     denominator and escape numerator, alone and of its parent without its own symbols."""
 
     def __init__(self, order: int, grams: np.ndarray, counts: np.ndarray, parent: Level | None):
-        self.order = order
+        self.order, counts = order, 2 * counts - 1
         ctx = grams >> np.uint64(8)
         starts = np.flatnonzero(np.r_[True, ctx[1:] != ctx[:-1]]) if len(ctx) else np.zeros(0, np.int64)
         self.ctx, self.grams, self.counts = ctx[starts], grams, counts
@@ -219,6 +219,7 @@ class Level:
 
     def index(self) -> None:
         self.pairs, self.contexts = HashTable(_key(self.grams, 8 + self.order)), HashTable(_key(self.ctx, self.order))
+        del self.grams, self.ctx, self.counts, self.n, self.d, self.more
 
 def levels_of(grams: np.ndarray, counts: np.ndarray, order: int, least: int, parent: Level | None) -> list[Level]:
     """Levels ``least .. order`` from counts of the longest n-grams; parent: the level below ``least``."""
@@ -278,7 +279,7 @@ class Model:
             above = np.where(known, ctx, -1)[miss]
             rem, longer = rem[miss], level
         if len(rem):
-            last = np.where(above >= 0, longer.log_base[np.maximum(above, 0)] if len(longer.ctx) else 0.0, math.log10(SYMBOLS))
+            last = np.where(above >= 0, longer.log_base[np.maximum(above, 0)] if len(longer.log_base) else 0.0, math.log10(SYMBOLS))
             out[rem] -= last
         return out
 
@@ -318,13 +319,17 @@ class Trained:
         return out
 
     def load(self, shards: list[int]) -> dict:
-        got = self.counts.where(F.col("shard").isin(shards)).select("kind", "shard", "key", "n").toArrow()
-        kind, shard, key, n = (got.column(i).to_numpy() for i in range(4))
+        own = self.counts.where(F.col("shard").isin(shards))
+        got = own.where("kind = 0").select(F.col("shard").cast("short"), "key", "n").toArrow()
+        shard, key, n = (got.column(i).to_numpy() for i in range(3))
+        del got
+        grams = {s: (key[shard == s].view(np.uint64), n[shard == s]) for s in shards}
+        got = own.where("kind = 1").select("key", F.log10(F.col("n") + F.lit(1.0)).alias("gain")).toArrow()
+        key, gain = (got.column(i).to_numpy() for i in range(2))
+        del got
         key = key.view(np.uint64)
-        grams = {s: (key[(kind == 0) & (shard == s)], n[(kind == 0) & (shard == s)]) for s in shards}
-        wkey, wn = key[kind == 1], n[kind == 1]
-        order = np.argsort(wkey)
-        return {"order": self.order, "n_shards": self.shards, "low": self.low, "grams": grams, "words": (wkey[order], np.log10(wn[order] + 1.0))}
+        order = np.argsort(key)
+        return {"order": self.order, "n_shards": self.shards, "low": self.low, "grams": grams, "words": (key[order], gain[order])}
 
 
 _models: dict[int, tuple] = {}
@@ -424,9 +429,9 @@ class Trie:
                 continue
             left = {s: c for s, c in node.items() if s not in excluded}
             if left:
-                bottom = sum(left.values()) + len(left)
+                bottom = 2 * sum(left.values())
                 if symbol in left:
-                    return total + math.log10(left[symbol] / bottom)
+                    return total + math.log10((2 * left[symbol] - 1) / bottom)
                 total += math.log10(len(left) / bottom)
             excluded = excluded | node.keys()
         return total - math.log10(SYMBOLS - len(excluded))

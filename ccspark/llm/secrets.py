@@ -8,7 +8,7 @@ holds it, and tests uniformity (chi-squared), runs about the middle of the alpha
 serial correlation. Under randomness the three p-values combine to one (Fisher). Among
 the runs of a length class, those called structured are chosen by the step-up rule at the
 class's own rate: short runs carry little evidence, so their rate is higher. The rest are
-random, and are reported as kind ``random`` where no base span lies. Ranks are counted
+random, and are reported as kind ``random`` where no base span overlaps. Ranks are counted
 over all runs of the table in bins of the logarithm of p, so the rule needs one bounded
 aggregate and no sort; its thresholds reach the rows as one scalar array.
 
@@ -137,11 +137,11 @@ def _rows(docs: DataFrame) -> DataFrame:
     t = t.withColumn("access", F.filter("access", lambda s: s["end"] - s["start"] >= 16))
     t = t.withColumn("base", F.sort_array(F.concat("assign", "access", "hex")))
     free = lambda r: ~F.exists("base", lambda b: (b["start"] < r["end"]) & (r["start"] < b["end"]))
-    t = t.withColumn("runs", F.transform(F.filter("runs", free), lambda r: F.struct(r["start"].alias("start"), r["end"].alias("end"), battery(r["value"]).alias("c"))))
-    t = t.withColumn("runs", F.transform(F.filter("runs", lambda r: r["c"]["encoding"].isNotNull()), lambda r: F.struct(r["start"].alias("start"), r["end"].alias("end"), r["c"]["encoding"].alias("encoding"), _p_values(r["c"]).alias("x"))))
+    t = t.withColumn("runs", F.transform("runs", lambda r: F.struct(r["start"].alias("start"), r["end"].alias("end"), free(r).alias("free"), battery(r["value"]).alias("c"))))
+    t = t.withColumn("runs", F.transform(F.filter("runs", lambda r: r["c"]["encoding"].isNotNull()), lambda r: F.struct(r["start"].alias("start"), r["end"].alias("end"), r["free"].alias("free"), r["c"]["encoding"].alias("encoding"), _p_values(r["c"]).alias("x"))))
     t = t.withColumn(
         "runs",
-        F.transform("runs", lambda r: F.struct(r["start"].alias("start"), r["end"].alias("end"), r["encoding"].alias("encoding"), length_class(r["x"]["n"]).alias("cls"), F.least(F.lit(BINS), F.greatest(F.lit(0), F.floor(_combined(r["x"]) / BIN)).cast("int")).alias("bin"))),
+        F.transform("runs", lambda r: F.struct(r["start"].alias("start"), r["end"].alias("end"), r["free"].alias("free"), r["encoding"].alias("encoding"), length_class(r["x"]["n"]).alias("cls"), F.least(F.lit(BINS), F.greatest(F.lit(0), F.floor(_combined(r["x"]) / BIN)).cast("int")).alias("bin"))),
     )
     return t.select("doc_id", "assign", "access", "hex", "base", "runs")
 
@@ -171,7 +171,7 @@ def scan(docs: DataFrame, scratch: Scratch | None = None) -> DataFrame:
     rows = scratch.write(_rows(docs), "rows")
     least = scratch.write(thresholds(rows), "thresholds").select("least").scalar()
     found = rows.withColumn("least", least)
-    kept = F.filter("runs", lambda r: r["bin"] < F.element_at("least", r["cls"] + 1))
+    kept = F.filter("runs", lambda r: r["free"] & (r["bin"] < F.element_at("least", r["cls"] + 1)))
     added = F.transform(kept, lambda r: F.struct(r["start"].alias("start"), F.lit(len(BASE)).alias("kind"), r["end"].alias("end")))
     base = F.transform("base", lambda s: F.struct(s["start"].alias("start"), s["kind"].alias("kind"), s["end"].alias("end")))
     count = lambda c: F.size(c).cast("long")
