@@ -115,10 +115,14 @@ def judge(docs: DataFrame, rules: Sequence[Threshold] = RULES) -> DataFrame:
 
 
 def filter_documents(docs: DataFrame, rules: Sequence[Threshold] = RULES) -> DataFrame:
-    """The rows that are kept, with their own columns: the verdict is a predicate on the row itself, no join."""
+    """The rows that are kept, with their own columns: the verdict stands on the row itself, no join.
+
+    Rows are let go by exploding an array that is null for them. As a filter the verdict would be pushed
+    below the projections that share its measures, and each measure would be computed anew for each element.
+    """
     names = list(docs.columns)
     renamed = docs.select("doc_id", "text", F.struct(*[F.col(f"`{c}`") for c in names]).alias("_row"))
-    kept = measures(renamed, "_row").where(~base_failed() & compile_rules(rules))
+    kept = measures(renamed, "_row").select(F.explode(F.when(~base_failed() & compile_rules(rules), F.array("_row"))).alias("_row"))
     return kept.select(*[F.col("_row").getField(c).alias(c) for c in names])
 
 

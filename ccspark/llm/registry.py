@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ccspark.llm import byte_bpe, chat, line_dedup, ppm, quality, secrets, simhash, substrings, url_filter
+from ccspark.llm import byte_bpe, chat, decontaminate, line_dedup, ppm, quality, secrets, simhash, substrings, url_filter
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -22,6 +22,10 @@ def op2_url_filter(spark, sf_dir):
     return url_filter.judge(_table(spark, sf_dir, "pages"))
 
 
+def op3_decontaminate(spark, sf_dir):
+    return decontaminate.leaks(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
+
+
 def op4_quality_rules(spark, sf_dir):
     return quality.judge(_table(spark, sf_dir, "documents"))
 
@@ -54,7 +58,7 @@ def op10_simhash(spark, sf_dir):
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_line_dedup, op2_url_filter, op4_quality_rules, op5_ppm_score, op6_substring_dedup, op7_byte_bpe, op8_chat_format, op9_secret_scan, op10_simhash)}
+    return {f.__name__: f for f in (op1_line_dedup, op2_url_filter, op3_decontaminate, op4_quality_rules, op5_ppm_score, op6_substring_dedup, op7_byte_bpe, op8_chat_format, op9_secret_scan, op10_simhash)}
 
 
 def oracle_sql() -> dict[str, str]:
