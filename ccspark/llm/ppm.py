@@ -41,6 +41,10 @@ BROADCAST_BYTES = 320 << 20
 _MULT = np.uint64(0x9E3779B97F4A7C15)
 
 
+#: The model that a worker process holds, by the broadcast that it was built from.
+_models: dict[int, tuple] = {}
+
+
 def held_out(doc_id: Column) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string")) % 7 == 2, F.lit(False))
 
@@ -95,12 +99,13 @@ def _end_hash() -> np.uint64:
     return np.uint64(xxhash.xxh64_intdigest(b"end of text"))
 
 
-def count_corpus(docs: DataFrame, order: int = ORDER, flush: int = 1 << 24) -> DataFrame:
+def count_corpus(docs: DataFrame, order: int = ORDER, flush: int = 1 << 22) -> DataFrame:
     """``kind, key, n``: counts of n-grams (kind 0) and of word hashes (kind 1) over the rows. Partial counts leave each task."""
 
     def work(batches):
         import pyarrow as pa
 
+        _models.clear()  # a worker that scored before makes room
         held = [(np.zeros(0, np.uint64), np.zeros(0, np.int64)) for _ in (0, 1)]
         waiting: list[list[np.ndarray]] = [[], []]
         size = 0
@@ -128,7 +133,7 @@ def count_corpus(docs: DataFrame, order: int = ORDER, flush: int = 1 << 24) -> D
             at = 0
             while at < len(texts):
                 upto, chars = at, 0
-                while upto < len(texts) and (upto == at or chars < flush // 8):
+                while upto < len(texts) and (upto == at or chars < flush // 4):
                     chars += len(texts[upto] or "")
                     upto += 1
                 buffer, first = _bytes_of(texts[at:upto], order)
@@ -138,7 +143,7 @@ def count_corpus(docs: DataFrame, order: int = ORDER, flush: int = 1 << 24) -> D
                 size += len(buffer)
                 if size > flush:
                     settle()
-                if len(held[0][0]) + len(held[1][0]) > 4_000_000:
+                if len(held[0][0]) + len(held[1][0]) > 3_000_000:
                     yield from out()
                 at = upto
         yield from out()
@@ -148,38 +153,43 @@ def count_corpus(docs: DataFrame, order: int = ORDER, flush: int = 1 << 24) -> D
 
 
 class HashTable:
-    """Open addressing over numpy arrays: unsigned 64-bit keys (never zero) to row numbers."""
+    """Open addressing over numpy arrays: unsigned 64-bit keys (never zero) to values of four bytes, three fifths full."""
 
-    def __init__(self, keys: np.ndarray, bits: int | None = None):
-        self.bits = bits or max(4, math.ceil(math.log2(max(1, len(keys)) * 2)))
-        self.keys = np.zeros(1 << self.bits, np.uint64)
-        self.rows = np.zeros(1 << self.bits, np.int32)
+    def __init__(self, keys: np.ndarray, values: np.ndarray):
+        self.size = max(16, int(len(keys) / 0.6))
+        self.keys, self.values = np.zeros(self.size, np.uint64), np.zeros(self.size, values.dtype)
+        for i in range(0, len(keys), 1 << 20):
+            self._insert(keys[i : i + (1 << 20)], values[i : i + (1 << 20)])
+
+    def _insert(self, keys: np.ndarray, values: np.ndarray) -> None:
         todo, slot = np.arange(len(keys)), self._slot(keys)
         while len(todo):
             free = self.keys[slot] == 0
             self.keys[slot[free]] = keys[todo[free]]
             won = self.keys[slot] == keys[todo]
-            self.rows[slot[won]] = todo[won]
-            todo, slot = todo[~won], (slot[~won] + 1) & ((1 << self.bits) - 1)
+            self.values[slot[won]] = values[todo[won]]
+            todo, slot = todo[~won], slot[~won] + 1
+            slot[slot == self.size] = 0
 
     def _slot(self, keys: np.ndarray) -> np.ndarray:
-        return ((keys * _MULT) >> np.uint64(64 - self.bits)).astype(np.int64)
+        return ((((keys * _MULT) >> np.uint64(32)) * np.uint64(self.size)) >> np.uint64(32)).astype(np.int64)
 
-    def find(self, keys: np.ndarray) -> np.ndarray:
-        """Row of each key, or -1."""
+    def find(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Whether each key is there, and its value."""
         slot = self._slot(keys)
         seen = self.keys[slot]
-        out = np.where(seen == keys, self.rows[slot], np.int32(-1))
-        todo = np.flatnonzero((seen != keys) & (seen != 0))
+        found, value = seen == keys, self.values[slot]
+        todo = np.flatnonzero(~found & (seen != 0))
         slot = slot[todo]
         while len(todo):
-            slot = (slot + 1) & ((1 << self.bits) - 1)
+            slot += 1
+            slot[slot == self.size] = 0
             seen = self.keys[slot]
             hit = seen == keys[todo]
-            out[todo[hit]] = self.rows[slot[hit]]
+            found[todo[hit]], value[todo[hit]] = True, self.values[slot[hit]]
             go = ~hit & (seen != 0)
             todo, slot = todo[go], slot[go]
-        return out
+        return found, value
 
 
 def _key(ctx: np.ndarray, order: int) -> np.ndarray:
@@ -209,27 +219,29 @@ class Level:
         self.more = (above_d - self.d).astype(np.int64)
         rest = (above_n - excluded).astype(np.float64)
         with np.errstate(divide="ignore"):
-            self.log_self = np.log10((self.n + self.d).astype(np.float64))
-            self.log_escape = np.log10(self.d.astype(np.float64)) - self.log_self
-            self.log_above = np.log10(np.maximum(rest + self.more, 1))
-            self.log_above_escape = np.where(self.more > 0, np.log10(np.maximum(self.more, 1).astype(np.float64)) - self.log_above, 0.0)
-            self.log_count = np.log10(counts.astype(np.float64))
+            # four bytes each: a text's score keeps six digits
+            self.log_self = np.log10((self.n + self.d).astype(np.float32))
+            self.log_escape = np.log10(self.d.astype(np.float32)) - self.log_self
+            self.log_above = np.log10(np.maximum(rest + self.more, 1)).astype(np.float32)
+            self.log_above_escape = np.where(self.more > 0, np.log10(np.maximum(self.more, 1).astype(np.float32)) - self.log_above, np.float32(0))
         # below order zero: the symbols that never came, equally likely
         self.log_base = np.log10(np.maximum(SYMBOLS - self.d, 1).astype(np.float64)) if parent is None else None
 
     def index(self) -> None:
-        self.pairs, self.contexts = HashTable(_key(self.grams, 8 + self.order)), HashTable(_key(self.ctx, self.order))
+        """Builds the tables that scoring needs, and lets go of the rest."""
+        self.pairs = HashTable(_key(self.grams, 8 + self.order), np.log10(self.counts.astype(np.float32)))
+        self.contexts = HashTable(_key(self.ctx, self.order), np.arange(len(self.ctx), dtype=np.int32))
         del self.grams, self.ctx, self.counts, self.n, self.d, self.more
 
+
 def levels_of(grams: np.ndarray, counts: np.ndarray, order: int, least: int, parent: Level | None) -> list[Level]:
     """Levels ``least .. order`` from counts of the longest n-grams; parent: the level below ``least``."""
-    table = {}
-    for j in range(order, least - 1, -1):
-        table[j] = _add(grams & np.uint64((1 << (8 * (j + 1))) - 1), counts)
     out = []
     for j in range(least, order + 1):
-        parent = Level(j, *table[j], parent)
-        out.append(parent)
+        level = Level(j, *_add(grams & np.uint64((1 << (8 * (j + 1))) - 1), counts), parent)
+        if parent is not None and parent.order > 1:
+            parent.index()
+        out.append(parent := level)
     return out
 
 
@@ -247,10 +259,13 @@ class Model:
         high = []
         if order > 1:
             merged = [np.concatenate([shards[s][i] for s in self.held]) if self.held else np.zeros(0, (np.uint64, np.int64)[i]) for i in (0, 1)]
+            shards.clear()
             high = levels_of(*merged, order, 2, self.low[1])
-        self.levels = self.low + high
-        for x in self.levels:
+            del merged
+            high[-1].index()
+        for x in self.low:
             x.index()
+        self.levels = self.low + high
 
     def log10(self, grams: np.ndarray) -> np.ndarray:
         """log10 probability of each n-gram's last byte after the rest; zero where another pass holds its shard."""
@@ -263,17 +278,15 @@ class Model:
         for level in reversed(self.levels):
             mask = np.uint64((1 << (8 * (level.order + 1))) - 1)
             g = grams[rem] & mask
-            pair = level.pairs.find(_key(g, 8 + level.order))
-            ctx = level.contexts.find(_key(g >> np.uint64(8), level.order))
-            known = ctx >= 0
+            hit, weight = level.pairs.find(_key(g, 8 + level.order))
+            known, ctx = level.contexts.find(_key(g >> np.uint64(8), level.order))
             fresh = above < 0
             bottom, gone = np.zeros(len(rem)), np.zeros(len(rem))
             a, b = known & fresh, known & ~fresh
             bottom[a], gone[a] = level.log_self[ctx[a]], level.log_escape[ctx[a]]
             if longer is not None:
                 bottom[b], gone[b] = longer.log_above[above[b]], longer.log_above_escape[above[b]]
-            hit = pair >= 0
-            out[rem[hit]] += level.log_count[pair[hit]] - bottom[hit]
+            out[rem[hit]] += weight[hit] - bottom[hit]
             miss = ~hit
             out[rem[miss]] += gone[miss]
             above = np.where(known, ctx, -1)[miss]
@@ -332,15 +345,16 @@ class Trained:
         return {"order": self.order, "n_shards": self.shards, "low": self.low, "grams": grams, "words": (key[order], gain[order])}
 
 
-_models: dict[int, tuple] = {}
-
-
 def _model(sent) -> tuple[Model, dict]:
     """Built once in each worker process for each set of shards; holds the broadcast, so that its id stays its own."""
     if id(sent) not in _models:
         _models.clear()
         v = sent.value
-        _models[id(sent)] = (sent, Model(v["order"], v["low"], v["grams"], v["n_shards"]), {"words": v["words"], "order": v["order"]})
+        words, order = v["words"], v["order"]
+        _models[id(sent)] = (sent, Model(order, v["low"], v["grams"], v["n_shards"]), {"words": words, "order": order})
+        # the counts are in the tables now; a worker that needs them again reads them from its disk
+        del v
+        sent.__dict__.pop("_value", None)
     return _models[id(sent)][1:]
 
 
