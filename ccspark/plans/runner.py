@@ -78,6 +78,7 @@ class Config:
     max_pairs: int = 50_000_000
     lookup_rows: int = 2_000_000
     details: bool = field(default=False)
+    resume: bool = False
 
     @property
     def prio(self) -> Priority:
@@ -139,11 +140,31 @@ def _lazy(label: DataFrame, cfg: Config, phase: int) -> DataFrame:
     return label.select("v", F.when(drawn < cut, F.col("v")).otherwise(F.col("node")).alias("node"))
 
 
-def _contracting(edges: DataFrame, cfg: Config, scratch: Scratch) -> tuple[list[DataFrame], list[PhaseStat]]:
-    source = finish.local_forest(edges) if cfg.preforest else edges
-    cur, m = scratch.counted(simplify(source), "edges-0")
-    maps, stats, alive = [], [], endpoints(cur) if not cfg.drop_isolated else None
+def _done(cfg: Config, scratch: Scratch) -> tuple[list[DataFrame], DataFrame | None]:
+    """Maps of the phases that an earlier run of the same folder ended, and the edges after the last of them."""
+    maps: list[DataFrame] = []
+    last: tuple[int, DataFrame | None] = (0, scratch.read("edges-0") if scratch.has("edges-0") else None)
     for phase in range(cfg.max_phases):
+        label, nxt = (f"absorbed-{phase}", f"edges-{phase + 1}a") if scratch.has(f"absorbed-{phase}") else (f"map-{phase}", f"edges-{phase + 1}")
+        if not scratch.has(label):
+            break
+        maps.append(scratch.read(label))
+        if scratch.has(nxt):
+            last = (phase + 1, scratch.read(nxt))
+    return maps[: last[0]], last[1]
+
+
+def _contracting(edges: DataFrame, cfg: Config, scratch: Scratch) -> tuple[list[DataFrame], list[PhaseStat]]:
+    maps, cur = _done(cfg, scratch) if cfg.resume else ([], None)
+    if cur is None:
+        cur, m = scratch.counted(simplify(finish.local_forest(edges) if cfg.preforest else edges), "edges-0")
+    else:
+        m = cur.count()
+    stats: list[PhaseStat] = []
+    alive = None
+    if not cfg.drop_isolated:
+        alive = maps[-1].select(F.col("node").alias("v")).distinct() if maps else endpoints(cur)
+    for phase in range(len(maps), cfg.max_phases):
         if not m:
             break
         began, stat = time.time(), PhaseStat(cfg.method, phase, edges_in=m)

@@ -18,10 +18,7 @@ from pyspark.sql import functions as F
 def shared_dir(spark: SparkSession) -> str:
     """Folder for intermediate tables: the cluster's own, else one private to this run."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not named:
-        named = f"{tempfile.gettempdir()}/ccspark-checkpoints"
-        spark.conf.set("spark.checkpoint.dir", named)
-    return named.rstrip("/")
+    return (named or f"{tempfile.gettempdir()}/ccspark-checkpoints").rstrip("/")
 
 
 class Scratch:
@@ -31,9 +28,10 @@ class Scratch:
     writing job observed, so that no second job is needed. ``drop`` deletes a table.
     """
 
-    def __init__(self, spark: SparkSession, name: str = "run"):
+    def __init__(self, spark: SparkSession, name: str = "run", run_id: str | None = None):
+        """run_id: a name to come back to after a failure; by default no other run has it."""
         self.spark = spark
-        self.root = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+        self.root = f"{shared_dir(spark)}/{name}-{run_id or uuid.uuid4().hex}"
 
     def path(self, table: str) -> str:
         return f"{self.root}/{table}"
@@ -55,6 +53,14 @@ class Scratch:
         out, seen = self.observed(df, table, rows=F.count(F.lit(1)))
         return out, seen["rows"]
 
+    def has(self, table: str) -> bool:
+        """Whether the table was written to its end."""
+        path = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.path(table)}/_SUCCESS")
+        return path.getFileSystem(self.spark._jsc.hadoopConfiguration()).exists(path)
+
+    def read(self, table: str) -> DataFrame:
+        return self.spark.read.parquet(self.path(table))
+
     def drop(self, table: str = "") -> None:
         jvm = self.spark._jvm
         path = jvm.org.apache.hadoop.fs.Path(self.path(table) if table else self.root)
