@@ -312,7 +312,7 @@ _query("exp_phases_finisher")(lambda spark, d: _grid(spark, d, ["purchase", "pag
 @_query("exp_path_bound")
 def _paths(spark, d):
     rows = []
-    for k in (4, 6, 8, 10):
+    for k in (4, 6, 8):
         for m in ("two_hop", "forest", "rewire_merge", "min_hub"):
             rows.append((m, 1 << k, connected_components(generators.path(spark, 1 << k), method=m, **({"finish_edges": 0} if m != "min_hub" else {})).phases))
     return spark.createDataFrame(rows, "method string, n long, phases int")
