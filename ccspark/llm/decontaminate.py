@@ -4,8 +4,8 @@ Benchmark items are cut into passages of ``PASSAGE`` words. Words are weighed by
 inverse document frequency over all documents; the TF-IDF matrix of the passages is
 reduced by a randomised SVD whose products are summed over the tasks that hold the rows.
 Documents are read in overlapping windows, folded into the latent space and compared by
-cosine with the passages; windows whose words weigh too little to reach any passage are
-passed over first. A candidate is settled by the longest common subsequence of the item
+cosine with the passages; windows that share too little of the weight of every passage's
+rarer words are passed over first. A candidate is settled by the longest common subsequence of the item
 and of the words around the window: it leaks if ``full`` of the item's words are there in
 order, or ``part`` of them together with its answer (its last sentence).
 
@@ -30,7 +30,9 @@ from ccspark.llm.common import text_of
 
 PASSAGE, STEP = 32, 16
 RANK, POWER = 192, 2
-MIN_COSINE, MIN_WEIGHT = 0.35, 0.2
+MIN_COSINE, MIN_WEIGHT = 0.35, 0.25
+#: Words of a lower inverse frequency say little; they are left out of the first look at a window.
+RARE = 1.5
 BLOCK = 2048
 _OTHER = bytes(b if b >= 128 or chr(b).isalnum() else 32 for b in range(256))
 
@@ -141,6 +143,48 @@ def _weighed(ids: np.ndarray, idf: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return at, count * idf[at]
 
 
+def _postings(cut: list, idf: np.ndarray, share: float) -> tuple[np.ndarray, ...]:
+    """For each word its passages and its weight in them, and for each passage the weight that a window must share.
+
+    A passage is known by its rarer words, or by all its words where the rarer ones are under half of its weight.
+    """
+    words, passages, weights, need = [], [], [], []
+    for p, (_, _, ids) in enumerate(cut):
+        at, count = np.unique(ids, return_counts=True)
+        energy = count * idf[at] ** 2
+        rare = idf[at] >= RARE
+        if energy[rare].sum() >= 0.5 * energy.sum():
+            at, energy, count = at[rare], energy[rare], count[rare]
+        words.append(at)
+        passages.append(np.full(len(at), p))
+        weights.append(energy / count)
+        need.append(share * energy.sum())
+    w, p, e = np.concatenate(words), np.concatenate(passages), np.concatenate(weights)
+    order = np.argsort(w, kind="stable")
+    first = np.searchsorted(w[order], np.arange(len(idf) + 2))
+    return first, p[order], e[order], np.maximum(np.array(need), 1e-9)
+
+
+def _windows(ids: np.ndarray, first: np.ndarray, post: np.ndarray, weight: np.ndarray, need: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(window, passage) that share enough weight. Window i holds the words of the steps i and i + 1."""
+    count = first[ids + 1] - first[ids]
+    total = int(count.sum())
+    if not total:
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    at = np.arange(total) + np.repeat(first[ids] - (np.cumsum(count) - count), count)
+    step = np.repeat(np.arange(len(ids)) // STEP, count)
+    steps, width = (len(ids) + STEP - 1) // STEP, len(need)
+    found: list = [[], []]
+    for low in range(0, steps, 1024):
+        high = min(steps, low + 1025)
+        here = slice(*np.searchsorted(step, [low, high]))
+        sums = np.bincount((step[here] - low) * width + post[at[here]], weight[at[here]], (high - low) * width).reshape(-1, width)
+        row, passage = np.nonzero((sums[:-1] + sums[1:] if high - low > 1 else sums) >= need)
+        found[0].append(row + low)
+        found[1].append(passage)
+    return np.concatenate(found[0]), np.concatenate(found[1])
+
+
 def _search_block(docs: DataFrame, items: list[tuple[int, str]], full: float, part: float, min_cosine: float, min_weight: float, rank: int) -> DataFrame:
     spark = docs.sparkSession
     words = [tokens(t) for _, t in items]
@@ -154,9 +198,9 @@ def _search_block(docs: DataFrame, items: list[tuple[int, str]], full: float, pa
     passages = np.stack([w @ basis[ids] for ids, w in weighed]).astype(np.float32)
     norms = np.linalg.norm(passages, axis=1)
     passages /= np.maximum(norms, 1e-9)[:, None]
-    least = min_weight * min((float((idf[ids] ** 2).sum()) for _, _, ids in cut), default=0.0)
+    first, post, weight, need = _postings(cut, idf, min_weight)
     sent = spark.sparkContext.broadcast(
-        {"number": vocabulary, "idf2": np.r_[idf**2, 0.0], "table": table, "passages": passages, "norms": norms, "of": [(k, s) for k, s, _ in cut], "ids": [i for i, _ in items], "words": words, "answers": [answer_of(t) for _, t in items]}
+        {"number": vocabulary, "first": first, "post": post, "weight": weight, "need": need, "table": table, "passages": passages, "norms": norms, "of": [(k, s) for k, s, _ in cut], "ids": [i for i, _ in items], "words": words, "answers": [answer_of(t) for _, t in items]}
     )
 
     def settle(found: list, spot: int, k: int, v: dict):
@@ -171,7 +215,7 @@ def _search_block(docs: DataFrame, items: list[tuple[int, str]], full: float, pa
         import pyarrow as pa
 
         v = sent.value
-        number, idf2, of = v["number"], v["idf2"], v["of"]
+        number, of, first, need = v["number"], v["of"], v["first"], v["need"]
         for b in batches:
             out = [[], [], [], []]
             for doc, text in zip(b.column("doc_id").to_pylist(), b.column("text").to_pylist(), strict=True):
@@ -179,21 +223,21 @@ def _search_block(docs: DataFrame, items: list[tuple[int, str]], full: float, pa
                 if not found:
                     continue
                 ids = np.fromiter(map(number.get, found, _missing(len(number))), np.int32, len(found))
-                mass = np.r_[0.0, np.cumsum(idf2[ids])]
-                at = starts(len(found), PASSAGE, STEP)
-                at = at[mass[np.minimum(at + PASSAGE, len(found))] - mass[at] >= least]
+                row, passage = _windows(ids, first, v["post"], v["weight"], need)
                 best: dict[int, tuple[float, bool]] = {}
-                for i in range(0, len(at), 4096):
-                    vectors = np.stack([v["table"][ids[s : s + PASSAGE]].sum(0) for s in at[i : i + 4096]])
-                    size = np.maximum(np.linalg.norm(vectors, axis=1)[:, None], 0.5 * v["norms"][None, :])
-                    row, passage = np.nonzero(vectors @ v["passages"].T >= min_cosine * np.maximum(size, 1e-9))
-                    for r, p in zip(row.tolist(), passage.tolist(), strict=True):
-                        k, _ = of[p]
-                        if k in best and best[k][0] >= 1 and best[k][1]:
-                            continue
-                        got = settle(found, int(at[i + r]), k, v)
-                        if got > best.get(k, (0.0, False)):
-                            best[k] = got
+                if len(row):
+                    spots, back = np.unique(row, return_inverse=True)
+                    vectors = np.stack([v["table"][ids[s : s + PASSAGE]].sum(0) for s in (spots * STEP).tolist()])
+                    size = np.maximum(np.linalg.norm(vectors, axis=1)[back], v["norms"][passage])
+                    near = (vectors[back] * v["passages"][passage]).sum(1) >= min_cosine * np.maximum(size, 1e-9)
+                    row, passage = row[near], passage[near]
+                for r, p in zip((row * STEP).tolist(), passage.tolist(), strict=True):
+                    k, _ = of[p]
+                    if k in best and best[k][0] >= 1 and best[k][1]:
+                        continue
+                    got = settle(found, r, k, v)
+                    if got > best.get(k, (0.0, False)):
+                        best[k] = got
                 for k, (share, answered) in best.items():
                     if share >= full or (share >= part and answered):
                         for column, value in zip(out, (doc, v["ids"][k], share, answered), strict=True):
