@@ -276,14 +276,15 @@ def _numbered(docs: DataFrame, scratch: Scratch) -> DataFrame:
 def covered(numbered: DataFrame, scratch: Scratch, length: int = LENGTH, gram: int = GRAM, crowd: int = CROWD) -> DataFrame:
     """``d, lo, hi``: byte ranges of the strings that repeat an earlier one; ranges may overlap."""
     texts = numbered.select("d", "text")
-    shared = anchor_rows(texts, length, gram, contexts=False).groupBy("h").agg(F.sum("n").alias("n")).where("n > 1").select("h")
+    # written, so that both sides of the join come straight from an exchange and a hot anchor can be split
+    shared = scratch.write(anchor_rows(texts, length, gram, contexts=False).groupBy("h").agg(F.sum("n").alias("n")).where("n > 1").select("h"), "shared")
     own = scratch.write(anchor_rows(texts, length, gram, contexts=True).join(shared, "h"), "anchors")
     groups = own.groupBy("h", "c").agg(F.min(F.struct("d", "at", "own")).alias("first"), F.count(F.lit(1)).alias("n"))
     groups = scratch.write(groups, "groups")
     # all strings of a context that is not the first of its kind
     later = own.join(groups.where("n > 1").select("h", "c", "first"), ["h", "c"]).where(F.struct("d", "at", "own") > F.col("first"))
     whole = later.select("d", (F.col("at") - F.col("own").bitwiseAND(F.lit(0xFFFF))).cast("long").alias("lo"), (F.col("at") - F.shiftright("own", 16) + length).cast("long").alias("hi"))
-    several = groups.groupBy("h").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
+    several = scratch.write(groups.groupBy("h").agg(F.count(F.lit(1)).alias("m")).where("m > 1"), "several")
     firsts = groups.join(several, "h").select("h", "m", "first.d", "first.at", "first.own")
     cut = texts.join(firsts.groupBy("d").agg(F.collect_list(F.struct("h", "m", "at", "own")).alias("a")), "d")
 
