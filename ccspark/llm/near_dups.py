@@ -9,11 +9,12 @@ the anchors of the covering code as in :mod:`ccspark.llm.simhash`, so two docume
 candidates if some word of theirs differs by one bit or less. Documents with the same
 word sequence are one from the start.
 
-Where documents meet, each home document is first paired with its two nearest members and
-with the member nearest to the anchor's majority fingerprint; these pairs are linear in
-the members and are settled by exact similarity. The components found so far then leave
+Where documents meet, each that is at home is first paired with the member nearest to the anchor's
+majority fingerprint and, unless the anchor is crowded, with its two nearest members;
+these pairs are linear in the members and are settled by exact similarity. The components found so far then leave
 only pairs between different components within ``max_bits``, all of which are settled in
-a second round: nothing is capped.
+a second round: of anchors with many members where they meet, so that only links leave
+the tasks, of others as pairs. Nothing is capped.
 
 Null or empty text: equal to other empty texts only. Texts shorter than a shingle are
 their own shingle. Repeated rows are in one group. An empty table gives no rows.
@@ -21,6 +22,8 @@ their own shingle. Repeated rows are in one group. An empty table gives no rows.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -32,6 +35,10 @@ from ccspark.plans.store import Scratch
 
 WORDS = 8
 NEAREST = 2
+#: Members of an anchor above which the first round pairs them with the middle one alone; the second round takes the rest.
+CROWD = 1024
+#: Members of an anchor above which the second round settles pairs where they meet, and below which it sends them.
+SMALL = 32
 MAX_BITS = 40
 
 
@@ -113,69 +120,160 @@ def _bits_between(x: np.ndarray, y: np.ndarray) -> np.ndarray:
     return np.bitwise_count(x ^ y).sum(1)
 
 
-def candidate_pairs(met: DataFrame, max_bits: int, first: bool) -> DataFrame:
-    """``a, b`` (a < b) from meetings with fingerprints (``anchor, rep, home, fp`` and, after the first round, ``comp``)."""
+def _groups_of(batches, names: tuple[str, ...], rows: int = 100_000) -> Iterator[list[np.ndarray]]:
+    """Columns of whole anchors from batches sorted by anchor, some ``rows`` at a time."""
+    held: list = []
+    n = 0
+    for batch in batches:
+        held.append([batch.column(c).to_numpy(zero_copy_only=False) for c in names])
+        n += batch.num_rows
+        if n > rows:
+            cols = [np.concatenate(v) for v in zip(*held, strict=True)]
+            cut = int(np.searchsorted(cols[0], cols[0][-1]))
+            if cut:
+                yield [c[:cut] for c in cols]
+            held, n = [[c[cut:] for c in cols]], len(cols[0]) - cut if cut else 0
+    if held:
+        cols = [np.concatenate(v) for v in zip(*held, strict=True)]
+        if len(cols[0]):
+            yield cols
+
+
+def _dealt(met: DataFrame, *columns: str) -> DataFrame:
+    return met.repartition("anchor").sortWithinPartitions("anchor").select("anchor", *columns)
+
+
+def first_pairs(met: DataFrame, max_bits: int) -> DataFrame:
+    """``a, b`` (a < b) from meetings with fingerprints (``anchor, rep, home, fp``): a few for each document at home."""
 
     def work(batches):
         import pyarrow as pa
 
-        for anchor, rep, home, fp, comp in _runs_mixed(batches):
+        for anchor, rep, home, fp in _groups_of(batches, ("anchor", "rep", "home", "fp")):
+            home = home.astype(bool)
             words = np.frombuffer(b"".join(fp), "<u8").reshape(-1, WORDS // 2)
             begin = np.flatnonzero(np.r_[True, anchor[1:] != anchor[:-1]])
             size = np.diff(np.r_[begin, len(anchor)])
-            out_a, out_b = [], []
-
-            def emit(x, y, rep=rep, out_a=out_a, out_b=out_b):
-                keep = rep[x] != rep[y]
-                out_a.append(np.minimum(rep[x], rep[y])[keep])
-                out_b.append(np.maximum(rep[x], rep[y])[keep])
-
-            if first:
-                for s, n in zip(begin[size > 2].tolist(), size[size > 2].tolist(), strict=True):
-                    bits = np.unpackbits(words[s : s + n].view(np.uint8), axis=1)
-                    middle = np.packbits(2 * bits.sum(0, dtype=np.int64) > n).view("<u8")
-                    pivot = s + int(np.bitwise_count(words[s : s + n] ^ middle).sum(1).argmin())
-                    x = np.arange(s, s + n)
-                    near = x[_bits_between(words[x], words[pivot][None, :]) <= max_bits]
-                    emit(near, np.full(len(near), pivot))
-            for x, y in _expand(anchor, home):
-                keep = (rep[x] != rep[y]) & (comp[x] != comp[y])
-                x, y = x[keep], y[keep]
+            left, right = [], []
+            for s, n in zip(begin[size > 2].tolist(), size[size > 2].tolist(), strict=True):
+                bits = np.unpackbits(words[s : s + n].view(np.uint8), axis=1)
+                middle = np.packbits(2 * bits.sum(0, dtype=np.int64) > n).view("<u8")
+                pivot = s + int(np.bitwise_count(words[s : s + n] ^ middle).sum(1).argmin())
+                x = s + np.flatnonzero(home[s : s + n])  # each document is at home once for each word
+                x = x[_bits_between(words[x], words[pivot][None, :]) <= max_bits]
+                left.append(x)
+                right.append(np.full(len(x), pivot))
+            rows = np.flatnonzero(np.repeat(size <= CROWD, size))
+            for x, y in _expand(anchor[rows], home[rows]) if len(rows) else ():
+                x, y = rows[x], rows[y]
                 d = _bits_between(words[x], words[y])
-                keep = d <= max_bits
+                keep = (x != y) & (d <= max_bits)
                 x, y, d = x[keep], y[keep], d[keep]
-                if first and len(x):
-                    order = np.lexsort((d, x))
-                    x, y = x[order], y[order]
-                    start = np.flatnonzero(np.r_[True, x[1:] != x[:-1]])
-                    nth = np.arange(len(x)) - np.repeat(start, np.diff(np.r_[start, len(x)]))
-                    x, y = x[nth < NEAREST], y[nth < NEAREST]
-                emit(x, y)
-            a, b = (np.concatenate(v) if v else np.zeros(0, np.int64) for v in (out_a, out_b))
-            if len(a):
-                both = np.unique(np.stack([a, b], 1), axis=0)
+                order = np.lexsort((d, x))
+                x, y = x[order], y[order]
+                start = np.flatnonzero(np.r_[True, x[1:] != x[:-1]]) if len(x) else np.zeros(0, np.int64)
+                nth = np.arange(len(x)) - np.repeat(start, np.diff(np.r_[start, len(x)]))
+                left.append(x[nth < NEAREST])
+                right.append(y[nth < NEAREST])
+            if left:
+                x, y = rep[np.concatenate(left)], rep[np.concatenate(right)]
+                both = np.unique(np.stack([np.minimum(x, y), np.maximum(x, y)], 1)[x != y], axis=0)
                 yield pa.RecordBatch.from_arrays([pa.array(both[:, 0].copy()), pa.array(both[:, 1].copy())], names=["a", "b"])
 
-    def _runs_mixed(batches):
-        """Whole anchors from sorted batches, some 100,000 rows at a time."""
-        held: list = []
-        n = 0
-        for batch in batches:
-            held.append([batch.column(c).to_numpy(zero_copy_only=False) for c in ("anchor", "rep", "home", "fp", "comp")])
-            n += batch.num_rows
-            if n > 100_000:
-                cols = [np.concatenate(v) for v in zip(*held, strict=True)]
-                cut = int(np.searchsorted(cols[0], cols[0][-1]))
-                if cut:
-                    yield [c[:cut] if i != 2 else c[:cut].astype(bool) for i, c in enumerate(cols)]
-                held = [[c[cut:] for c in cols]]
-                n = len(cols[0]) - cut if cut else 0
-        if held:
-            cols = [np.concatenate(v) for v in zip(*held, strict=True)]
-            if len(cols[0]):
-                yield [c if i != 2 else c.astype(bool) for i, c in enumerate(cols)]
+    return _dealt(met, "rep", "home", "fp").mapInArrow(work, "a long, b long").distinct()
+
+
+def second_round(met: DataFrame, max_bits: int) -> DataFrame:
+    """Pairs of different components (``kind`` 0: a, b), or for anchors of over ``SMALL`` members those members that are
+    in such a pair (``kind`` 1: a the anchor, b the document, ``home``): as many rows as members, not as pairs."""
+
+    def work(batches):
+        import pyarrow as pa
+
+        for anchor, rep, home, fp, comp in _groups_of(batches, ("anchor", "rep", "home", "fp", "comp")):
+            home = home.astype(bool)
+            words = np.frombuffer(b"".join(fp), "<u8").reshape(-1, WORDS // 2)
+            begin = np.flatnonzero(np.r_[True, anchor[1:] != anchor[:-1]])
+            size = np.repeat(np.diff(np.r_[begin, len(anchor)]), np.diff(np.r_[begin, len(anchor)]))
+            part = np.zeros(len(anchor), bool)
+            pairs = []
+            for x, y in _expand(anchor, home):
+                keep = comp[x] != comp[y]
+                x, y = x[keep], y[keep]
+                keep = _bits_between(words[x], words[y]) <= max_bits
+                x, y = x[keep], y[keep]
+                crowd = size[x] > SMALL
+                part[x[crowd]] = part[y[crowd]] = True
+                pairs.append(np.stack([np.minimum(rep[x], rep[y]), np.maximum(rep[x], rep[y])], 1)[~crowd])
+            both = np.unique(np.concatenate(pairs), axis=0) if pairs else np.zeros((0, 2), np.int64)
+            at = np.flatnonzero(part)
+            kind = np.r_[np.zeros(len(both), np.int32), np.ones(len(at), np.int32)]
+            if len(kind):
+                yield pa.RecordBatch.from_arrays([pa.array(kind), pa.array(np.r_[both[:, 0], anchor[at]]), pa.array(np.r_[both[:, 1], rep[at]]), pa.array(np.r_[np.zeros(len(both), bool), home[at]])], names=["kind", "a", "b", "home"])
+
+    return _dealt(met, "rep", "home", "fp", "comp").mapInArrow(work, "kind int, a long, b long, home boolean")
+
+
+def gram_rows(texts: DataFrame, shingle: int) -> DataFrame:
+    """``rep, grams``: hashes of the distinct word runs of each text."""
+
+    def work(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            grams = [[hash_ - (1 << 63) for hash_ in _gram_hashes(t, shingle)] for t in b.column("text").to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column("rep"), pa.array(grams, pa.list_(pa.int64()))], names=["rep", "grams"])
+
+    return texts.select("rep", "text").mapInArrow(work, "rep long, grams array<long>")
+
+
+def _gram_hashes(text: str, shingle: int) -> set[int]:
+    import xxhash
+
+    return {xxhash.xxh3_64_intdigest(b" ".join(g)) for g in shingle_set(text, shingle)}
+
+
+def links_between(met: DataFrame, max_bits: int, min_similarity: float) -> DataFrame:
+    """``src, dst``: links between different components, from meetings with ``comp`` and ``grams`` besides.
+
+    All pairs of different components are settled where they meet, by the exact similarity of their word runs; only
+    links leave the task, at most one less than the components of an anchor.
+    """
+
+    def settle(words, home, comp, grams) -> Iterator[tuple[int, int]]:
+        up: dict[int, int] = {}
+
+        def root(x):
+            while up.setdefault(x, x) != x:
+                x = up[x]
+            return x
+
+        sets = [set(g.tolist()) for g in grams]
+        size = np.array([len(g) for g in sets])
+        for x in np.flatnonzero(home).tolist():
+            near = np.flatnonzero((comp != comp[x]) & (size >= min_similarity * size[x]) & (min_similarity * size <= size[x]))
+            near = near[_bits_between(words[near], words[x][None, :]) <= max_bits]
+            for y in near.tolist():
+                a, b = root(comp[x]), root(comp[y])
+                if a != b:
+                    common = len(sets[x] & sets[y])
+                    if common >= min_similarity * (len(sets[x]) + len(sets[y]) - common):
+                        up[b] = a
+                        yield x, y
+
+    def work(batches):
+        import pyarrow as pa
+
+        for anchor, rep, home, fp, comp, grams in _groups_of(batches, ("anchor", "rep", "home", "fp", "comp", "grams"), 20_000):
+            words = np.frombuffer(b"".join(fp), "<u8").reshape(-1, WORDS // 2)
+            begin = np.flatnonzero(np.r_[True, anchor[1:] != anchor[:-1]])
+            out = []
+            for s, e in zip(begin.tolist(), np.r_[begin[1:], len(anchor)].tolist(), strict=True):
+                out += [(int(rep[s + x]), int(rep[s + y])) for x, y in settle(words[s:e], home[s:e].astype(bool), comp[s:e], grams[s:e])]
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], pa.int64()) for i in (0, 1)], names=["src", "dst"])
 
-    return met.repartition("anchor").sortWithinPartitions("anchor").select("anchor", "rep", "home", "fp", "comp").mapInArrow(work, "a long, b long").distinct()
+    return _dealt(met, "rep", "home", "fp", "comp", "grams").mapInArrow(work, "src long, dst long")
 
 
 def shingle_set(text: str, shingle: int) -> set:
@@ -218,13 +316,19 @@ def groups(docs: DataFrame, shingle: int = 5, min_similarity: float = 0.8, max_b
     texts = known.select(F.col("doc_id").cast("long").alias("rep"), text_of().alias("text")).join(met.select("rep").distinct(), "rep", "left_semi").dropDuplicates(["rep"])
     texts = scratch.write(texts, "texts")
     held = met.join(reps, "rep")
-    pairs = scratch.write(candidate_pairs(held.withColumn("comp", F.col("rep")), max_bits, True), "pairs-1")
+    pairs = scratch.write(first_pairs(held, max_bits), "pairs")
     links = scratch.write(settled(pairs, texts, shingle, min_similarity), "links-1")
     found = connected_components(links, finish_edges=200_000, scratch=Scratch(spark, "near-dups-cc")).assignment
     named = found.select(F.col("vertex").alias("rep"), F.col("component").alias("c"))
-    again = held.join(named, "rep", "left").select("anchor", "rep", "home", "fp", F.coalesce("c", "rep").alias("comp"))
-    rest = candidate_pairs(again, max_bits, False).join(pairs, ["a", "b"], "left_anti")
-    links2 = scratch.write(settled(rest, texts, shingle, min_similarity), "links-2")
+    again = scratch.write(held.join(named, "rep", "left").select("anchor", "rep", "home", "fp", F.coalesce("c", "rep").alias("comp")), "again")
+    open_ = again.groupBy("anchor").agg((F.min("comp") != F.max("comp")).alias("open")).where("open").select("anchor")
+    rest = scratch.write(second_round(again.join(open_, "anchor", "left_semi"), max_bits), "rest")
+    few = rest.where("kind = 0").select("a", "b").distinct().join(pairs, ["a", "b"], "left_anti")
+    many = rest.where("kind = 1").select(F.col("a").alias("anchor"), F.col("b").alias("rep"), "home")
+    grams = gram_rows(texts.join(many.select("rep").distinct(), "rep", "left_semi"), shingle)
+    known_ = reps.join(named, "rep", "left").select("rep", "fp", F.coalesce("c", "rep").alias("comp"))
+    links2 = settled(few, texts, shingle, min_similarity).unionByName(links_between(many.join(known_, "rep").join(grams, "rep"), max_bits, min_similarity))
+    links2 = scratch.write(links2, "links-2")
     found = connected_components(links.unionByName(links2), finish_edges=200_000, scratch=Scratch(spark, "near-dups-cc")).assignment
     comps = kinds.join(found.withColumnRenamed("vertex", "rep"), "rep", "left").select("k1", "k2", F.coalesce("component", "rep").alias("component_id"))
     return marks.join(comps, ["k1", "k2"]).select("doc_id", "component_id")
