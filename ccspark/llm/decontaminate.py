@@ -3,11 +3,11 @@
 Benchmark items are cut into passages of ``PASSAGE`` words. Words are weighed by their
 inverse document frequency over all documents; the TF-IDF matrix of the passages is
 reduced by a randomised SVD whose products are summed over the tasks that hold the rows.
-Documents are read in overlapping windows, folded into the latent space and compared by
-cosine with the passages; windows that share too little of the weight of every passage's
-rarer words are passed over first. A candidate is settled by the longest common subsequence of the item
-and of the words around the window: it leaks if ``full`` of the item's words are there in
-order, or ``part`` of them together with its answer (its last sentence).
+Documents are read at a spot every ``STEP`` words. Around a spot an item leaks if ``full`` of its words are there in
+order (longest common subsequence), or ``part`` of them together with its answer (its last
+sentence). A document or spot is passed over only if it has too few of the item's words
+to meet this in any order, which loses nothing; the spots left are taken by the cosine of
+their words, folded into the latent space, with the passages, so the best comes first.
 
 The benchmark is a stated query set: it is taken in blocks of ``block`` items, each with
 its own vocabulary and space, and each block reads all documents. What is sent to the
@@ -30,9 +30,6 @@ from ccspark.llm.common import text_of
 
 PASSAGE, STEP = 32, 16
 RANK, POWER = 192, 2
-MIN_COSINE, MIN_WEIGHT = 0.35, 0.25
-#: Words of a lower inverse frequency say little; they are left out of the first look at a window.
-RARE = 1.5
 BLOCK = 2048
 _OTHER = bytes(b if b >= 128 or chr(b).isalnum() else 32 for b in range(256))
 
@@ -143,49 +140,37 @@ def _weighed(ids: np.ndarray, idf: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return at, count * idf[at]
 
 
-def _postings(cut: list, idf: np.ndarray, share: float) -> tuple[np.ndarray, ...]:
-    """For each word its passages and its weight in them, and for each passage the weight that a window must share.
+def _counted(lists: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct words of each list with their counts, one list after another, and where each begins."""
+    each = [np.unique(ids, return_counts=True) for ids in lists]
+    begin = np.cumsum([0] + [len(w) for w, _ in each])
+    return np.concatenate([w for w, _ in each]), np.concatenate([c for _, c in each]), begin
 
-    A passage is known by its rarer words, or by all its words where the rarer ones are under half of its weight.
+
+def _regions(ids: np.ndarray, word: np.ndarray, count: np.ndarray, told: np.ndarray, reach: int) -> tuple[np.ndarray, ...]:
+    """The item's words in a text, and for each spot where they begin and end around it and how many of the item's and of
+    its answer's words they can be at most: as many as each word comes, in any order. Spots alike in this are one.
+
+    word, count: the item's distinct words in order, with their counts; told: the counts in its answer.
     """
-    words, passages, weights, need = [], [], [], []
-    for p, (_, _, ids) in enumerate(cut):
-        at, count = np.unique(ids, return_counts=True)
-        energy = count * idf[at] ** 2
-        rare = idf[at] >= RARE
-        if energy[rare].sum() >= 0.5 * energy.sum():
-            at, energy, count = at[rare], energy[rare], count[rare]
-        words.append(at)
-        passages.append(np.full(len(at), p))
-        weights.append(energy / count)
-        need.append(share * energy.sum())
-    w, p, e = np.concatenate(words), np.concatenate(passages), np.concatenate(weights)
-    order = np.argsort(w, kind="stable")
-    first = np.searchsorted(w[order], np.arange(len(idf) + 2))
-    return first, p[order], e[order], np.maximum(np.array(need), 1e-9)
-
-
-def _windows(ids: np.ndarray, first: np.ndarray, post: np.ndarray, weight: np.ndarray, need: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(window, passage) that share enough weight. Window i holds the words of the steps i and i + 1."""
-    count = first[ids + 1] - first[ids]
-    total = int(count.sum())
-    if not total:
-        return np.zeros(0, np.int64), np.zeros(0, np.int64)
-    at = np.arange(total) + np.repeat(first[ids] - (np.cumsum(count) - count), count)
-    step = np.repeat(np.arange(len(ids)) // STEP, count)
-    steps, width = (len(ids) + STEP - 1) // STEP, len(need)
-    found: list = [[], []]
-    for low in range(0, steps, 1024):
-        high = min(steps, low + 1025)
-        here = slice(*np.searchsorted(step, [low, high]))
-        sums = np.bincount((step[here] - low) * width + post[at[here]], weight[at[here]], (high - low) * width).reshape(-1, width)
-        row, passage = np.nonzero((sums[:-1] + sums[1:] if high - low > 1 else sums) >= need)
-        found[0].append(row + low)
-        found[1].append(passage)
-    return np.concatenate(found[0]), np.concatenate(found[1])
-
-
-def _search_block(docs: DataFrame, items: list[tuple[int, str]], full: float, part: float, min_cosine: float, min_weight: float, rank: int) -> DataFrame:
+    at = np.minimum(np.searchsorted(word, ids), len(word) - 1)
+    place = np.flatnonzero(word[at] == ids)
+    spots = np.arange(max(1, -(-len(ids) // STEP) - 1)) * STEP
+    low, high = np.searchsorted(place, spots - reach), np.searchsorted(place, spots + PASSAGE + reach)
+    fresh = np.r_[True, (np.diff(low) != 0) | (np.diff(high) != 0)]
+    spots, low, high = spots[fresh], low[fresh], high[fresh]
+    most, answer = np.zeros(len(spots), np.int64), np.zeros(len(spots), np.int64)
+    for i in range(0, len(spots), 1024):
+        part, start, end = slice(i, i + 1024), low[i], high[min(i + 1024, len(spots)) - 1]
+        sums = np.zeros((end - start + 1, len(word)), np.int32)
+        sums[np.arange(1, end - start + 1), at[place[start:end]]] = 1
+        np.cumsum(sums, axis=0, out=sums)
+        here = sums[high[part] - start] - sums[low[part] - start]
+        most[part], answer[part] = np.minimum(here, count).sum(1), np.minimum(here, told).sum(1)
+    return place, spots, low, high, most, answer
+
+
+def _search_block(docs: DataFrame, items: list[tuple[int, str]], full: float, part: float, rank: int) -> DataFrame:
     spark = docs.sparkSession
     words = [tokens(t) for _, t in items]
     vocabulary = {w: i for i, w in enumerate(sorted({w for x in words for w in x}))}
@@ -198,24 +183,44 @@ def _search_block(docs: DataFrame, items: list[tuple[int, str]], full: float, pa
     passages = np.stack([w @ basis[ids] for ids, w in weighed]).astype(np.float32)
     norms = np.linalg.norm(passages, axis=1)
     passages /= np.maximum(norms, 1e-9)[:, None]
-    first, post, weight, need = _postings(cut, idf, min_weight)
+    of = np.array([k for k, _, _ in cut])
+    numbered = [np.array([vocabulary[w] for w in x]) for x in words]
+    answers = [np.array([vocabulary[w] for w in answer_of(t)]) for _, t in items]
     sent = spark.sparkContext.broadcast(
-        {"number": vocabulary, "first": first, "post": post, "weight": weight, "need": need, "table": table, "passages": passages, "norms": norms, "of": [(k, s) for k, s, _ in cut], "ids": [i for i, _ in items], "words": words, "answers": [answer_of(t) for _, t in items]}
+        {"number": vocabulary, "table": table, "of": [passages[of == k] for k in range(len(items))], "ids": [i for i, _ in items], "items": numbered, "answers": answers, "words": _counted(numbered), "told": _counted(answers)}
     )
 
-    def settle(found: list, spot: int, k: int, v: dict):
-        """The best common subsequence around a window: share of the item, and whether the answer is there."""
-        item, answer = v["words"][k], v["answers"][k]
-        reach = len(item) + len(item) // 2
-        around = found[max(0, spot - reach) : spot + PASSAGE + reach]
-        share = common_length(item, around) / len(item)
-        return share, common_length(answer, around) >= 0.8 * len(answer)
+    def settle(ids: np.ndarray, k: int, v: dict) -> tuple[float, bool]:
+        """The best common subsequence around a spot: share of the item, and whether the answer is there.
+
+        Spots are taken in the order of their cosine with the item's passages; one is passed over only if its words,
+        in whatever order, cannot meet the rule or be better than what was found.
+        """
+        item, answer = v["items"][k].tolist(), v["answers"][k].tolist()
+        words, counts, begin = v["words"]
+        word, count = words[begin[k] : begin[k + 1]], counts[begin[k] : begin[k + 1]]
+        told = np.bincount(np.searchsorted(word, v["answers"][k]), minlength=len(word))
+        place, spots, low, high, most, share_of_answer = _regions(ids, word, count, told, len(item) + len(item) // 2)
+        most, can = most / len(item), share_of_answer >= 0.8 * len(answer)
+        open_ = np.flatnonzero((most >= full) | ((most >= part) & can))
+        best = (0.0, False)
+        if len(open_) > 1:
+            vectors = np.stack([v["table"][ids[s : s + PASSAGE]].sum(0) for s in spots[open_].tolist()])
+            near = (vectors @ v["of"][k].T).max(1) / np.maximum(np.linalg.norm(vectors, axis=1), 1e-9)
+            open_ = open_[np.argsort(-near, kind="stable")]
+        for i in open_.tolist():
+            if (most[i], bool(can[i])) > best:
+                around = ids[place[low[i] : high[i]]].tolist()
+                got = common_length(item, around) / len(item), common_length(answer, around) >= 0.8 * len(answer)
+                best = max(best, got)
+        return best
 
     def work(batches):
         import pyarrow as pa
 
         v = sent.value
-        number, of, first, need = v["number"], v["of"], v["first"], v["need"]
+        number, (words, counts, begin), (told, times, start) = v["number"], v["words"], v["told"]
+        size, size_of_answer = np.array([len(x) for x in v["items"]]), np.array([len(x) for x in v["answers"]])
         for b in batches:
             out = [[], [], [], []]
             for doc, text in zip(b.column("doc_id").to_pylist(), b.column("text").to_pylist(), strict=True):
@@ -223,22 +228,11 @@ def _search_block(docs: DataFrame, items: list[tuple[int, str]], full: float, pa
                 if not found:
                     continue
                 ids = np.fromiter(map(number.get, found, _missing(len(number))), np.int32, len(found))
-                row, passage = _windows(ids, first, v["post"], v["weight"], need)
-                best: dict[int, tuple[float, bool]] = {}
-                if len(row):
-                    spots, back = np.unique(row, return_inverse=True)
-                    vectors = np.stack([v["table"][ids[s : s + PASSAGE]].sum(0) for s in (spots * STEP).tolist()])
-                    size = np.maximum(np.linalg.norm(vectors, axis=1)[back], v["norms"][passage])
-                    near = (vectors[back] * v["passages"][passage]).sum(1) >= min_cosine * np.maximum(size, 1e-9)
-                    row, passage = row[near], passage[near]
-                for r, p in zip((row * STEP).tolist(), passage.tolist(), strict=True):
-                    k, _ = of[p]
-                    if k in best and best[k][0] >= 1 and best[k][1]:
-                        continue
-                    got = settle(found, r, k, v)
-                    if got > best.get(k, (0.0, False)):
-                        best[k] = got
-                for k, (share, answered) in best.items():
+                here = np.bincount(ids, minlength=len(number) + 1)
+                most = np.add.reduceat(np.minimum(here[words], counts), begin[:-1]) / size
+                can = np.add.reduceat(np.minimum(here[told], times), start[:-1]) >= 0.8 * size_of_answer
+                for k in np.flatnonzero((most >= full) | ((most >= part) & can)).tolist():
+                    share, answered = settle(ids, k, v)
                     if share >= full or (share >= part and answered):
                         for column, value in zip(out, (doc, v["ids"][k], share, answered), strict=True):
                             column.append(value)
@@ -247,7 +241,7 @@ def _search_block(docs: DataFrame, items: list[tuple[int, str]], full: float, pa
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text")).mapInArrow(work, "doc_id long, item_id long, lcs_share double, answer_found boolean")
 
 
-def leaks(docs: DataFrame, benchmark: DataFrame, full: float = 0.8, part: float = 0.5, min_words: int = 8, min_cosine: float = MIN_COSINE, min_weight: float = MIN_WEIGHT, rank: int = RANK, block: int = BLOCK) -> DataFrame:
+def leaks(docs: DataFrame, benchmark: DataFrame, full: float = 0.8, part: float = 0.5, min_words: int = 8, rank: int = RANK, block: int = BLOCK) -> DataFrame:
     """``doc_id, item_id, lcs_share, answer_found``: documents that hold a benchmark item, with the share of its words there in order."""
     texts = docs.select("doc_id", text_of().alias("text"))
     out: list[DataFrame] = []
@@ -255,11 +249,11 @@ def leaks(docs: DataFrame, benchmark: DataFrame, full: float = 0.8, part: float
 
     def flush():
         if held:
-            out.append(_search_block(texts, list(held), full, part, min_cosine, min_weight, rank))
+            out.append(_search_block(texts, list(held), full, part, rank))
             held.clear()
 
     for r in benchmark.where("text is not null and item_id is not null").select("item_id", "text").dropDuplicates().toLocalIterator():
-        if len(tokens(r["text"])) >= min_words:
+        if len(tokens(r["text"])) >= max(1, min_words):
             held.append((r["item_id"], r["text"]))
         if len(held) >= block:
             flush()

@@ -339,6 +339,39 @@ def test_leaks_and_clean_documents(spark):
     assert decontaminate.leaks(frame(spark, []), benchmark).count() == 0
 
 
+@pytest.mark.parametrize("changed", ["rare", "rare gone", "any"])
+def test_leaks_with_changed_words_equal_brute_force(spark, changed):
+    """Items with their rarer words changed or left out, or any half of the words before the answer."""
+    rng = random.Random(5)
+    vocab = ["".join(rng.choice("abcdefghijklmnop") for _ in range(rng.randrange(2, 9))) for _ in range(800)]
+    weight = [1 / (i + 1) for i in range(len(vocab))]
+    text = lambda n: " ".join(rng.choices(vocab, weight, k=n))
+    items = [(i, text(30) + ". " + text(8) + ".") for i in range(30)]
+    rank = {w: i for i, w in reversed(list(enumerate(vocab)))}
+    docs = [(i, text(200)) for i in range(30)]
+    for i, item in items:
+        words = item.replace(".", "").split()
+        head = range(len(words) - 8)
+        at = sorted(head, key=lambda k: -rank[words[k]])[:8] if changed != "any" else rng.sample(head, 15)
+        words = [f"new{i}x{k}" if k in at and changed != "rare gone" else w for k, w in enumerate(words) if k not in at or changed != "rare gone"]
+        docs.append((100 + i, text(70) + " " + " ".join(words) + " " + text(70)))
+    truth = {}
+    for d, t in docs:
+        found = decontaminate.tokens(t)
+        for i, item in items:
+            words, answer = decontaminate.tokens(item), decontaminate.answer_of(item)
+            reach = len(words) * 3 // 2
+            for s in range(0, max(1, len(found) - 16), 16):
+                around = found[max(0, s - reach) : s + 32 + reach]
+                share = decontaminate.common_length(words, around) / len(words)
+                answered = decontaminate.common_length(answer, around) >= 0.8 * len(answer)
+                if share >= 0.8 or (share >= 0.5 and answered):
+                    truth[d, i] = max(truth.get((d, i), 0), share)
+    assert {(100 + i, i) for i, _ in items} <= set(truth)
+    got = decontaminate.leaks(frame(spark, docs), spark.createDataFrame(items, "item_id long, text string")).collect()
+    assert {(r.doc_id, r.item_id): r.lcs_share for r in got} == truth
+
+
 def test_common_subsequence():
     rng = random.Random(1)
     for _ in range(50):
