@@ -3,10 +3,10 @@
 Two documents are linked if their sets of ``shingle``-word runs have a Jaccard similarity
 of ``min_similarity`` or more; groups are the components of the links.
 
-Candidates: a fingerprint of ``WORDS`` words of 32 bits over the document's words, long
+Most links are found cheaply by a fingerprint of ``WORDS`` words of 32 bits over the document's words, long
 words weighing more (they tell texts apart, short ones hardly do). Each word is dealt to
-the anchors of the covering code as in :mod:`ccspark.llm.simhash`, so two documents are
-candidates if some word of theirs differs by one bit or less. Documents with the same
+the anchors of the covering code as in :mod:`ccspark.llm.simhash`, so two documents meet
+if some word of theirs differs by one bit or less. Documents with the same
 word sequence are one from the start.
 
 Where documents meet, each that is at home is first paired with the member nearest to the anchor's
@@ -14,7 +14,14 @@ majority fingerprint and, unless the anchor is crowded, with its two nearest mem
 these pairs are linear in the members and are settled by exact similarity. The components found so far then leave
 only pairs between different components within ``max_bits``, all of which are settled in
 a second round: of anchors with many members where they meet, so that only links leave
-the tasks, of others as pairs. Nothing is capped.
+the tasks, of others as pairs.
+
+Fingerprints miss edits of whole blocks, so a third round finds every link that is left between
+different components. Two sets with Jaccard similarity ``t`` share ``k`` of the first ``n - ceil(t n) + k`` of
+their ``n`` runs in any one order, here the rarer ones of a sample first. Where such runs meet, a pair is passed over only if
+it shares fewer, or if
+its sizes, its places in the order or the differing bits of its parities (each run flips one bit, so at most
+as many bits differ as runs do) exclude the similarity. Nothing is capped.
 
 Null or empty text: equal to other empty texts only. Texts shorter than a shingle are
 their own shingle. Repeated rows are in one group. An empty table gives no rows.
@@ -40,6 +47,10 @@ CROWD = 1024
 #: Members of an anchor above which the second round settles pairs where they meet, and below which it sends them.
 SMALL = 32
 MAX_BITS = 40
+#: Bits of the parity of a set of word runs.
+PARITY = 1024
+#: Documents read to tell frequent word runs from rare ones, and how many of these are told to the tasks.
+SAMPLE, FREQUENT = 8192, 1 << 17
 
 
 def _spread(digests: bytes, n: int) -> np.ndarray:
@@ -54,34 +65,95 @@ def _spread(digests: bytes, n: int) -> np.ndarray:
     return out.view(np.uint8).reshape(n, WORDS * 4)
 
 
-def wide_fingerprint(words: list[bytes]) -> bytes:
+def _digests(words: list[bytes]) -> bytes:
     import xxhash
 
-    bits = np.unpackbits(_spread(b"".join(map(xxhash.xxh3_128_digest, words)), len(words)), axis=1, bitorder="little")
+    return b"".join(map(xxhash.xxh3_128_digest, words))
+
+
+def wide_fingerprint(words: list[bytes], digests: bytes | None = None) -> bytes:
+    bits = np.unpackbits(_spread(_digests(words) if digests is None else digests, len(words)), axis=1, bitorder="little")
     weight = np.maximum(np.fromiter(map(len, words), np.float32, len(words)) - 3, 0)
     if not weight.any():
         weight += 1
     return np.packbits(2 * (weight @ bits.astype(np.float32)) > weight.sum(), bitorder="little").tobytes()
 
 
-def sketches(docs: DataFrame) -> DataFrame:
-    """``doc_id, k1, k2, fp``: digest of the word sequence and the wide fingerprint (null without words)."""
+def run_hashes(digests: bytes, shingle: int) -> np.ndarray:
+    """The distinct word runs of a text from its words' digests, as sorted hashes; a text shorter than a run is one."""
+    word = np.frombuffer(digests, "<u8")[::2]
+    span = min(shingle, len(word))
+    out = np.zeros(len(word) - span + 1, np.uint64)
+    with np.errstate(over="ignore"):
+        for i in range(span):
+            out = (out ^ (out >> np.uint64(31))) * np.uint64(0x9E3779B97F4A7C15) + word[i : len(word) - span + 1 + i]
+        out = (out ^ (out >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93)
+    return np.unique(out ^ (out >> np.uint64(32)))
+
+
+def parity(runs: np.ndarray) -> bytes:
+    return np.packbits(np.bincount((runs >> np.uint64(16)) % np.uint64(PARITY), minlength=PARITY) & 1).tobytes()
+
+
+def least_shared(size, min_similarity: float):
+    """First runs that a set of this size shares with any similar one: one in forty of its runs and one more, if so many are alike."""
+    return np.minimum(1 + size // 40, np.ceil(min_similarity * size - 1e-9).astype(np.int64))
+
+
+def prefix(runs: np.ndarray, frequent: np.ndarray, times: np.ndarray, min_similarity: float) -> np.ndarray:
+    """The first runs in the common order (rarer ones first), of which two similar sets share the lesser of their ``least_shared``."""
+    at = np.minimum(np.searchsorted(frequent, runs), len(frequent) - 1)
+    count = np.where(frequent[at] == runs, times[at], 0)
+    n = len(runs)
+    return runs[np.lexsort((runs, count))][: n - int(np.ceil(min_similarity * n - 1e-9)) + int(least_shared(n, min_similarity))]
+
+
+def frequent_runs(docs: DataFrame, shingle: int) -> tuple[np.ndarray, np.ndarray]:
+    """Word runs that come more than once in a sample of the documents, sorted, and how often. They only set an order."""
+
+    def work(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            runs = [run_hashes(_digests(w), shingle) for w in (t.encode().lower().split() for t in b.column("text").to_pylist()) if w]
+            if runs:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(runs).view(np.int64))], names=["run"])
+
+    every = max(1, docs.count() // SAMPLE)
+    some = docs.select(text_of().alias("text")).where(F.pmod(F.xxhash64("text"), F.lit(every)) == 0).mapInArrow(work, "run long")
+    got = some.groupBy("run").agg(F.count("*").alias("n")).where("n > 1").orderBy(F.desc("n"), "run").limit(FREQUENT).toArrow()
+    runs, times = got.column("run").to_numpy().view(np.uint64), got.column("n").to_numpy()
+    order = np.argsort(runs)
+    return np.r_[runs[order], np.uint64(0xFFFFFFFFFFFFFFFF)], np.r_[times[order], 0]
+
+
+def sketches(docs: DataFrame, shingle: int = 5, min_similarity: float = 0.8) -> DataFrame:
+    """``doc_id, k1, k2, fp, runs, size, parity``: digest of the word sequence, the wide fingerprint, the first word runs
+    in the common order, their whole number and parity (null without words)."""
+    sent = docs.sparkSession.sparkContext.broadcast(frequent_runs(docs, shingle))
 
     def work(batches):
         import pyarrow as pa
         import xxhash
 
         for b in batches:
-            k1, k2, fps = [], [], []
+            k1, k2, rest = [], [], []
             for text in b.column("text").to_pylist():
                 words = text.encode().lower().split()
                 k = xxhash.xxh3_128_intdigest(b" ".join(words))
                 k1.append((k >> 64) - (1 << 63))
                 k2.append((k & ((1 << 64) - 1)) - (1 << 63))
-                fps.append(wide_fingerprint(words) if words else None)
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(k1, pa.int64()), pa.array(k2, pa.int64()), pa.array(fps, pa.binary())], names=["doc_id", "k1", "k2", "fp"])
+                if words:
+                    digests = _digests(words)
+                    runs = run_hashes(digests, shingle)
+                    rest.append((wide_fingerprint(words, digests), prefix(runs, *sent.value, min_similarity).view(np.int64), len(runs), parity(runs)))
+                else:
+                    rest.append((None,) * 4)
+            columns = [pa.array([r[i] for r in rest], t) for i, t in enumerate((pa.binary(), pa.list_(pa.int64()), pa.int32(), pa.binary()))]
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(k1, pa.int64()), pa.array(k2, pa.int64()), *columns], names=["doc_id", "k1", "k2", "fp", "runs", "size", "parity"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text")).mapInArrow(work, "doc_id long, k1 long, k2 long, fp binary")
+    schema = "doc_id long, k1 long, k2 long, fp binary, runs array<long>, size int, parity binary"
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text")).mapInArrow(work, schema)
 
 
 def meetings(reps: DataFrame) -> DataFrame:
@@ -276,6 +348,77 @@ def links_between(met: DataFrame, max_bits: int, min_similarity: float) -> DataF
     return _dealt(met, "rep", "home", "fp", "comp", "grams").mapInArrow(work, "src long, dst long")
 
 
+def _may_link(x, y, comp: np.ndarray, place: np.ndarray, size: np.ndarray, min_similarity: float) -> tuple[np.ndarray, np.ndarray]:
+    """Of pairs of rows that share a run, those of different components that sizes and places in the order allow."""
+    keep = (x < y) & (comp[x] != comp[y])
+    x, y = x[keep], y[keep]
+    most = np.minimum(np.minimum(place[x], place[y]) + np.minimum(size[x] - place[x], size[y] - place[y]), np.minimum(size[x], size[y]))
+    keep = most * (1 + min_similarity) >= min_similarity * (size[x] + size[y]) - 1e-6
+    return x[keep], y[keep]
+
+
+def shared_runs(reps: DataFrame, min_similarity: float) -> DataFrame:
+    """``anchor, rep, comp, at, size``: where first runs of different components (``rep, comp, runs, size``) meet.
+
+    Of a run with up to ``SMALL`` documents only those in a pair that may be a link.
+    """
+
+    def deal(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            runs = b.column("runs")
+            n = np.diff(runs.offsets.to_numpy())
+            rows = np.repeat(np.arange(len(n)), n)
+            at = np.arange(len(rows)) - np.repeat(np.cumsum(n) - n, n)
+            held = at.astype(np.int64) << 32 | b.column("size").to_numpy()[rows]
+            yield pa.RecordBatch.from_arrays([runs.flatten(), b.column("rep").take(pa.array(rows)), b.column("comp").take(pa.array(rows)), pa.array(held)], names=["anchor", "rep", "comp", "held"])
+
+    def meet(batches):
+        import pyarrow as pa
+
+        for anchor, rep, comp, held in _runs(batches, 4):
+            begin = np.flatnonzero(np.r_[True, anchor[1:] != anchor[:-1]])
+            n = np.diff(np.r_[begin, len(anchor)])
+            open_ = np.minimum.reduceat(comp, begin) != np.maximum.reduceat(comp, begin)
+            keep = np.repeat(open_ & (n > SMALL), n)
+            few = np.flatnonzero(np.repeat(open_ & (n <= SMALL), n))
+            for x, y in _expand(anchor[few], np.ones(len(few), bool)) if len(few) else ():
+                x, y = _may_link(few[x], few[y], comp, held >> 32, held & 0xFFFFFFFF, min_similarity)
+                keep[x] = keep[y] = True
+            if keep.any():
+                yield pa.RecordBatch.from_arrays([pa.array(c[keep]) for c in (anchor, rep, comp, held >> 32, held & 0xFFFFFFFF)], names=["anchor", "rep", "comp", "at", "size"])
+
+    dealt = reps.select("rep", "comp", "runs", "size").mapInArrow(deal, "anchor long, rep long, comp long, held long")
+    dealt = dealt.repartition("anchor").sortWithinPartitions("anchor").select("anchor", "rep", "comp", "held")
+    return dealt.mapInArrow(meet, "anchor long, rep long, comp long, at long, size long")
+
+
+def third_round(shared: DataFrame, min_similarity: float) -> DataFrame:
+    """``a, b`` (a < b): all pairs of different components that share enough first runs and may be links. shared: with ``parity``."""
+
+    def work(batches):
+        import pyarrow as pa
+
+        for anchor, rep, comp, at, size, bits in _groups_of(batches, ("anchor", "rep", "comp", "at", "size", "parity")):
+            bits = np.frombuffer(b"".join(bits), "<u8").reshape(-1, PARITY // 64)
+            found = [np.zeros((0, 3), np.int64)]
+            for x, y in _expand(anchor, np.ones(len(anchor), bool)):
+                x, y = _may_link(x, y, comp, at, size, min_similarity)
+                for i in range(0, len(x), 1 << 18):
+                    u, v = x[i : i + (1 << 18)], y[i : i + (1 << 18)]
+                    keep = _bits_between(bits[u], bits[v]) * (1 + min_similarity) <= (1 - min_similarity) * (size[u] + size[v]) + 1e-6
+                    u, v = u[keep], v[keep]
+                    need = least_shared(np.minimum(size[u], size[v]), min_similarity)
+                    found.append(np.stack([np.minimum(rep[u], rep[v]), np.maximum(rep[u], rep[v]), need], 1))
+            both, n = np.unique(np.concatenate(found), axis=0, return_counts=True)
+            if len(both):
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in (both[:, 0].copy(), both[:, 1].copy(), both[:, 2].copy(), n)], names=["a", "b", "need", "n"])
+
+    met = _dealt(shared, "rep", "comp", "at", "size", "parity").mapInArrow(work, "a long, b long, need long, n long")
+    return met.groupBy("a", "b", "need").agg(F.sum("n").alias("n")).where("n >= need").select("a", "b")
+
+
 def shingle_set(text: str, shingle: int) -> set:
     words = text.encode().lower().split()
     return set(zip(*[words[i:] for i in range(shingle)], strict=False)) if len(words) >= shingle else {tuple(words)}
@@ -309,8 +452,9 @@ def groups(docs: DataFrame, shingle: int = 5, min_similarity: float = 0.8, max_b
     spark = docs.sparkSession
     scratch = scratch or Scratch(spark, "near-dups")
     known = docs.where("doc_id is not null")
-    marks = scratch.write(sketches(known), "sketches")
-    kinds = scratch.write(marks.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.first("fp").alias("fp")), "kinds")
+    marks = scratch.write(sketches(known, shingle, min_similarity), "sketches")
+    first = [F.first(c).alias(c) for c in ("fp", "runs", "size", "parity")]
+    kinds = scratch.write(marks.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), *first), "kinds")
     reps = kinds.where("fp is not null").select("rep", "fp")
     met = scratch.write(meetings(reps), "meetings")
     texts = known.select(F.col("doc_id").cast("long").alias("rep"), text_of().alias("text")).join(met.select("rep").distinct(), "rep", "left_semi").dropDuplicates(["rep"])
@@ -328,8 +472,16 @@ def groups(docs: DataFrame, shingle: int = 5, min_similarity: float = 0.8, max_b
     grams = gram_rows(texts.join(many.select("rep").distinct(), "rep", "left_semi"), shingle)
     known_ = reps.join(named, "rep", "left").select("rep", "fp", F.coalesce("c", "rep").alias("comp"))
     links2 = settled(few, texts, shingle, min_similarity).unionByName(links_between(many.join(known_, "rep").join(grams, "rep"), max_bits, min_similarity))
-    links2 = scratch.write(links2, "links-2")
-    found = connected_components(links.unionByName(links2), finish_edges=200_000, scratch=Scratch(spark, "near-dups-cc")).assignment
+    links = links.unionByName(scratch.write(links2, "links-2"))
+    found = connected_components(links, finish_edges=200_000, scratch=Scratch(spark, "near-dups-cc")).assignment
+    named = found.select(F.col("vertex").alias("rep"), F.col("component").alias("c"))
+    held = kinds.where("fp is not null").join(named, "rep", "left").withColumn("comp", F.coalesce("c", "rep"))
+    shared = scratch.write(shared_runs(held, min_similarity), "shared")
+    pairs = scratch.write(third_round(shared.join(kinds.select("rep", "parity"), "rep"), min_similarity), "pairs-3")
+    ends = pairs.select(F.explode(F.array("a", "b")).alias("rep")).distinct()
+    texts = known.select(F.col("doc_id").cast("long").alias("rep"), text_of().alias("text")).join(ends, "rep", "left_semi").dropDuplicates(["rep"])
+    links = links.unionByName(scratch.write(settled(pairs, texts, shingle, min_similarity), "links-3"))
+    found = connected_components(links, finish_edges=200_000, scratch=Scratch(spark, "near-dups-cc")).assignment
     comps = kinds.join(found.withColumnRenamed("vertex", "rep"), "rep", "left").select("k1", "k2", F.coalesce("component", "rep").alias("component_id"))
     return marks.join(comps, ["k1", "k2"]).select("doc_id", "component_id")
 

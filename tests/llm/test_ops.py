@@ -315,6 +315,33 @@ def test_near_groups(spark):
     assert sorted(r.doc_id for r in kept.collect()) == sorted({v for v in got.values()})
 
 
+@pytest.mark.parametrize("edit", ["tail cut", "appended", "block replaced", "scattered"])
+def test_near_groups_reach_the_bound_whatever_the_edit(spark, edit):
+    rng = random.Random(9)
+    vocab = ["".join(rng.choice("abcdefghijklmnop") for _ in range(rng.randrange(2, 9))) for _ in range(1500)]
+    text = lambda n: [rng.choice(vocab) for _ in range(n)]
+    docs = []
+    for i in range(60):
+        words = text(rng.randrange(150, 400))
+        n = len(words)
+        other = list(words)
+        if edit == "tail cut":
+            other = words[: n - n * 19 // 100]
+        elif edit == "appended":
+            other = words + text(n * 23 // 100)
+        elif edit == "block replaced":
+            other[n // 3 : n // 3 + n * 9 // 100] = text(n * 9 // 100)
+        else:
+            for k in rng.sample(range(n), n * 2 // 100):
+                other[k] = rng.choice(vocab)
+        docs += [(2 * i, " ".join(words)), (2 * i + 1, " ".join(other))]
+    sets = {i: near_dups.shingle_set(t, 5) for i, t in docs}
+    alike = [i for i in range(0, 120, 2) if len(sets[i] & sets[i + 1]) >= 0.8 * len(sets[i] | sets[i + 1])]
+    assert len(alike) >= 40
+    got = {r.doc_id: r.component_id for r in near_dups.groups(frame(spark, docs)).collect()}
+    assert got == {i: i - 1 if i % 2 and i - 1 in alike else i for i in got}
+
+
 # ---- decontamination
 
 
