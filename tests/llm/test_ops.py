@@ -45,24 +45,37 @@ def clashing(df):
 # ---- line dedup
 
 
-@pytest.mark.parametrize("broadcast", [1 << 20, 0])
-def test_line_dedup(spark, broadcast):
+@pytest.mark.parametrize("broadcast,shard_keys,bits", [(1 << 20, 1 << 17, 32), (1, 1, 32), (1 << 20, 1, 2), (1 << 20, 1 << 17, 1)])
+def test_line_dedup(spark, broadcast, shard_keys, bits):
+    """One pass and one for each shard; and fingerprints so short that rarer keys pass and have to be exceptions."""
     docs = corpus()
     df = clashing(frame(spark, docs))
-    state = line_dedup.LineState(spark, min_docs=10).insert(df)
-    rows = df.select("doc_id", F.transform(F.split(F.coalesce("text", F.lit("")), "\n"), line_dedup.line_key).alias("keys")).withColumnRenamed("doc_id", "rid")
-    assert state.candidates(rows, broadcast).count() > 0
-    got = {r.doc_id: (r.n_lines, r.n_dropped, r.kept_sha256) for r in line_dedup.apply_state(df, state, digest=True).collect()}
+    state = line_dedup.LineState(spark, min_docs=10, shard_keys=shard_keys, mark_bits=bits).insert(df)
+    passes = list(state.passes(broadcast))
+    assert len(passes) == (state.filters.count() if broadcast == 1 else 1) and (state.shards > 1) == (shard_keys == 1)
+    assert any(len(x) for _, rare in passes for x in rare.values()) == (bits < 32)
+    got = {r.doc_id: (r.n_lines, r.n_dropped, r.kept_sha256) for r in line_dedup.apply_state(df, state, digest=True, broadcast_bytes=broadcast).collect()}
     assert got == brute.line_dedup(docs, 10)
 
 
-def test_line_dedup_is_reversible(spark):
+@pytest.mark.parametrize("shard_keys", [1 << 17, 2])
+def test_line_dedup_is_reversible(spark, monkeypatch, shard_keys):
+    monkeypatch.setattr(line_dedup, "LEVELS", 2)
     a, b = corpus(1), [(1000 + i, t) for i, t in corpus(2)]
-    state = line_dedup.LineState(spark, min_docs=8).insert(frame(spark, a)).insert(frame(spark, b)).delete(frame(spark, b))
+    state = line_dedup.LineState(spark, min_docs=8, shard_keys=shard_keys).insert(frame(spark, a)).insert(frame(spark, b))
+    both = {r.doc_id: (r.n_lines, r.n_dropped, r.kept_sha256) for r in line_dedup.apply_state(frame(spark, a + b), state, digest=True).collect()}
+    assert both == brute.line_dedup(a + b, 8) and state.frequent == state.frequent_keys().count()
+    state.delete(frame(spark, b))
     got = {r.doc_id: (r.n_lines, r.n_dropped, r.kept_sha256) for r in line_dedup.apply_state(frame(spark, a), state, digest=True).collect()}
     assert got == brute.line_dedup(a, 8)
     alone = line_dedup.LineState(spark, min_docs=8).insert(frame(spark, a))
-    assert sorted(map(tuple, state.counts.collect())) == sorted(map(tuple, alone.counts.collect()))
+    assert sorted(map(tuple, state.counts.collect())) == sorted(map(tuple, alone.counts.collect())) and state.frequent == alone.frequent
+
+
+def test_line_keys_are_alike_in_both_engines(spark):
+    lines = ["", " a B\t", "\x0b\x0cÉ x\r", "\u00a0nbsp ", "\x1cfs", "Ünï ÇODE", "a\tB  c"]
+    got = [r.k for r in spark.createDataFrame([(x,) for x in lines], "x string").select(line_dedup.line_key(F.col("x")).alias("k")).collect()]
+    assert [k.encode() for k in got] == [line_dedup.keys_of(x.encode())[0] for x in lines]
 
 
 def test_line_dedup_keeps_columns(spark):
@@ -80,8 +93,15 @@ def test_cuckoo_filter():
     f.delete(k1[:2000], k2[:2000])
     f = line_dedup.CuckooFilter.loads(f.dumps())
     assert f.contains(k1[2000:], k2[2000:]).all() and f.contains(k1[:2000], k2[:2000]).mean() < 0.01
+    assert (f.table != 0).sum() == 2000 and f.insert(k1[:2000], k2[:2000]) and f.contains(k1, k2).all()
+    few = line_dedup.CuckooFilter.sized(4000, bits=3)
+    assert few.insert(k1, k2) and few.contains(k1, k2).all()
+    few.delete(k1, k2)
+    assert not few.table.any()
     small = line_dedup.CuckooFilter(8)
     assert not small.insert(k1, k2)
+    full = line_dedup.CuckooFilter(1 << 10)
+    assert full.insert(k1[:3850], k2[:3850]) and full.contains(k1[:3850], k2[:3850]).all()
 
 
 # ---- url filter
