@@ -17,6 +17,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ccspark.llm.common import scan_array
+
 #: Fixed values of the template.
 OPEN, CLOSE = "<|im_start|>", "<|im_end|>"
 
@@ -31,9 +33,8 @@ def prefix_hashes(conversations: DataFrame) -> DataFrame:
     """``conv_id, n_turns, prefixes``: prefixes[i] is the hash of the first i + 1 turns."""
     turns = _turns(conversations).select("conv_id", "turn", "role", F.md5(F.concat(F.md5("role"), F.md5("text"))).alias("h"))
     rows = turns.groupBy("conv_id").agg(F.sort_array(F.collect_list(F.struct("turn", "role", "h"))).alias("t"))
-    empty = F.array().cast("array<string>")
-    rolled = F.aggregate("t", F.struct(F.lit("").alias("last"), empty.alias("all")), lambda a, t: F.struct(F.md5(F.concat(a["last"], t["h"])).alias("last"), F.concat(a["all"], F.array(F.md5(F.concat(a["last"], t["h"])))).alias("all")))
-    return rows.select("conv_id", F.size("t").alias("n_turns"), rolled["all"].alias("prefixes"))
+    roll = lambda last, t: F.md5(F.concat(last, t["h"]))
+    return rows.select("conv_id", F.size("t").alias("n_turns"), scan_array(F.col("t"), F.lit(""), roll, roll, "string").alias("prefixes"))
 
 
 def maximal(conversations: DataFrame) -> DataFrame:

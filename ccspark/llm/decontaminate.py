@@ -26,11 +26,13 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ccspark.llm.common import text_of
+from ccspark.llm.common import lean, text_of
 
 PASSAGE, STEP = 32, 16
 RANK, POWER = 192, 2
 BLOCK = 2048
+#: Texts that a task takes at once.
+ROWS = 512
 _OTHER = bytes(b if b >= 128 or chr(b).isalnum() else 32 for b in range(256))
 
 
@@ -83,7 +85,7 @@ def inverse_frequencies(docs: DataFrame, vocabulary: dict[bytes, int]) -> np.nda
         at = np.flatnonzero(df)
         yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(df[at])], names=["w", "n"])
 
-    got = docs.select("text").mapInArrow(work, "w int, n long").groupBy("w").agg(F.sum("n").alias("n")).toArrow()
+    got = docs.select("text").mapInArrow(lean(work, ROWS), "w int, n long").groupBy("w").agg(F.sum("n").alias("n")).toArrow()
     df = np.zeros(len(vocabulary) + 1)
     df[got.column("w").to_numpy()] = got.column("n").to_numpy()
     return np.log((df[-1] + 1) / (df[:-1] + 0.5))
@@ -117,7 +119,7 @@ def _product(rows: DataFrame, right: np.ndarray) -> np.ndarray:
         y = np.sum([np.frombuffer(v) for v in table.column("y").to_pylist()], axis=0)
         return pa.table({"w": pa.array([key[0].as_py()], pa.int32()), "y": pa.array([y.tobytes()], pa.binary())})
 
-    got = rows.mapInArrow(work, "w int, y binary").groupBy("w").applyInArrow(add, "w int, y binary").toArrow()
+    got = rows.mapInArrow(lean(work), "w int, y binary").groupBy("w").applyInArrow(add, "w int, y binary").toArrow()
     out = np.zeros((len(right), width))
     for w, y in zip(got.column("w").to_pylist(), got.column("y").to_pylist(), strict=True):
         out[w] = np.frombuffer(y)
@@ -238,7 +240,7 @@ def _search_block(docs: DataFrame, items: list[tuple[int, str]], full: float, pa
                             column.append(value)
             yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(out, (pa.int64(), pa.int64(), pa.float64(), pa.bool_()), strict=True)], names=["doc_id", "item_id", "lcs_share", "answer_found"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text")).mapInArrow(work, "doc_id long, item_id long, lcs_share double, answer_found boolean")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text")).mapInArrow(lean(work, ROWS), "doc_id long, item_id long, lcs_share double, answer_found boolean")
 
 
 def leaks(docs: DataFrame, benchmark: DataFrame, full: float = 0.8, part: float = 0.5, min_words: int = 8, rank: int = RANK, block: int = BLOCK) -> DataFrame:

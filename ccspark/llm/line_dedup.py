@@ -34,7 +34,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructField, StructType
 
-from ccspark.llm.common import WHITE, ascii_lower, text_of
+from ccspark.llm.common import WHITE, ascii_lower, lean, text_of
 from ccspark.plans.store import Scratch
 
 SLOTS, KICKS = 4, 500
@@ -44,6 +44,8 @@ BROADCAST_BYTES = 64 << 20
 #: Frequent keys of a shard, about; and count tables that are kept apart.
 SHARD_KEYS, LEVELS = 1 << 17, 8
 KEYS = "k1 long, k2 long"
+#: Texts that a task takes at once.
+ROWS = 512
 
 
 class CuckooFilter:
@@ -180,7 +182,7 @@ def line_counts(docs: DataFrame, min_chars: int = 1) -> DataFrame:
             k1, k2 = _hashed(found)
             yield pa.RecordBatch.from_arrays([pa.array(k1), pa.array(k2)], names=["k1", "k2"])
 
-    rows = docs.select(text_of().alias("text")).mapInArrow(work, KEYS)
+    rows = docs.select(text_of().alias("text")).mapInArrow(lean(work, ROWS), KEYS)
     return rows.groupBy("k1", "k2").agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -302,7 +304,7 @@ class LineState:
                     hit = _passing(filters, b.column("k1").to_numpy(), b.column("k2").to_numpy(), shards)
                     yield b.filter(pa.array(hit))
 
-            rows = reduce(DataFrame.unionByName, [x.select("k1", "k2", "n") for x in self.levels]).mapInArrow(probe, f"{KEYS}, n long")
+            rows = reduce(DataFrame.unionByName, [x.select("k1", "k2", "n") for x in self.levels]).mapInArrow(lean(probe), f"{KEYS}, n long")
             rare = rows.groupBy("k1", "k2").agg(F.sum("n").alias("n")).where((F.col("n") > 0) & (F.col("n") < self.min_docs))
             rare = rare.select("k1", "k2").toArrow()
             k1, k2 = (rare.column(c).to_numpy() for c in ("k1", "k2"))
@@ -393,7 +395,7 @@ def apply_state(docs: DataFrame, state: LineState, columns: Sequence[str] = (),
                 yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("carry"), pa.array(total, pa.int64()), pa.array(b.column("n_dropped").to_numpy() + n_gone), text], names=["doc_id", "carry", "n_lines", "n_dropped", "text"])
 
         schema = StructType([docs.schema["doc_id"], StructField("carry", frame.schema["carry"].dataType)]).add("n_lines", "long").add("n_dropped", "long").add("text", "string")
-        frame = frame.mapInArrow(work, schema)
+        frame = frame.mapInArrow(lean(work, ROWS), schema)
         if not last:
             frame = state.scratch.write(frame, f"pass-{state.version}-{i}")
         i += 1

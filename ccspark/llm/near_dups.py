@@ -12,11 +12,12 @@ word sequence are one from the start.
 Where documents meet, each that is at home is first paired with the member nearest to the anchor's
 majority fingerprint and, unless the anchor is crowded, with its two nearest members;
 these pairs are linear in the members and are settled by exact similarity. The components found so far then leave
-only pairs between different components within ``max_bits``, all of which are settled in
+only pairs between different components within ``max_bits``, which are settled in
 a second round: of anchors with many members where they meet, so that only links leave
-the tasks, of others as pairs.
+the tasks, of others as pairs. Both rounds save work and need not find all: an anchor that a
+large share of the documents has is split by a hash.
 
-Fingerprints miss edits of whole blocks, so a third round finds every link that is left between
+Fingerprints miss edits of whole blocks, and splits lose pairs, so a third round finds every link that is left between
 different components. Two sets with Jaccard similarity ``t`` share ``k`` of the first ``n - ceil(t n) + k`` of
 their ``n`` runs in any one order, here the rarer ones of a sample first. Where such runs meet, a pair is passed over only if
 it shares fewer, or if
@@ -24,23 +25,29 @@ its sizes, its places in the order or the differing bits of its parities (each r
 as many bits differ as runs do) exclude the similarity. Nothing is capped.
 
 Null or empty text: equal to other empty texts only. Texts shorter than a shingle are
-their own shingle. Repeated rows are in one group. An empty table gives no rows.
+their own shingle. Repeated rows are in one group; rows of equal doc_id and different text are documents
+of their own, each in its group. An empty table gives no rows.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ccspark.llm.common import text_of
-from ccspark.llm.simhash import _expand, _runs, anchors
+from ccspark.llm.common import dense_ids, lean, text_of
+from ccspark.llm.simhash import HOT, _expand, _runs, anchors, hot_anchors, is_hot
 from ccspark.plans.runner import connected_components
 from ccspark.plans.store import Scratch
 
 WORDS = 8
+#: Texts that a task takes at once.
+ROWS = 512
+#: Parts of an anchor that would burden one task.
+PARTS = 256
 NEAREST = 2
 #: Members of an anchor above which the first round pairs them with the middle one alone; the second round takes the rest.
 CROWD = 1024
@@ -120,7 +127,7 @@ def frequent_runs(docs: DataFrame, shingle: int) -> tuple[np.ndarray, np.ndarray
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(runs).view(np.int64))], names=["run"])
 
     every = max(1, docs.count() // SAMPLE)
-    some = docs.select(text_of().alias("text")).where(F.pmod(F.xxhash64("text"), F.lit(every)) == 0).mapInArrow(work, "run long")
+    some = docs.select(text_of().alias("text")).where(F.pmod(F.xxhash64("text"), F.lit(every)) == 0).mapInArrow(lean(work, ROWS), "run long")
     got = some.groupBy("run").agg(F.count("*").alias("n")).where("n > 1").orderBy(F.desc("n"), "run").limit(FREQUENT).toArrow()
     runs, times = got.column("run").to_numpy().view(np.uint64), got.column("n").to_numpy()
     order = np.argsort(runs)
@@ -128,8 +135,8 @@ def frequent_runs(docs: DataFrame, shingle: int) -> tuple[np.ndarray, np.ndarray
 
 
 def sketches(docs: DataFrame, shingle: int = 5, min_similarity: float = 0.8) -> DataFrame:
-    """``doc_id, k1, k2, fp, runs, size, parity``: digest of the word sequence, the wide fingerprint, the first word runs
-    in the common order, their whole number and parity (null without words)."""
+    """``doc_id, h, k1, k2, fp, runs, size, parity``: hash of the text, digest of its word sequence, the wide fingerprint,
+    the first word runs in the common order, their whole number and parity (null without words)."""
     sent = docs.sparkSession.sparkContext.broadcast(frequent_runs(docs, shingle))
 
     def work(batches):
@@ -150,14 +157,41 @@ def sketches(docs: DataFrame, shingle: int = 5, min_similarity: float = 0.8) ->
                 else:
                     rest.append((None,) * 4)
             columns = [pa.array([r[i] for r in rest], t) for i, t in enumerate((pa.binary(), pa.list_(pa.int64()), pa.int32(), pa.binary()))]
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(k1, pa.int64()), pa.array(k2, pa.int64()), *columns], names=["doc_id", "k1", "k2", "fp", "runs", "size", "parity"])
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("h"), pa.array(k1, pa.int64()), pa.array(k2, pa.int64()), *columns], names=["doc_id", "h", "k1", "k2", "fp", "runs", "size", "parity"])
 
-    schema = "doc_id long, k1 long, k2 long, fp binary, runs array<long>, size int, parity binary"
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text")).mapInArrow(work, schema)
+    schema = "doc_id long, h long, k1 long, k2 long, fp binary, runs array<long>, size int, parity binary"
+    return _named(docs).mapInArrow(lean(work, ROWS), schema)
 
 
-def meetings(reps: DataFrame) -> DataFrame:
-    """``anchor, rep, home`` for anchors where several documents meet, one of them at home."""
+def _named(docs: DataFrame) -> DataFrame:
+    """``doc_id, text, h``: h tells rows of equal doc_id apart."""
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text"), F.xxhash64(text_of()).alias("h"))
+
+
+def _words_of(batch) -> np.ndarray:
+    return np.frombuffer(b"".join(batch.column("fp").to_pylist()), "<u4").reshape(-1, WORDS)
+
+
+def _word_values(reps: DataFrame) -> DataFrame:
+    """``value, n``: each word's values with its number above them, counted in each batch."""
+
+    def work(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            if b.num_rows:
+                value, n = np.unique(_words_of(b).astype(np.int64) | np.arange(WORDS)[None, :] << 32, return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(value), pa.array(n)], names=["value", "n"])
+
+    return reps.select("fp").mapInArrow(lean(work), "value long, n long")
+
+
+def meetings(reps: DataFrame, hot: int = HOT) -> DataFrame:
+    """``anchor, rep, home`` for anchors where several documents meet, one of them at home.
+
+    Anchors of values that over ``hot`` documents share are split by a hash of the document, into as many as ``PARTS``.
+    """
+    sent = reps.sparkSession.sparkContext.broadcast(hot_anchors(_word_values(reps), reps.count(), hot))
 
     def deal(batches):
         import pyarrow as pa
@@ -165,12 +199,16 @@ def meetings(reps: DataFrame) -> DataFrame:
         for b in batches:
             if not b.num_rows:
                 continue
-            fp = np.frombuffer(b"".join(b.column("fp").to_pylist()), "<u4").reshape(-1, WORDS)
+            fp = _words_of(b)
             rep = b.column("rep")
+            mixed = rep.to_numpy().astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(40)
             for w in range(WORDS):
+                part = ((mixed >> np.uint64(w)) % np.uint64(PARTS)).astype(np.int64) + 1 << 40
                 for rows, code, home in anchors(np.ascontiguousarray(fp[:, w])):
                     if len(rows):
-                        yield pa.RecordBatch.from_arrays([pa.array(code.astype(np.int64) | np.int64(w << 32)), rep.take(pa.array(rows)), pa.array(np.full(len(rows), home))], names=["anchor", "rep", "home"])
+                        at = code.astype(np.int64) | np.int64(w << 32)
+                        at = np.where(is_hot(sent.value, at), at | part[rows], at)
+                        yield pa.RecordBatch.from_arrays([pa.array(at), rep.take(pa.array(rows)), pa.array(np.full(len(rows), home))], names=["anchor", "rep", "home"])
 
     def meet(batches):
         import pyarrow as pa
@@ -184,33 +222,14 @@ def meetings(reps: DataFrame) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(anchor[keep]), pa.array(rep[keep]), pa.array(home.astype(bool)[keep])], names=["anchor", "rep", "home"])
 
     schema = "anchor long, rep long, home boolean"
-    dealt = reps.select("rep", "fp").mapInArrow(deal, schema)
-    return dealt.repartition("anchor").sortWithinPartitions("anchor").select("anchor", "rep", "home").mapInArrow(meet, schema)
+    dealt = reps.select("rep", "fp").mapInArrow(lean(deal), schema)
+    return dealt.repartition("anchor").sortWithinPartitions("anchor").select("anchor", "rep", "home").mapInArrow(lean(meet), schema)
 
 
 def _bits_between(x: np.ndarray, y: np.ndarray) -> np.ndarray:
     return np.bitwise_count(x ^ y).sum(1)
 
 
-def _groups_of(batches, names: tuple[str, ...], rows: int = 100_000) -> Iterator[list[np.ndarray]]:
-    """Columns of whole anchors from batches sorted by anchor, some ``rows`` at a time."""
-    held: list = []
-    n = 0
-    for batch in batches:
-        held.append([batch.column(c).to_numpy(zero_copy_only=False) for c in names])
-        n += batch.num_rows
-        if n > rows:
-            cols = [np.concatenate(v) for v in zip(*held, strict=True)]
-            cut = int(np.searchsorted(cols[0], cols[0][-1]))
-            if cut:
-                yield [c[:cut] for c in cols]
-            held, n = [[c[cut:] for c in cols]], len(cols[0]) - cut if cut else 0
-    if held:
-        cols = [np.concatenate(v) for v in zip(*held, strict=True)]
-        if len(cols[0]):
-            yield cols
-
-
 def _dealt(met: DataFrame, *columns: str) -> DataFrame:
     return met.repartition("anchor").sortWithinPartitions("anchor").select("anchor", *columns)
 
@@ -221,7 +240,7 @@ def first_pairs(met: DataFrame, max_bits: int) -> DataFrame:
     def work(batches):
         import pyarrow as pa
 
-        for anchor, rep, home, fp in _groups_of(batches, ("anchor", "rep", "home", "fp")):
+        for anchor, rep, home, fp in _runs(batches, 4, 100_000):
             home = home.astype(bool)
             words = np.frombuffer(b"".join(fp), "<u8").reshape(-1, WORDS // 2)
             begin = np.flatnonzero(np.r_[True, anchor[1:] != anchor[:-1]])
@@ -252,7 +271,7 @@ def first_pairs(met: DataFrame, max_bits: int) -> DataFrame:
                 both = np.unique(np.stack([np.minimum(x, y), np.maximum(x, y)], 1)[x != y], axis=0)
                 yield pa.RecordBatch.from_arrays([pa.array(both[:, 0].copy()), pa.array(both[:, 1].copy())], names=["a", "b"])
 
-    return _dealt(met, "rep", "home", "fp").mapInArrow(work, "a long, b long").distinct()
+    return _dealt(met, "rep", "home", "fp").mapInArrow(lean(work), "a long, b long").distinct()
 
 
 def second_round(met: DataFrame, max_bits: int) -> DataFrame:
@@ -262,7 +281,7 @@ def second_round(met: DataFrame, max_bits: int) -> DataFrame:
     def work(batches):
         import pyarrow as pa
 
-        for anchor, rep, home, fp, comp in _groups_of(batches, ("anchor", "rep", "home", "fp", "comp")):
+        for anchor, rep, home, fp, comp in _runs(batches, 5, 100_000):
             home = home.astype(bool)
             words = np.frombuffer(b"".join(fp), "<u8").reshape(-1, WORDS // 2)
             begin = np.flatnonzero(np.r_[True, anchor[1:] != anchor[:-1]])
@@ -283,7 +302,7 @@ def second_round(met: DataFrame, max_bits: int) -> DataFrame:
             if len(kind):
                 yield pa.RecordBatch.from_arrays([pa.array(kind), pa.array(np.r_[both[:, 0], anchor[at]]), pa.array(np.r_[both[:, 1], rep[at]]), pa.array(np.r_[np.zeros(len(both), bool), home[at]])], names=["kind", "a", "b", "home"])
 
-    return _dealt(met, "rep", "home", "fp", "comp").mapInArrow(work, "kind int, a long, b long, home boolean")
+    return _dealt(met, "rep", "home", "fp", "comp").mapInArrow(lean(work), "kind int, a long, b long, home boolean")
 
 
 def gram_rows(texts: DataFrame, shingle: int) -> DataFrame:
@@ -296,7 +315,7 @@ def gram_rows(texts: DataFrame, shingle: int) -> DataFrame:
             grams = [[hash_ - (1 << 63) for hash_ in _gram_hashes(t, shingle)] for t in b.column("text").to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column("rep"), pa.array(grams, pa.list_(pa.int64()))], names=["rep", "grams"])
 
-    return texts.select("rep", "text").mapInArrow(work, "rep long, grams array<long>")
+    return texts.select("rep", "text").mapInArrow(lean(work, ROWS), "rep long, grams array<long>")
 
 
 def _gram_hashes(text: str, shingle: int) -> set[int]:
@@ -336,7 +355,7 @@ def links_between(met: DataFrame, max_bits: int, min_similarity: float) -> DataF
     def work(batches):
         import pyarrow as pa
 
-        for anchor, rep, home, fp, comp, grams in _groups_of(batches, ("anchor", "rep", "home", "fp", "comp", "grams"), 20_000):
+        for anchor, rep, home, fp, comp, grams in _runs(batches, 6, 20_000):
             words = np.frombuffer(b"".join(fp), "<u8").reshape(-1, WORDS // 2)
             begin = np.flatnonzero(np.r_[True, anchor[1:] != anchor[:-1]])
             out = []
@@ -345,7 +364,7 @@ def links_between(met: DataFrame, max_bits: int, min_similarity: float) -> DataF
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], pa.int64()) for i in (0, 1)], names=["src", "dst"])
 
-    return _dealt(met, "rep", "home", "fp", "comp", "grams").mapInArrow(work, "src long, dst long")
+    return _dealt(met, "rep", "home", "fp", "comp", "grams").mapInArrow(lean(work), "src long, dst long")
 
 
 def _may_link(x, y, comp: np.ndarray, place: np.ndarray, size: np.ndarray, min_similarity: float) -> tuple[np.ndarray, np.ndarray]:
@@ -389,9 +408,9 @@ def shared_runs(reps: DataFrame, min_similarity: float) -> DataFrame:
             if keep.any():
                 yield pa.RecordBatch.from_arrays([pa.array(c[keep]) for c in (anchor, rep, comp, held >> 32, held & 0xFFFFFFFF)], names=["anchor", "rep", "comp", "at", "size"])
 
-    dealt = reps.select("rep", "comp", "runs", "size").mapInArrow(deal, "anchor long, rep long, comp long, held long")
+    dealt = reps.select("rep", "comp", "runs", "size").mapInArrow(lean(deal), "anchor long, rep long, comp long, held long")
     dealt = dealt.repartition("anchor").sortWithinPartitions("anchor").select("anchor", "rep", "comp", "held")
-    return dealt.mapInArrow(meet, "anchor long, rep long, comp long, at long, size long")
+    return dealt.mapInArrow(lean(meet), "anchor long, rep long, comp long, at long, size long")
 
 
 def third_round(shared: DataFrame, min_similarity: float) -> DataFrame:
@@ -400,7 +419,7 @@ def third_round(shared: DataFrame, min_similarity: float) -> DataFrame:
     def work(batches):
         import pyarrow as pa
 
-        for anchor, rep, comp, at, size, bits in _groups_of(batches, ("anchor", "rep", "comp", "at", "size", "parity")):
+        for anchor, rep, comp, at, size, bits in _runs(batches, 6, 100_000):
             bits = np.frombuffer(b"".join(bits), "<u8").reshape(-1, PARITY // 64)
             found = [np.zeros((0, 3), np.int64)]
             for x, y in _expand(anchor, np.ones(len(anchor), bool)):
@@ -415,7 +434,7 @@ def third_round(shared: DataFrame, min_similarity: float) -> DataFrame:
             if len(both):
                 yield pa.RecordBatch.from_arrays([pa.array(c) for c in (both[:, 0].copy(), both[:, 1].copy(), both[:, 2].copy(), n)], names=["a", "b", "need", "n"])
 
-    met = _dealt(shared, "rep", "comp", "at", "size", "parity").mapInArrow(work, "a long, b long, need long, n long")
+    met = _dealt(shared, "rep", "comp", "at", "size", "parity").mapInArrow(lean(work), "a long, b long, need long, n long")
     return met.groupBy("a", "b", "need").agg(F.sum("n").alias("n")).where("n >= need").select("a", "b")
 
 
@@ -444,53 +463,90 @@ def settled(pairs: DataFrame, texts: DataFrame, shingle: int, min_similarity: fl
             mask = pa.array(keep, pa.bool_())
             yield pa.RecordBatch.from_arrays([batch.column("a").filter(mask), batch.column("b").filter(mask)], names=["src", "dst"])
 
-    return both.select("a", "b", "text_a", "text_b").mapInArrow(work, "src long, dst long")
+    return both.select("a", "b", "text_a", "text_b").mapInArrow(lean(work, ROWS), "src long, dst long")
 
 
-def groups(docs: DataFrame, shingle: int = 5, min_similarity: float = 0.8, max_bits: int = MAX_BITS, scratch: Scratch | None = None) -> DataFrame:
-    """``doc_id, component_id`` for each row: the least doc_id of its group. Rows with a null doc_id have none."""
-    spark = docs.sparkSession
-    scratch = scratch or Scratch(spark, "near-dups")
-    known = docs.where("doc_id is not null")
+def _kinds(marks: DataFrame, scratch: Scratch) -> DataFrame:
+    """One row for each word sequence: ``rep`` (its number), ``first`` (its first row: doc_id and h) and the sketch.
+
+    The number is the least doc_id, or where some doc_id has several texts, the rank of (doc_id, digest).
+    """
+    sketch = [F.first(c).alias(c) for c in ("fp", "runs", "size", "parity")]
+    kinds = scratch.write(marks.groupBy("k1", "k2").agg(F.min(F.struct("doc_id", "h")).alias("first"), *sketch), "kinds")
+    if kinds.groupBy("first.doc_id").count().where("count > 1").limit(1).count():
+        ranked = dense_ids(kinds.select(F.col("first.doc_id").alias("low"), "k1", "k2"), ["low", "k1", "k2"], scratch, "ranks")
+        return scratch.write(kinds.join(ranked.select("k1", "k2", F.col("id").alias("rep")), ["k1", "k2"]), "numbered")
+    return kinds.withColumn("rep", F.col("first.doc_id"))
+
+
+def _components(known: DataFrame, shingle: int, min_similarity: float, max_bits: int, scratch: Scratch, hot: int) -> tuple[DataFrame, DataFrame]:
+    """The sketches, and for each word sequence the first row of its group: ``k1, k2, first``."""
+    spark = known.sparkSession
     marks = scratch.write(sketches(known, shingle, min_similarity), "sketches")
-    first = [F.first(c).alias(c) for c in ("fp", "runs", "size", "parity")]
-    kinds = scratch.write(marks.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), *first), "kinds")
-    reps = kinds.where("fp is not null").select("rep", "fp")
-    met = scratch.write(meetings(reps), "meetings")
-    texts = known.select(F.col("doc_id").cast("long").alias("rep"), text_of().alias("text")).join(met.select("rep").distinct(), "rep", "left_semi").dropDuplicates(["rep"])
-    texts = scratch.write(texts, "texts")
+    kinds = _kinds(marks, scratch)
+    some = kinds.where("fp is not null")
+    reps = some.select("rep", "fp")
+    links: list[DataFrame] = []
+
+    def texts_of(wanted: DataFrame, table: str) -> DataFrame:
+        """``rep, text`` of the wanted representatives (``rep``)."""
+        own = kinds.join(wanted, "rep", "left_semi").select("rep", F.col("first.doc_id").alias("d"), F.col("first.h").alias("g"))
+        rows = _named(known).join(own, (F.col("doc_id") == F.col("d")) & (F.col("h") == F.col("g")))
+        return scratch.write(rows.select("rep", "text").dropDuplicates(["rep"]), table)
+
+    def linked(found: DataFrame, table: str) -> DataFrame:
+        """Adds links; ``rep, c`` for all documents that have some by now."""
+        links.append(scratch.write(found, table))
+        run = connected_components(reduce(DataFrame.unionByName, links), finish_edges=200_000, scratch=Scratch(spark, "near-dups-cc"))
+        out = scratch.write(run.assignment.select(F.col("vertex").alias("rep"), F.col("component").alias("c")), f"components-{len(links)}")
+        run.scratch.drop()
+        return out
+
+    met = scratch.write(meetings(reps, hot), "meetings")
+    texts = texts_of(met.select("rep").distinct(), "texts")
     held = met.join(reps, "rep")
     pairs = scratch.write(first_pairs(held, max_bits), "pairs")
-    links = scratch.write(settled(pairs, texts, shingle, min_similarity), "links-1")
-    found = connected_components(links, finish_edges=200_000, scratch=Scratch(spark, "near-dups-cc")).assignment
-    named = found.select(F.col("vertex").alias("rep"), F.col("component").alias("c"))
+    named = linked(settled(pairs, texts, shingle, min_similarity), "links-1")
     again = scratch.write(held.join(named, "rep", "left").select("anchor", "rep", "home", "fp", F.coalesce("c", "rep").alias("comp")), "again")
+    scratch.drop("meetings")
     open_ = again.groupBy("anchor").agg((F.min("comp") != F.max("comp")).alias("open")).where("open").select("anchor")
     rest = scratch.write(second_round(again.join(open_, "anchor", "left_semi"), max_bits), "rest")
+    scratch.drop("again")
     few = rest.where("kind = 0").select("a", "b").distinct().join(pairs, ["a", "b"], "left_anti")
     many = rest.where("kind = 1").select(F.col("a").alias("anchor"), F.col("b").alias("rep"), "home")
     grams = gram_rows(texts.join(many.select("rep").distinct(), "rep", "left_semi"), shingle)
     known_ = reps.join(named, "rep", "left").select("rep", "fp", F.coalesce("c", "rep").alias("comp"))
-    links2 = settled(few, texts, shingle, min_similarity).unionByName(links_between(many.join(known_, "rep").join(grams, "rep"), max_bits, min_similarity))
-    links = links.unionByName(scratch.write(links2, "links-2"))
-    found = connected_components(links, finish_edges=200_000, scratch=Scratch(spark, "near-dups-cc")).assignment
-    named = found.select(F.col("vertex").alias("rep"), F.col("component").alias("c"))
-    held = kinds.where("fp is not null").join(named, "rep", "left").withColumn("comp", F.coalesce("c", "rep"))
-    shared = scratch.write(shared_runs(held, min_similarity), "shared")
+    named = linked(settled(few, texts, shingle, min_similarity).unionByName(links_between(many.join(known_, "rep").join(grams, "rep"), max_bits, min_similarity)), "links-2")
+    for table in ("rest", "pairs", "texts"):
+        scratch.drop(table)
+    comps = some.join(named, "rep", "left").withColumn("comp", F.coalesce("c", "rep"))
+    shared = scratch.write(shared_runs(comps, min_similarity), "shared")
     pairs = scratch.write(third_round(shared.join(kinds.select("rep", "parity"), "rep"), min_similarity), "pairs-3")
-    ends = pairs.select(F.explode(F.array("a", "b")).alias("rep")).distinct()
-    texts = known.select(F.col("doc_id").cast("long").alias("rep"), text_of().alias("text")).join(ends, "rep", "left_semi").dropDuplicates(["rep"])
-    links = links.unionByName(scratch.write(settled(pairs, texts, shingle, min_similarity), "links-3"))
-    found = connected_components(links, finish_edges=200_000, scratch=Scratch(spark, "near-dups-cc")).assignment
-    comps = kinds.join(found.withColumnRenamed("vertex", "rep"), "rep", "left").select("k1", "k2", F.coalesce("component", "rep").alias("component_id"))
-    return marks.join(comps, ["k1", "k2"]).select("doc_id", "component_id")
+    scratch.drop("shared")
+    texts = texts_of(pairs.select(F.explode(F.array("a", "b")).alias("rep")).distinct(), "texts-3")
+    named = linked(settled(pairs, texts, shingle, min_similarity), "links-3")
+    scratch.drop("texts-3")
+    grouped = kinds.join(named, "rep", "left").select("k1", "k2", "first", F.coalesce("c", "rep").alias("c"))
+    firsts = grouped.groupBy("c").agg(F.min("first").alias("of"))
+    return marks, grouped.join(firsts, "c").select("k1", "k2", F.col("of").alias("first"))
+
+
+def groups(docs: DataFrame, shingle: int = 5, min_similarity: float = 0.8, max_bits: int = MAX_BITS, scratch: Scratch | None = None, hot: int = HOT) -> DataFrame:
+    """``doc_id, component_id`` for each row: the least doc_id of its group. Rows with a null doc_id have none."""
+    scratch = scratch or Scratch(docs.sparkSession, "near-dups")
+    marks, firsts = _components(docs.where("doc_id is not null"), shingle, min_similarity, max_bits, scratch, hot)
+    return marks.join(firsts, ["k1", "k2"]).select("doc_id", F.col("first.doc_id").alias("component_id"))
 
 
-def keep_one(docs: DataFrame, **options) -> DataFrame:
+def keep_one(docs: DataFrame, shingle: int = 5, min_similarity: float = 0.8, max_bits: int = MAX_BITS, scratch: Scratch | None = None, hot: int = HOT) -> DataFrame:
     """The documents that are the first of their group, with all their columns; rows with a null doc_id stay.
 
-    Of repeated rows one stays.
+    Of repeated rows (equal doc_id and text) one stays.
     """
-    out = groups(docs, **options).where("doc_id = component_id").select(F.col("doc_id").alias("_kept")).distinct()
-    first = docs.where("doc_id is not null").join(out, docs["doc_id"] == F.col("_kept"), "left_semi").dropDuplicates(["doc_id"])
-    return first.unionByName(docs.where("doc_id is null"))
+    scratch = scratch or Scratch(docs.sparkSession, "near-dups")
+    known = docs.where("doc_id is not null")
+    _, firsts = _components(known, shingle, min_similarity, max_bits, scratch, hot)
+    kept = firsts.select(F.col("first.doc_id").alias("_kept"), F.col("first.h").alias("_kept_h")).distinct()
+    own = known.withColumn("_own_h", F.xxhash64(text_of()))
+    first = own.join(kept, (own["doc_id"] == F.col("_kept")) & (F.col("_own_h") == F.col("_kept_h")), "left_semi").dropDuplicates(["doc_id", "_own_h"])
+    return first.drop("_own_h").unionByName(docs.where("doc_id is null"))

@@ -11,10 +11,13 @@ depend on the two contexts alone and are tabled; below order zero the symbols th
 came are equally likely.
 
 Counting: each task counts its n-grams with numpy and sends partial counts; shorter
-orders are sums of the longest. Contexts of two bytes or more fall into shards by their
-last two bytes, so that all orders of a position lie in one shard; shards are built in
-their own tasks. Scoring sends as many shards to the tasks as ``broadcast_bytes`` allow
-and runs one pass over the texts for each such set: passes add up, whatever the size.
+orders are sums of the longest. Longer contexts fall into ``BUCKETS`` buckets by a mix of
+their last two bytes (three, where a bucket of two would be too large), so that all longer
+orders of a position lie in one bucket; the shorter orders are bounded by the alphabet.
+Scoring sends as many buckets to the tasks as ``broadcast_bytes`` allow. Each such set is
+one pass over the texts, whose partial sums are written and added. The counts of a pass
+come to the driver in jobs of ``COLLECT`` rows. A single bucket of three bytes over the
+bound is refused, with the size that it needs.
 
 Null or empty text: only the end. A null doc_id is never held out. Repeated rows are
 scored each and learnt from as often. An empty table gives no rows; with nothing to learn
@@ -30,14 +33,18 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ccspark.llm.common import text_of
+from ccspark.llm.common import lean, release, text_of
 from ccspark.plans.store import Scratch
 
 END, SYMBOLS = 255, 256
 ORDER = 5
-#: Shards of the trie and of the word counts; all sent at once while they fit.
-SHARDS = 16
+#: Buckets of the longer contexts and of the word counts; those that fit are sent at once.
+BUCKETS = 4096
 BROADCAST_BYTES = 320 << 20
+#: What a counted n-gram and a word take in a task; rows that one job brings to the driver; texts that a task takes at once.
+GRAM_BYTES, WORD_BYTES, COLLECT, ROWS = 64, 24, 1 << 20, 512
+#: Fixed values of the bucket's mix: a multiplier and a prime modulus, whose product with three bytes fits a long.
+_MIX, _PRIME = 2654435761, 4294967291
 _MULT = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -148,7 +155,7 @@ def count_corpus(docs: DataFrame, order: int = ORDER, flush: int = 1 << 22) -> D
                 at = upto
         yield from out()
 
-    partial = docs.select(text_of().alias("text")).mapInArrow(work, "kind int, key long, n long")
+    partial = docs.select(text_of().alias("text")).mapInArrow(lean(work, ROWS), "kind int, key long, n long")
     return partial.groupBy("kind", "key").agg(F.sum("n").alias("n"))
 
 
@@ -229,6 +236,8 @@ class Level:
 
     def index(self) -> None:
         """Builds the tables that scoring needs, and lets go of the rest."""
+        if hasattr(self, "pairs"):
+            return
         self.pairs = HashTable(_key(self.grams, 8 + self.order), np.log10(self.counts.astype(np.float32)))
         self.contexts = HashTable(_key(self.ctx, self.order), np.arange(len(self.ctx), dtype=np.int32))
         del self.grams, self.ctx, self.counts, self.n, self.d, self.more
@@ -245,34 +254,32 @@ def levels_of(grams: np.ndarray, counts: np.ndarray, order: int, least: int, par
     return out
 
 
-def shard_of(gram: np.ndarray, shards: int) -> np.ndarray:
-    """From the two bytes before the symbol."""
-    return (((gram >> np.uint64(8)) & np.uint64(0xFFFF)) % np.uint64(shards)).astype(np.int64)
+def bucket_of(gram: np.ndarray, suffix: int) -> np.ndarray:
+    """From the ``suffix`` bytes before the symbol; :func:`_bucket_column` is its like."""
+    end = (gram >> np.uint64(8)) & np.uint64((1 << (8 * suffix)) - 1)
+    return (end * np.uint64(_MIX) % np.uint64(_PRIME) % np.uint64(BUCKETS)).astype(np.int64)
 
 
 class Model:
-    """Orders 0 and 1 (bounded by the alphabet) and any set of shards of the higher orders."""
+    """The orders below ``suffix`` and those of the longer contexts whose buckets are held."""
 
-    def __init__(self, order: int, low: tuple[np.ndarray, np.ndarray], shards: dict[int, tuple[np.ndarray, np.ndarray]], n_shards: int):
-        self.order, self.n_shards, self.held = order, n_shards, sorted(shards)
-        self.low = levels_of(*low, min(1, order), 0, None)
+    def __init__(self, order: int, suffix: int, low: tuple[np.ndarray, np.ndarray], held: np.ndarray, grams: tuple[np.ndarray, np.ndarray]):
+        self.order, self.suffix, self.held = order, suffix, held
+        self.low = levels_of(*low, min(suffix - 1, order), 0, None)
         high = []
-        if order > 1:
-            merged = [np.concatenate([shards[s][i] for s in self.held]) if self.held else np.zeros(0, (np.uint64, np.int64)[i]) for i in (0, 1)]
-            shards.clear()
-            high = levels_of(*merged, order, 2, self.low[1])
-            del merged
+        if order >= suffix:
+            high = levels_of(*grams, order, suffix, self.low[-1])
             high[-1].index()
         for x in self.low:
             x.index()
         self.levels = self.low + high
 
     def log10(self, grams: np.ndarray) -> np.ndarray:
-        """log10 probability of each n-gram's last byte after the rest; zero where another pass holds its shard."""
+        """log10 probability of each n-gram's last byte after the rest; zero where another pass holds its bucket."""
         out = np.zeros(len(grams))
         rem = np.arange(len(grams))
-        if len(self.held) < self.n_shards:
-            rem = np.flatnonzero(np.isin(shard_of(grams, self.n_shards), self.held))
+        if not self.held.all():
+            rem = np.flatnonzero(self.held[bucket_of(grams, self.suffix)])
         above = np.full(len(rem), -1, np.int64)
         longer: Level | None = None
         for level in reversed(self.levels):
@@ -297,64 +304,86 @@ class Model:
         return out
 
 
-def _shard_column(order_shards: int) -> Column:
-    """The shard of a counted key, as :func:`shard_of` has it for n-grams; for words by their hash."""
-    two = F.shiftrightunsigned("key", 8).bitwiseAND(F.lit(0xFFFF))
-    return F.when(F.col("kind") == 0, F.pmod(two, F.lit(order_shards))).otherwise(F.pmod(F.shiftrightunsigned("key", 3), F.lit(order_shards))).cast("int")
+def _bucket_column(suffix: int) -> Column:
+    """The bucket of a counted key: of n-grams as :func:`bucket_of` has it, of words by their hash."""
+    end = F.shiftrightunsigned("key", 8).bitwiseAND(F.lit((1 << (8 * suffix)) - 1))
+    mixed = end * F.lit(_MIX) % F.lit(_PRIME)
+    return F.when(F.col("kind") == 0, mixed % F.lit(BUCKETS)).otherwise(F.pmod(F.shiftrightunsigned("key", 3), F.lit(BUCKETS))).cast("int")
 
 
 class Trained:
-    """Counts of a corpus, written once: ``kind, shard, key, n``; and the bounded sums that every pass needs."""
+    """Counts of a corpus, written once: ``kind, key, n``; and the bounded sums that every pass needs."""
 
-    def __init__(self, docs: DataFrame, order: int = ORDER, shards: int = SHARDS, scratch: Scratch | None = None):
-        self.order, self.shards = order, shards
+    def __init__(self, docs: DataFrame, order: int = ORDER, scratch: Scratch | None = None):
+        self.order = order
         self.scratch = scratch or Scratch(docs.sparkSession, "ppm")
-        counts = count_corpus(docs, order)
-        self.counts = self.scratch.write(counts.select("kind", _shard_column(shards).alias("shard"), "key", "n"), "counts")
-        sizes = self.counts.groupBy("kind", "shard").agg(F.count(F.lit(1)).alias("rows"), F.sum("n").alias("n")).collect()
-        self.rows = {(r["kind"], r["shard"]): r["rows"] for r in sizes}
-        self.tokens = sum(r["n"] for r in sizes if r["kind"] == 1)
-        self.types = sum(r["rows"] for r in sizes if r["kind"] == 1)
-        two = self.counts.where("kind = 0").groupBy(F.col("key").bitwiseAND(F.lit(0xFFFF if order else 0xFF)).alias("key")).agg(F.sum("n").alias("n")).toArrow()
-        self.low = (two.column("key").to_numpy().view(np.uint64), two.column("n").to_numpy())
-
-    def passes(self, broadcast_bytes: int) -> list[list[int]]:
-        """Shards dealt to passes, by what they take in a task."""
-        out: list[list[int]] = []
-        room = 0
-        for s in range(self.shards):
-            need = 64 * self.rows.get((0, s), 0) + 24 * self.rows.get((1, s), 0)
-            if not out or need > room:
-                out.append([])
-                room = broadcast_bytes
-            out[-1].append(s)
-            room -= need
+        self.counts = self.scratch.write(count_corpus(docs, order), "counts")
+        sums = self.counts.where("kind = 1").agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("types")).first()
+        self.tokens, self.types = sums["n"] or 0, sums["types"]
+
+    def _sizes(self, suffix: int) -> np.ndarray:
+        """Rows of each kind and bucket."""
+        got = self.counts.groupBy("kind", _bucket_column(suffix).alias("b")).agg(F.count(F.lit(1)).alias("rows")).collect()
+        out = np.zeros((2, BUCKETS), np.int64)
+        for r in got:
+            out[r["kind"], r["b"]] = r["rows"]
         return out
 
-    def load(self, shards: list[int]) -> dict:
-        own = self.counts.where(F.col("shard").isin(shards))
-        got = own.where("kind = 0").select(F.col("shard").cast("short"), "key", "n").toArrow()
-        shard, key, n = (got.column(i).to_numpy() for i in range(3))
-        del got
-        grams = {s: (key[shard == s].view(np.uint64), n[shard == s]) for s in shards}
-        got = own.where("kind = 1").select("key", F.log10(F.col("n") + F.lit(1.0)).alias("gain")).toArrow()
-        key, gain = (got.column(i).to_numpy() for i in range(2))
-        del got
-        key = key.view(np.uint64)
+    def passes(self, broadcast_bytes: int) -> tuple[int, list[list[list[int]]]]:
+        """Bytes of context that tell buckets apart, and the buckets of each pass, in slices for one job each."""
+        for suffix in (2, 3):
+            rows = self._sizes(suffix)
+            need = GRAM_BYTES * rows[0] + WORD_BYTES * rows[1]
+            if need.max() <= broadcast_bytes:
+                break
+        else:
+            raise ValueError(f"a bucket of contexts needs {need.max()} bytes in a task, over broadcast_bytes={broadcast_bytes}")
+        out: list[list[list[int]]] = []
+        room = left = 0
+        for b in range(BUCKETS):
+            if not out or need[b] > room:
+                out.append([[]])
+                room, left = broadcast_bytes, COLLECT
+            if rows[:, b].max() > left and out[-1][-1]:
+                out[-1].append([])
+                left = COLLECT
+            out[-1][-1].append(b)
+            room -= need[b]
+            left -= rows[:, b].max()
+        return suffix, out
+
+    def low(self, suffix: int) -> tuple[np.ndarray, np.ndarray]:
+        """Counts of the shorter orders: their n-grams are ``suffix`` bytes, so the alphabet bounds them."""
+        width = min(suffix, self.order + 1)
+        got = self.counts.where("kind = 0").groupBy(F.col("key").bitwiseAND(F.lit((1 << (8 * width)) - 1)).alias("key")).agg(F.sum("n").alias("n")).toArrow()
+        return got.column("key").to_numpy().view(np.uint64), got.column("n").to_numpy()
+
+    def load(self, suffix: int, slices: list[list[int]], low: tuple[np.ndarray, np.ndarray]) -> dict:
+        """What a pass sends."""
+        held = np.zeros(BUCKETS, bool)
+        held[[b for x in slices for b in x]] = True
+        got: list[list[tuple[np.ndarray, np.ndarray]]] = [[], []]
+        bucket = _bucket_column(suffix)
+        for x in slices:
+            some = self.counts.where(bucket.between(x[0], x[-1]) if x[-1] - x[0] + 1 == len(x) else bucket.isin(x))
+            for kind, value in ((0, F.col("n")), (1, F.log10(F.col("n") + F.lit(1.0)))):
+                rows = some.where(F.col("kind") == kind).select("key", value.alias("v")).toArrow()
+                got[kind].append((rows.column(0).to_numpy().view(np.uint64), rows.column(1).to_numpy()))
+        grams, (key, gain) = (tuple(np.concatenate([x[i] for x in got[kind]]) for i in (0, 1)) for kind in (0, 1))
         order = np.argsort(key)
-        return {"order": self.order, "n_shards": self.shards, "low": self.low, "grams": grams, "words": (key[order], gain[order])}
+        return {"order": self.order, "suffix": suffix, "low": low, "held": held, "grams": grams, "words": (key[order], gain[order])}
 
 
 def _model(sent) -> tuple[Model, dict]:
-    """Built once in each worker process for each set of shards; holds the broadcast, so that its id stays its own."""
+    """Built once in each worker process for each set of buckets; holds the broadcast, so that its id stays its own."""
     if id(sent) not in _models:
         _models.clear()
         v = sent.value
-        words, order = v["words"], v["order"]
-        _models[id(sent)] = (sent, Model(order, v["low"], v["grams"], v["n_shards"]), {"words": words, "order": order})
+        _models[id(sent)] = (sent, Model(v["order"], v["suffix"], v["low"], v["held"], v.pop("grams")), {"words": v["words"], "order": v["order"]})
         # the counts are in the tables now; a worker that needs them again reads them from its disk
         del v
         sent.__dict__.pop("_value", None)
+        release()
     return _models[id(sent)][1:]
 
 
@@ -393,33 +422,44 @@ def _slices(texts: list, chars: int = 1 << 21):
 
 def score(docs: DataFrame, trained: Trained, broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
     """``doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score`` for each row."""
-    spark, passes = docs.sparkSession, trained.passes(broadcast_bytes)
-    schema = "doc_id long, held_out boolean, text string, n_tokens long, n_known long, gain double, score double"
-    frame = docs.select(F.col("doc_id").cast("long").alias("doc_id"), held_out(F.col("doc_id")).alias("held_out"), text_of().alias("text"), *[F.lit(0).cast(t).alias(c) for c, t in (("n_tokens", "long"), ("n_known", "long"), ("gain", "double"), ("score", "double"))])
-    for i, shards in enumerate(passes):
-        sent = spark.sparkContext.broadcast(trained.load(shards))
-        last = i == len(passes) - 1
-
-        def work(batches, sent=sent, last=last):
+    spark = docs.sparkSession
+    suffix, passes = trained.passes(broadcast_bytes)
+    low = trained.low(suffix)
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text"), F.xxhash64(text_of()).alias("h"))
+    schema = "doc_id long, h long, n_tokens long, n_known long, gain double, score double"
+    parts: list[DataFrame] = []
+    for i, slices in enumerate(passes):
+        sent = spark.sparkContext.broadcast(trained.load(suffix, slices, low))
+
+        def work(batches, sent=sent):
             import pyarrow as pa
 
             model, rest = _model(sent)
             for b in batches:
                 texts = b.column("text").to_pylist()
                 got = [score_batch(model, rest["words"], texts[x:y], rest["order"]) for x, y in _slices(texts)]
-                size, known, gain, logs = (np.concatenate(x) if got else np.zeros(0) for x in zip(*got, strict=True)) if got else (np.zeros(0),) * 4
-                text = pa.nulls(len(texts), pa.string()) if last else b.column("text")
+                size, known, gain, logs = (np.concatenate(x) for x in zip(*got, strict=True)) if got else (np.zeros(0),) * 4
                 yield pa.RecordBatch.from_arrays(
-                    [b.column("doc_id"), b.column("held_out"), text, pa.array(size.astype(np.int64)), pa.array((b.column("n_known").to_numpy() + known).astype(np.int64)), pa.array(b.column("gain").to_numpy() + gain), pa.array(b.column("score").to_numpy() + logs)],
-                    names=["doc_id", "held_out", "text", "n_tokens", "n_known", "gain", "score"],
+                    [b.column("doc_id"), b.column("h"), pa.array(size.astype(np.int64)), pa.array(known.astype(np.int64)), pa.array(gain), pa.array(logs)],
+                    names=["doc_id", "h", "n_tokens", "n_known", "gain", "score"],
                 )
 
-        frame = frame.mapInArrow(work, schema)
-        if not last:
-            frame = trained.scratch.write(frame, f"pass-{i}")
+        part = rows.mapInArrow(lean(work, ROWS), schema)
+        if len(passes) > 1:
+            part = trained.scratch.write(part.withColumn("pass", F.lit(i)), f"pass-{i}")
+            sent.unpersist()
+        parts.append(part)
+    if len(parts) == 1:
+        out = parts[0]
+    else:
+        # repeated rows score alike, so one of them stands for all
+        one = reduce(DataFrame.unionByName, parts).dropDuplicates(["pass", "doc_id", "h"])
+        sums = one.groupBy(F.col("doc_id").alias("d"), F.col("h").alias("g")).agg(F.max("n_tokens").alias("n_tokens"), *[F.sum(c).alias(c) for c in ("n_known", "gain", "score")])
+        keys = rows.select("doc_id", "h")
+        out = keys.join(sums, keys["doc_id"].eqNullSafe(sums["d"]) & (keys["h"] == sums["g"]))
     bottom = math.log10(trained.tokens + trained.types + 1)
     base = F.col("gain") - F.col("n_tokens") * F.lit(bottom)
-    return frame.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(trained.tokens).cast("long").alias("train_tokens"), base.alias("base_score"), "score")
+    return out.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "n_tokens", "n_known", F.lit(trained.tokens).cast("long").alias("train_tokens"), base.alias("base_score"), "score")
 
 
 def score_corpus(docs: DataFrame, order: int = ORDER, scratch: Scratch | None = None, broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
@@ -477,4 +517,4 @@ def score_adaptive(docs: DataFrame, order: int = ORDER) -> DataFrame:
             logs = [Trie(order).run(t, learn=True) for t in b.column("text").to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(logs, pa.float64())], names=["doc_id", "score"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text")).mapInArrow(work, "doc_id long, score double")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text")).mapInArrow(lean(work, ROWS), "doc_id long, score double")
