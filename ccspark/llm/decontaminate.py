@@ -3,11 +3,12 @@
 Benchmark items are cut into passages of ``PASSAGE`` words. Words are weighed by their
 inverse document frequency over all documents; the TF-IDF matrix of the passages is
 reduced by a randomised SVD whose products are summed over the tasks that hold the rows.
-Documents are read at a spot every ``STEP`` words. Around a spot an item leaks if ``full`` of its words are there in
-order (longest common subsequence), or ``part`` of them together with its answer (its last
-sentence). A document or spot is passed over only if it has too few of the item's words
-to meet this in any order, which loses nothing; the spots left are taken by the cosine of
-their words, folded into the latent space, with the passages, so the best comes first.
+Documents are read at a spot every ``STEP`` words, whose ``PASSAGE`` words are folded into the
+latent space. Spots whose cosine with a passage is ``min_cosine`` or more are candidates of its
+item. Around a candidate an item leaks if ``full`` of its words are there in order (longest
+common subsequence), or ``part`` of them together with its answer (its last sentence). What a
+document or a spot cannot meet with all its words, in whatever order, is not searched for in it;
+that loses nothing.
 
 The benchmark is a stated query set: it is taken in blocks of ``block`` items, each with
 its own vocabulary and space, and each block reads all documents. What is sent to the
@@ -30,6 +31,9 @@ from ccspark.llm.common import lean, text_of
 
 PASSAGE, STEP = 32, 16
 RANK, POWER = 192, 2
+#: Least cosine in the latent space of a spot with a passage that makes it a candidate.
+MIN_COSINE = 0.4
+SCHEMA = "doc_id long, item_id long, lcs_share double, answer_found boolean, cosine double"
 BLOCK = 2048
 #: Texts that a task takes at once.
 ROWS = 512
@@ -138,8 +142,10 @@ def latent_basis(rows: DataFrame, words: int, rank: int = RANK, power: int = POW
 
 
 def _weighed(ids: np.ndarray, idf: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """A passage's distinct words with their TF-IDF weights, of length one: each passage counts alike in the space."""
     at, count = np.unique(ids, return_counts=True)
-    return at, count * idf[at]
+    weights = count * idf[at]
+    return at, weights / np.linalg.norm(weights)
 
 
 def _counted(lists: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -149,18 +155,15 @@ def _counted(lists: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarra
     return np.concatenate([w for w, _ in each]), np.concatenate([c for _, c in each]), begin
 
 
-def _regions(ids: np.ndarray, word: np.ndarray, count: np.ndarray, told: np.ndarray, reach: int) -> tuple[np.ndarray, ...]:
+def _regions(ids: np.ndarray, spots: np.ndarray, word: np.ndarray, count: np.ndarray, told: np.ndarray, reach: int) -> tuple[np.ndarray, ...]:
     """The item's words in a text, and for each spot where they begin and end around it and how many of the item's and of
-    its answer's words they can be at most: as many as each word comes, in any order. Spots alike in this are one.
+    its answer's words they can be at most: as many as each word comes, in any order.
 
     word, count: the item's distinct words in order, with their counts; told: the counts in its answer.
     """
     at = np.minimum(np.searchsorted(word, ids), len(word) - 1)
     place = np.flatnonzero(word[at] == ids)
-    spots = np.arange(max(1, -(-len(ids) // STEP) - 1)) * STEP
     low, high = np.searchsorted(place, spots - reach), np.searchsorted(place, spots + PASSAGE + reach)
-    fresh = np.r_[True, (np.diff(low) != 0) | (np.diff(high) != 0)]
-    spots, low, high = spots[fresh], low[fresh], high[fresh]
     most, answer = np.zeros(len(spots), np.int64), np.zeros(len(spots), np.int64)
     for i in range(0, len(spots), 1024):
         part, start, end = slice(i, i + 1024), low[i], high[min(i + 1024, len(spots)) - 1]
@@ -169,10 +172,25 @@ def _regions(ids: np.ndarray, word: np.ndarray, count: np.ndarray, told: np.ndar
         np.cumsum(sums, axis=0, out=sums)
         here = sums[high[part] - start] - sums[low[part] - start]
         most[part], answer[part] = np.minimum(here, count).sum(1), np.minimum(here, told).sum(1)
-    return place, spots, low, high, most, answer
+    return place, low, high, most, answer
 
 
-def _search_block(docs: DataFrame, items: list[tuple[int, str]], full: float, part: float, rank: int) -> DataFrame:
+def _spot_vectors(ids: np.ndarray, table: np.ndarray) -> np.ndarray:
+    """The words of each spot folded into the latent space, of length one."""
+    spots = np.arange(max(1, -(-len(ids) // STEP) - 1)) * STEP
+    out = np.zeros((len(spots), table.shape[1]), np.float32)
+    for i in range(0, len(spots), 512):
+        start, end = spots[i], min(len(ids), spots[min(i + 512, len(spots)) - 1] + PASSAGE)
+        steps = np.add.reduceat(table[ids[start:end]], np.arange(0, end - start, STEP))
+        part = out[i : i + 512]
+        n = len(part)
+        part += steps[:n]
+        more = steps[1 : n + 1]
+        part[: len(more)] += more
+    return out / np.maximum(np.linalg.norm(out, axis=1), 1e-9)[:, None]
+
+
+def _search_block(docs: DataFrame, items: list[tuple[int, str]], full: float, part: float, rank: int, min_cosine: float) -> DataFrame:
     spark = docs.sparkSession
     words = [tokens(t) for _, t in items]
     vocabulary = {w: i for i, w in enumerate(sorted({w for x in words for w in x}))}
@@ -192,39 +210,43 @@ def _search_block(docs: DataFrame, items: list[tuple[int, str]], full: float, pa
         {"number": vocabulary, "table": table, "of": [passages[of == k] for k in range(len(items))], "ids": [i for i, _ in items], "items": numbered, "answers": answers, "words": _counted(numbered), "told": _counted(answers)}
     )
 
-    def settle(ids: np.ndarray, k: int, v: dict) -> tuple[float, bool]:
-        """The best common subsequence around a spot: share of the item, and whether the answer is there.
+    def settle(ids: np.ndarray, vectors: np.ndarray, k: int, v: dict) -> tuple[float, bool, float]:
+        """The best common subsequence around the candidate spots: share of the item, whether the answer is there, cosine.
 
-        Spots are taken in the order of their cosine with the item's passages; one is passed over only if its words,
-        in whatever order, cannot meet the rule or be better than what was found.
+        Candidates are the spots whose cosine with a passage of the item suffices, the nearest first. Of these one is
+        passed over if its words, in whatever order, cannot meet the rule or be better than what was found.
         """
         item, answer = v["items"][k].tolist(), v["answers"][k].tolist()
         words, counts, begin = v["words"]
         word, count = words[begin[k] : begin[k + 1]], counts[begin[k] : begin[k + 1]]
         told = np.bincount(np.searchsorted(word, v["answers"][k]), minlength=len(word))
-        place, spots, low, high, most, share_of_answer = _regions(ids, word, count, told, len(item) + len(item) // 2)
+        near = (vectors @ v["of"][k].T).max(1)
+        at = np.flatnonzero(near >= min_cosine)
+        best = (False, 0.0, False, 0.0)
+        if not len(at):
+            return best[1:]
+        place, low, high, most, share_of_answer = _regions(ids, at * STEP, word, count, told, len(item) + len(item) // 2)
         most, can = most / len(item), share_of_answer >= 0.8 * len(answer)
-        open_ = np.flatnonzero((most >= full) | ((most >= part) & can))
-        best = (0.0, False)
-        if len(open_) > 1:
-            vectors = np.stack([v["table"][ids[s : s + PASSAGE]].sum(0) for s in spots[open_].tolist()])
-            near = (vectors @ v["of"][k].T).max(1) / np.maximum(np.linalg.norm(vectors, axis=1), 1e-9)
-            open_ = open_[np.argsort(-near, kind="stable")]
-        for i in open_.tolist():
-            if (most[i], bool(can[i])) > best:
+        for i in np.argsort(-near[at], kind="stable").tolist():
+            if most[i] >= full or (most[i] >= part and can[i]):
+                # alike in what may be met, so no better: leaks first, then by share
+                if best[0] and (most[i], bool(can[i])) <= best[1:3]:
+                    continue
                 around = ids[place[low[i] : high[i]]].tolist()
-                got = common_length(item, around) / len(item), common_length(answer, around) >= 0.8 * len(answer)
-                best = max(best, got)
-        return best
+                share, answered = common_length(item, around) / len(item), common_length(answer, around) >= 0.8 * len(answer)
+                leak = share >= full or (share >= part and answered)
+                if (leak, share, answered) > best[:3]:
+                    best = (leak, share, answered, float(near[at[i]]))
+        return best[1:]
 
     def work(batches):
         import pyarrow as pa
 
-        v = sent.value
+        v, names = sent.value, [x.split()[0] for x in SCHEMA.split(", ")]
         number, (words, counts, begin), (told, times, start) = v["number"], v["words"], v["told"]
         size, size_of_answer = np.array([len(x) for x in v["items"]]), np.array([len(x) for x in v["answers"]])
         for b in batches:
-            out = [[], [], [], []]
+            out = [[], [], [], [], []]
             for doc, text in zip(b.column("doc_id").to_pylist(), b.column("text").to_pylist(), strict=True):
                 found = tokens(text)
                 if not found:
@@ -233,25 +255,27 @@ def _search_block(docs: DataFrame, items: list[tuple[int, str]], full: float, pa
                 here = np.bincount(ids, minlength=len(number) + 1)
                 most = np.add.reduceat(np.minimum(here[words], counts), begin[:-1]) / size
                 can = np.add.reduceat(np.minimum(here[told], times), start[:-1]) >= 0.8 * size_of_answer
-                for k in np.flatnonzero((most >= full) | ((most >= part) & can)).tolist():
-                    share, answered = settle(ids, k, v)
+                possible = np.flatnonzero((most >= full) | ((most >= part) & can)).tolist()
+                vectors = _spot_vectors(ids, v["table"]) if possible else None
+                for k in possible:
+                    share, answered, cosine = settle(ids, vectors, k, v)
                     if share >= full or (share >= part and answered):
-                        for column, value in zip(out, (doc, v["ids"][k], share, answered), strict=True):
+                        for column, value in zip(out, (doc, v["ids"][k], share, answered, cosine), strict=True):
                             column.append(value)
-            yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(out, (pa.int64(), pa.int64(), pa.float64(), pa.bool_()), strict=True)], names=["doc_id", "item_id", "lcs_share", "answer_found"])
+            yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(out, (pa.int64(), pa.int64(), pa.float64(), pa.bool_(), pa.float64()), strict=True)], names=names)
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text")).mapInArrow(lean(work, ROWS), "doc_id long, item_id long, lcs_share double, answer_found boolean")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text")).mapInArrow(lean(work, ROWS), SCHEMA)
 
 
-def leaks(docs: DataFrame, benchmark: DataFrame, full: float = 0.8, part: float = 0.5, min_words: int = 8, rank: int = RANK, block: int = BLOCK) -> DataFrame:
-    """``doc_id, item_id, lcs_share, answer_found``: documents that hold a benchmark item, with the share of its words there in order."""
+def leaks(docs: DataFrame, benchmark: DataFrame, full: float = 0.8, part: float = 0.5, min_words: int = 8, rank: int = RANK, block: int = BLOCK, min_cosine: float = MIN_COSINE) -> DataFrame:
+    """``doc_id, item_id, lcs_share, answer_found, cosine``: documents that hold a benchmark item, with the share of its words there in order and the cosine of that spot."""
     texts = docs.select("doc_id", text_of().alias("text"))
     out: list[DataFrame] = []
     held: list[tuple[int, str]] = []
 
     def flush():
         if held:
-            out.append(_search_block(texts, list(held), full, part, rank))
+            out.append(_search_block(texts, list(held), full, part, rank, min_cosine))
             held.clear()
 
     for r in benchmark.where("text is not null and item_id is not null").select("item_id", "text").dropDuplicates().toLocalIterator():
@@ -261,7 +285,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, full: float = 0.8, part: float
             flush()
     flush()
     if not out:
-        return docs.sparkSession.createDataFrame([], "doc_id long, item_id long, lcs_share double, answer_found boolean")
+        return docs.sparkSession.createDataFrame([], SCHEMA)
     return reduce(DataFrame.unionByName, out)
 
 
