@@ -16,7 +16,7 @@ their last two bytes (three, where a bucket of two would be too large), so that
 orders of a position lie in one bucket; the shorter orders are bounded by the alphabet.
 Scoring sends as many buckets to the tasks as ``broadcast_bytes`` allow. Each such set is
 one pass over the texts, whose partial sums are written and added. The counts of a pass
-come to the driver in jobs of ``COLLECT`` rows. A single bucket of three bytes over the
+come to the driver in jobs of ``COLLECT`` rows. Word counts go with the first passes. A single bucket of three bytes over the
 bound is refused, with the size that it needs.
 
 Null or empty text: only the end. A null doc_id is never held out. Repeated rows are
@@ -40,11 +40,11 @@ END, SYMBOLS = 255, 256
 ORDER = 5
 #: Buckets of the longer contexts and of the word counts; those that fit are sent at once.
 BUCKETS = 4096
-BROADCAST_BYTES = 320 << 20
+BROADCAST_BYTES = 160 << 20
 #: What a counted n-gram and a word take in a task; rows that one job brings to the driver; texts that a task takes at once.
 GRAM_BYTES, WORD_BYTES, COLLECT, ROWS = 64, 24, 1 << 20, 512
-#: Fixed values of the bucket's mix: a multiplier and a prime modulus, whose product with three bytes fits a long.
-_MIX, _PRIME = 2654435761, 4294967291
+#: Multiplier of the buckets' mix, whose product with three bytes fits a long, and the shift that takes its middle.
+_MIX, _SHIFT = 2654435761, 20
 _MULT = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -243,11 +243,17 @@ class Level:
         del self.grams, self.ctx, self.counts, self.n, self.d, self.more
 
 
-def levels_of(grams: np.ndarray, counts: np.ndarray, order: int, least: int, parent: Level | None) -> list[Level]:
-    """Levels ``least .. order`` from counts of the longest n-grams; parent: the level below ``least``."""
+def levels_of(longest: list[np.ndarray], order: int, least: int, parent: Level | None) -> list[Level]:
+    """Levels ``least .. order`` from the longest n-grams and their counts; parent: the level below ``least``."""
     out = []
+    grams, counts = longest
+    longest.clear()
     for j in range(least, order + 1):
-        level = Level(j, *_add(grams & np.uint64((1 << (8 * (j + 1))) - 1), counts), parent)
+        sums = _add(grams & np.uint64((1 << (8 * (j + 1))) - 1), counts)
+        if j == order:
+            del grams, counts
+        level = Level(j, *sums, parent)
+        del sums
         if parent is not None and parent.order > 1:
             parent.index()
         out.append(parent := level)
@@ -257,18 +263,19 @@ def levels_of(grams: np.ndarray, counts: np.ndarray, order: int, least: int, par
 def bucket_of(gram: np.ndarray, suffix: int) -> np.ndarray:
     """From the ``suffix`` bytes before the symbol; :func:`_bucket_column` is its like."""
     end = (gram >> np.uint64(8)) & np.uint64((1 << (8 * suffix)) - 1)
-    return (end * np.uint64(_MIX) % np.uint64(_PRIME) % np.uint64(BUCKETS)).astype(np.int64)
+    return ((end * np.uint64(_MIX) >> np.uint64(_SHIFT)) & np.uint64(BUCKETS - 1)).astype(np.int64)
 
 
 class Model:
     """The orders below ``suffix`` and those of the longer contexts whose buckets are held."""
 
-    def __init__(self, order: int, suffix: int, low: tuple[np.ndarray, np.ndarray], held: np.ndarray, grams: tuple[np.ndarray, np.ndarray]):
+    def __init__(self, order: int, suffix: int, low: tuple[np.ndarray, np.ndarray], held: np.ndarray, grams: list[np.ndarray]):
+        """grams: n-grams and counts; the list is emptied, so that they go when the tables are built."""
         self.order, self.suffix, self.held = order, suffix, held
-        self.low = levels_of(*low, min(suffix - 1, order), 0, None)
+        self.low = levels_of(list(low), min(suffix - 1, order), 0, None)
         high = []
         if order >= suffix:
-            high = levels_of(*grams, order, suffix, self.low[-1])
+            high = levels_of(grams, order, suffix, self.low[-1])
             high[-1].index()
         for x in self.low:
             x.index()
@@ -307,8 +314,8 @@ class Model:
 def _bucket_column(suffix: int) -> Column:
     """The bucket of a counted key: of n-grams as :func:`bucket_of` has it, of words by their hash."""
     end = F.shiftrightunsigned("key", 8).bitwiseAND(F.lit((1 << (8 * suffix)) - 1))
-    mixed = end * F.lit(_MIX) % F.lit(_PRIME)
-    return F.when(F.col("kind") == 0, mixed % F.lit(BUCKETS)).otherwise(F.pmod(F.shiftrightunsigned("key", 3), F.lit(BUCKETS))).cast("int")
+    mixed = F.shiftrightunsigned(end * F.lit(_MIX), _SHIFT).bitwiseAND(F.lit(BUCKETS - 1))
+    return F.when(F.col("kind") == 0, mixed).otherwise(F.pmod(F.shiftrightunsigned("key", 3), F.lit(BUCKETS))).cast("int")
 
 
 class Trained:
@@ -329,27 +336,29 @@ class Trained:
             out[r["kind"], r["b"]] = r["rows"]
         return out
 
-    def passes(self, broadcast_bytes: int) -> tuple[int, list[list[list[int]]]]:
-        """Bytes of context that tell buckets apart, and the buckets of each pass, in slices for one job each."""
+    def passes(self, broadcast_bytes: int) -> tuple[int, list[list[tuple[int, list[int]]]]]:
+        """Bytes of context that tell buckets apart, and for each pass its slices (kind, buckets), one job each. Words come first."""
         for suffix in (2, 3):
             rows = self._sizes(suffix)
-            need = GRAM_BYTES * rows[0] + WORD_BYTES * rows[1]
+            need = np.stack([GRAM_BYTES * rows[0], WORD_BYTES * rows[1]])
             if need.max() <= broadcast_bytes:
                 break
         else:
             raise ValueError(f"a bucket of contexts needs {need.max()} bytes in a task, over broadcast_bytes={broadcast_bytes}")
-        out: list[list[list[int]]] = []
-        room = left = 0
-        for b in range(BUCKETS):
-            if not out or need[b] > room:
-                out.append([[]])
-                room, left = broadcast_bytes, COLLECT
-            if rows[:, b].max() > left and out[-1][-1]:
-                out[-1].append([])
-                left = COLLECT
-            out[-1][-1].append(b)
-            room -= need[b]
-            left -= rows[:, b].max()
+        out: list[list[tuple[int, list[int]]]] = [[]]
+        room = broadcast_bytes
+        for kind in (1, 0):
+            left = 0
+            for b in range(BUCKETS):
+                if need[kind, b] > room:
+                    out.append([])
+                    room, left = broadcast_bytes, 0
+                if not out[-1] or out[-1][-1][0] != kind or rows[kind, b] > left:
+                    out[-1].append((kind, []))
+                    left = COLLECT
+                out[-1][-1][1].append(b)
+                room -= need[kind, b]
+                left -= rows[kind, b]
         return suffix, out
 
     def low(self, suffix: int) -> tuple[np.ndarray, np.ndarray]:
@@ -358,20 +367,19 @@ class Trained:
         got = self.counts.where("kind = 0").groupBy(F.col("key").bitwiseAND(F.lit((1 << (8 * width)) - 1)).alias("key")).agg(F.sum("n").alias("n")).toArrow()
         return got.column("key").to_numpy().view(np.uint64), got.column("n").to_numpy()
 
-    def load(self, suffix: int, slices: list[list[int]], low: tuple[np.ndarray, np.ndarray]) -> dict:
+    def load(self, suffix: int, slices: list[tuple[int, list[int]]], low: tuple[np.ndarray, np.ndarray]) -> dict:
         """What a pass sends."""
         held = np.zeros(BUCKETS, bool)
-        held[[b for x in slices for b in x]] = True
-        got: list[list[tuple[np.ndarray, np.ndarray]]] = [[], []]
-        bucket = _bucket_column(suffix)
-        for x in slices:
-            some = self.counts.where(bucket.between(x[0], x[-1]) if x[-1] - x[0] + 1 == len(x) else bucket.isin(x))
-            for kind, value in ((0, F.col("n")), (1, F.log10(F.col("n") + F.lit(1.0)))):
-                rows = some.where(F.col("kind") == kind).select("key", value.alias("v")).toArrow()
-                got[kind].append((rows.column(0).to_numpy().view(np.uint64), rows.column(1).to_numpy()))
-        grams, (key, gain) = (tuple(np.concatenate([x[i] for x in got[kind]]) for i in (0, 1)) for kind in (0, 1))
+        got: list[list[tuple[np.ndarray, np.ndarray]]] = [[(np.zeros(0, np.uint64), np.zeros(0, t))] for t in (np.int64, np.float64)]
+        for kind, x in slices:
+            if not kind:
+                held[x] = True
+            value = F.log10(F.col("n") + F.lit(1.0)) if kind else F.col("n")
+            rows = self.counts.where((F.col("kind") == kind) & _bucket_column(suffix).between(x[0], x[-1])).select("key", value.alias("v")).toArrow()
+            got[kind].append((rows.column(0).to_numpy().view(np.uint64), rows.column(1).to_numpy()))
+        grams, (key, gain) = ([np.concatenate([x[i] for x in got[kind]]) for i in (0, 1)] for kind in (0, 1))
         order = np.argsort(key)
-        return {"order": self.order, "suffix": suffix, "low": low, "held": held, "grams": grams, "words": (key[order], gain[order])}
+        return {"order": self.order, "suffix": suffix, "low": low, "held": held, "grams": grams, "words": (key[order], gain[order]), "first": slices[0][0] == 1}
 
 
 def _model(sent) -> tuple[Model, dict]:
@@ -379,7 +387,7 @@ def _model(sent) -> tuple[Model, dict]:
     if id(sent) not in _models:
         _models.clear()
         v = sent.value
-        _models[id(sent)] = (sent, Model(v["order"], v["suffix"], v["low"], v["held"], v.pop("grams")), {"words": v["words"], "order": v["order"]})
+        _models[id(sent)] = (sent, Model(v["order"], v["suffix"], v["low"], v["held"], v.pop("grams")), {"words": v["words"] if len(v["words"][0]) or v["first"] else None, "order": v["order"]})
         # the counts are in the tables now; a worker that needs them again reads them from its disk
         del v
         sent.__dict__.pop("_value", None)
@@ -387,8 +395,11 @@ def _model(sent) -> tuple[Model, dict]:
     return _models[id(sent)][1:]
 
 
-def score_batch(model: Model, words: tuple[np.ndarray, np.ndarray], texts: list, order: int) -> tuple[np.ndarray, ...]:
-    """Per text: tokens, known tokens, their log10(count + 1), and the log10 probability that this pass adds."""
+def score_batch(model: Model, words: tuple[np.ndarray, np.ndarray] | None, texts: list, order: int) -> tuple[np.ndarray, ...]:
+    """Per text: tokens, known tokens, their log10(count + 1), and the log10 probability that this pass adds.
+
+    words: hashes and gains that this pass holds; None if it holds none and another counts the tokens.
+    """
     buffer, first = _bytes_of(texts, order)
     keep = _positions(first, len(buffer), order)
     logs = np.zeros(len(buffer))
@@ -398,6 +409,8 @@ def score_batch(model: Model, words: tuple[np.ndarray, np.ndarray], texts: list,
         part = at[i : i + (1 << 19)]
         logs[part] = model.log10(grams[part])
     score = np.add.reduceat(logs, first)
+    if words is None:
+        return *(np.zeros(len(texts), t) for t in (np.int64, np.int64, np.float64)), score
     hashes = [_word_hashes(t) for t in texts]
     size = np.array([len(h) + 1 for h in hashes], np.int64)
     flat = np.concatenate([x for h in hashes for x in (h, np.array([_end_hash()], np.uint64))])
