@@ -112,3 +112,13 @@ def asof_link(left: DataFrame, right: DataFrame, by: str, ts: str, left_id: str,
     b = right.select(F.col(by).alias("k"), F.col(ts).alias("t"), F.lit(0).alias("side"), F.lit(None).cast("long").alias("l"), F.col(right_id).cast("long").alias("r"))
     w = Window.partitionBy("k").orderBy("t", "side", "r").rowsBetween(Window.unboundedPreceding, 0)
     return a.unionByName(b).withColumn("r", F.last("r", ignorenulls=True).over(w)).where("side = 1 and r is not null").select(F.col("l").alias("src"), F.col("r").alias("dst"))
+
+
+def overlap_join(df: DataFrame, vertex: str, key: str, start: str, end: str, width: int) -> DataFrame:
+    """Pairs of rows of one key whose closed intervals (longs) overlap: bins of ``width``, met in the first bin that both have."""
+    rows = df.select(F.col(vertex).cast("long").alias("v"), F.col(key).alias("k"), F.col(start).cast("long").alias("lo"), F.col(end).cast("long").alias("hi")).where("lo <= hi")
+    bin_ = lambda c: F.floor(F.col(c) / width).cast("long")
+    binned = rows.select("*", F.explode(F.sequence(bin_("lo"), bin_("hi"))).alias("bin"))
+    a, b = (binned.select("k", "bin", *[F.col(c).alias(f"{c}_{x}") for c in ("v", "lo", "hi")]) for x in ("a", "b"))
+    first = F.col("bin") == F.floor(F.greatest("lo_a", "lo_b") / width)
+    return a.join(b, ["k", "bin"]).where((F.col("v_a") < F.col("v_b")) & (F.col("lo_a") <= F.col("hi_b")) & (F.col("lo_b") <= F.col("hi_a")) & first).select(F.col("v_a").alias("src"), F.col("v_b").alias("dst"))

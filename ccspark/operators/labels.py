@@ -18,6 +18,12 @@ def closed_min(sym: DataFrame, prio: Priority, phase: int = 0) -> DataFrame:
     return best.select(F.col("src").alias("v"), F.least(F.col("m"), prio.of(F.col("src"), phase)).alias("m"))
 
 
+def closed_min_by_struct(sym: DataFrame, prio: Priority, phase: int = 0) -> DataFrame:
+    """As :func:`closed_min`, by a minimum over (priority, vertex) structs, which plans as a sort aggregate: for comparison."""
+    best = sym.groupBy("src").agg(F.min(F.struct(prio.of(F.col("dst"), phase).alias("p"), F.col("dst").alias("d"))).alias("m"))
+    return best.select(F.col("src").alias("v"), F.least(F.col("m.p"), prio.of(F.col("src"), phase)).alias("m"))
+
+
 def two_hop_min(sym: DataFrame, prio: Priority, phase: int = 0) -> DataFrame:
     """Smallest priority within two hops: ``v, label``.
 
@@ -53,7 +59,7 @@ def jump_pointers(rooted: DataFrame, scratch, tag: str = "jump") -> tuple[DataFr
 
 
 def chase_lookup(rooted: DataFrame, max_rows: int = 2_000_000) -> DataFrame:
-    """Roots by direct lookup: the whole map is sent to each task and followed there.
+    """Roots by direct lookup: ``v, parent, hops`` (lookups made); the whole map is sent to each task and followed there.
 
     Only for maps of at most ``max_rows`` rows (16 bytes each); larger ones raise, and the caller doubles instead.
     """
@@ -72,14 +78,17 @@ def chase_lookup(rooted: DataFrame, max_rows: int = 2_000_000) -> DataFrame:
         keys, to = sent.value
         for b in batches:
             at = b.column("parent").to_numpy()
+            hops = np.ones(len(at), np.int32)
             while len(at):
                 nxt = to[np.searchsorted(keys, at)]
-                if (nxt == at).all():
+                moved = nxt != at
+                if not moved.any():
                     break
+                hops += moved
                 at = nxt
-            yield pa.RecordBatch.from_arrays([b.column("v"), pa.array(at, pa.int64())], names=["v", "parent"])
+            yield pa.RecordBatch.from_arrays([b.column("v"), pa.array(at, pa.int64()), pa.array(hops)], names=["v", "parent", "hops"])
 
-    return rooted.select("v", "parent").mapInArrow(follow, "v long, parent long")
+    return rooted.select("v", "parent").mapInArrow(follow, "v long, parent long, hops int")
 
 
 def chain_depth(parent: DataFrame, scratch, tag: str = "depth") -> int:

@@ -95,9 +95,47 @@ def relative_times(runs: DataFrame) -> DataFrame:
     return m.withColumn("relative", F.col("median_s") / F.min("median_s").over(Window.partitionBy("graph")))
 
 
-def receive_ratio(spark, since: set[int] | None = None) -> dict:
-    """Shuffle bytes that the busiest task read against the mean, from the status store of finished stages."""
-    store = spark.sparkContext._jsc.sc().statusStore()
-    stages = store.stageList(None)
-    read = [stages.apply(i).shuffleReadBytes() / max(1, stages.apply(i).numTasks()) for i in range(stages.size()) if since is None or stages.apply(i).stageId() not in since]
-    return {"stages": len(read), "most_mean_bytes": max(read, default=0.0)}
+class Traffic:
+    """Counts what stages send through shuffles, from the status store: rows, bytes and the stages that wrote any.
+
+    Counts all of the application's stages since it was made or last taken, so one run at a time.
+    """
+
+    def __init__(self, spark):
+        self.sc, self.seen = spark.sparkContext, -1
+        self.stages()
+
+    def stages(self) -> list:
+        """Stages that ended since the last call."""
+        self.sc._jsc.sc().listenerBus().waitUntilEmpty(60_000)
+        gateway = self.sc._gateway
+        found, out = self.sc._jsc.sc().statusStore().stageList(None, False, False, gateway.new_array(gateway.jvm.double, 0), gateway.jvm.java.util.ArrayList()), []
+        for i in range(found.size()):
+            if (stage := found.apply(i)).stageId() <= self.seen:
+                break
+            out.append(stage)
+        self.seen = max([self.seen, *(s.stageId() for s in out)])
+        return out
+
+    def take(self) -> dict[str, int]:
+        wrote = [(s.shuffleWriteRecords(), s.shuffleWriteBytes()) for s in self.stages()]
+        wrote = [x for x in wrote if x[0]]
+        return {"exchanges": len(wrote), "records": sum(x[0] for x in wrote), "bytes": sum(x[1] for x in wrote)}
+
+    def received(self) -> dict[str, float]:
+        """Of the stages since the last call: bytes that the busiest task read, over the mean of its stage's tasks."""
+        gateway = self.sc._gateway
+        at = gateway.new_array(gateway.jvm.double, 1)
+        at[0] = 1.0
+        worst = {"bytes": 0.0, "ratio": 1.0}
+        for s in self.stages():
+            if s.shuffleReadBytes() and (tasks := self.sc._jsc.sc().statusStore().taskSummary(s.stageId(), s.attemptId(), at)).isDefined():
+                most = tasks.get().shuffleReadMetrics().readBytes().apply(0)
+                worst = max(worst, {"bytes": most, "ratio": most * s.numTasks() / s.shuffleReadBytes()}, key=lambda x: x["bytes"])
+        return worst
+
+
+def density_bound(before: tuple[int, int], after: tuple[int, int], alpha: float) -> dict[str, float]:
+    """Edge frequency among the nodes (``nodes, edges``) after an absorbed phase, against alpha squared over the edges before."""
+    n, m = after
+    return {"density": 2 * m / (n * (n - 1)) if n > 1 else 1.0, "bound": min(1.0, alpha * alpha / before[1])}

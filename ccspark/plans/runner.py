@@ -19,9 +19,10 @@ from ccspark.functions.priority import Priority
 from ccspark.operators import absorb as absorbing
 from ccspark.operators import contract, finish, labels, stars
 from ccspark.operators.edges import endpoints, simplify, symmetrise
+from ccspark.plans.metrics import Traffic
 from ccspark.plans.store import Scratch
 
-STAT_SCHEMA = "method string, phase int, nodes_in long, edges_in long, labels long, largest_cluster long, jump_steps int, rounds int, records_sent long, finished_by string, seconds double"
+STAT_SCHEMA = "method string, phase int, nodes_in long, edges_in long, labels long, largest_cluster long, jump_steps int, rounds int, records_sent long, bytes_sent long, lookups long, finished_by string, seconds double"
 CONTRACTING = ("two_hop", "forest", "rewire_merge")
 METHODS = (*CONTRACTING, "star_alternation", "min_hub", "min_spread", "full_cluster", "single_task")
 
@@ -39,8 +40,11 @@ class PhaseStat:
     labels: int = 0
     largest_cluster: int = 0
     jump_steps: int = 0
+    #: Exchanges that sent rows, and what they sent, as counted by Spark; lookups in a map that the tasks hold.
     rounds: int = 0
     records_sent: int = 0
+    bytes_sent: int = 0
+    lookups: int = 0
     finished_by: str = ""
     seconds: float = 0.0
 
@@ -64,7 +68,7 @@ class Config:
     method: str = "two_hop"
     priority: str = "permute"
     seed: int = 0
-    finish_edges: int = 20_000_000
+    finish_edges: int = 5_000_000
     drop_isolated: bool = True
     absorb: absorbing.Schedule | None = None
     large_moves: bool = False
@@ -91,7 +95,6 @@ class Config:
 def _two_hop(edges, cfg: Config, phase, scratch, stat):
     k = cfg.order(phase)
     label = labels.two_hop_min(symmetrise(edges), cfg.prio, k)
-    stat.rounds, stat.records_sent = 4, 4 * stat.edges_in
     return label.select("v", cfg.prio.owner(F.col("label"), k).alias("node")), edges
 
 
@@ -102,10 +105,11 @@ def _forest(edges, cfg: Config, phase, scratch, stat):
     if cfg.lookup:
         rooted, n = scratch.counted(rooted, f"rooted-{phase}")
         if n <= cfg.lookup_rows:
-            stat.rounds, stat.records_sent = 4, 2 * stat.edges_in + n
-            return labels.chase_lookup(rooted, cfg.lookup_rows).withColumnRenamed("parent", "node"), edges
+            root, seen = scratch.observed(labels.chase_lookup(rooted, cfg.lookup_rows), f"chased-{phase}", hops=F.sum("hops"))
+            stat.lookups = seen["hops"] or 0
+            return root.select("v", F.col("parent").alias("node")), edges
     root, steps = labels.jump_pointers(rooted, scratch, f"jump-{phase}")
-    stat.jump_steps, stat.rounds, stat.records_sent = steps, 4 + steps, 2 * stat.edges_in
+    stat.jump_steps = steps
     return root.withColumnRenamed("parent", "node"), edges
 
 
@@ -126,7 +130,6 @@ def _rewire_merge(edges, cfg: Config, phase, scratch, stat):
     k = cfg.order(phase)
     hubbed = scratch.write(rewire(edges, cfg.prio, k, scratch), f"rewired-{phase}")
     near = labels.closed_min(symmetrise(hubbed), cfg.prio, k)
-    stat.rounds, stat.records_sent = 5, 6 * stat.edges_in
     return near.select("v", cfg.prio.owner(F.col("m"), k).alias("node")), hubbed
 
 
@@ -154,6 +157,14 @@ def _done(cfg: Config, scratch: Scratch) -> tuple[list[DataFrame], DataFrame | N
     return maps[: last[0]], last[1]
 
 
+def _close(stat: PhaseStat, began: float, traffic: Traffic) -> PhaseStat:
+    """The phase's costs: its exchanges and what they sent are read off the finished stages."""
+    stat.seconds = time.time() - began
+    sent = traffic.take()
+    stat.rounds, stat.records_sent, stat.bytes_sent = sent["exchanges"], sent["records"], sent["bytes"]
+    return stat
+
+
 def _contracting(edges: DataFrame, cfg: Config, scratch: Scratch) -> tuple[list[DataFrame], list[PhaseStat]]:
     maps, cur = _done(cfg, scratch) if cfg.resume else ([], None)
     if cur is None:
@@ -161,6 +172,7 @@ def _contracting(edges: DataFrame, cfg: Config, scratch: Scratch) -> tuple[list[
     else:
         m = cur.count()
     stats: list[PhaseStat] = []
+    traffic = Traffic(edges.sparkSession)
     alive = None
     if not cfg.drop_isolated:
         alive = maps[-1].select(F.col("node").alias("v")).distinct() if maps else endpoints(cur)
@@ -170,9 +182,9 @@ def _contracting(edges: DataFrame, cfg: Config, scratch: Scratch) -> tuple[list[
         began, stat = time.time(), PhaseStat(cfg.method, phase, edges_in=m)
         if m <= cfg.finish_edges:
             label, n = scratch.counted(finish.union_find(cur), f"map-{phase}")
-            stat.nodes_in, stat.rounds, stat.finished_by, stat.seconds = n, 1, "union_find", time.time() - began
+            stat.nodes_in, stat.finished_by = n, "union_find"
             maps.append(label)
-            stats.append(stat)
+            stats.append(_close(stat, began, traffic))
             break
         label, kept = _STEPS[cfg.method](cur, cfg, phase, scratch, stat)
         if cfg.lazy:
@@ -186,15 +198,13 @@ def _contracting(edges: DataFrame, cfg: Config, scratch: Scratch) -> tuple[list[
             alpha = cfg.absorb.alpha(phase, stat.nodes_in, m)
             label = scratch.write(absorbing.absorb_small(nxt, label, cfg.prio, cfg.order(phase), alpha, cfg.large_moves), f"absorbed-{phase}")
             nxt, m2 = scratch.counted(contract.relabel_edges(kept, label, cfg.strategy, cfg.salt), f"edges-{phase + 1}a")
-            stat.rounds += 3
         if cfg.details:
             row = label.groupBy("node").agg(F.count(F.lit(1)).alias("c")).agg(F.count(F.lit(1)).alias("n"), F.max("c").alias("c")).first()
             stat.labels, stat.largest_cluster = row["n"], row["c"] or 0
         if alive is not None:
             alive = label.select(F.col("node").alias("v")).distinct()
         maps.append(label)
-        stat.seconds = time.time() - began
-        stats.append(stat)
+        stats.append(_close(stat, began, traffic))
         if phase:
             scratch.drop(f"edges-{phase - 1}")
         cur, m = nxt, m2
@@ -213,15 +223,14 @@ def same_edges(a: DataFrame, b: DataFrame) -> bool:
 
 def _star_alternation(edges, cfg, scratch):
     cur, m = scratch.counted(simplify(edges), "edges-0")
-    stats = []
+    stats, traffic = [], Traffic(edges.sparkSession)
     for phase in range(cfg.max_phases):
         if not m:
             break
         began, stat = time.time(), PhaseStat("star_alternation", phase, edges_in=m)
-        mid, k = stars.large_star_run(cur, scratch, same_edges, f"star-{phase}", cfg.lookup)
+        mid, stat.jump_steps, stat.lookups = stars.large_star_run(cur, scratch, same_edges, f"star-{phase}", cfg.lookup, cfg.lookup_rows)
         nxt, m = scratch.counted(stars.small_star(mid), f"edges-{phase + 1}")
-        stat.jump_steps, stat.rounds, stat.records_sent, stat.seconds = k, 2 * k + 2, 2 * stat.edges_in * (k + 1), time.time() - began
-        stats.append(stat)
+        stats.append(_close(stat, began, traffic))
         if same_edges(cur, nxt):
             break
         cur = nxt
@@ -235,7 +244,7 @@ def _spread(edges, cfg, scratch):
     cur, m = scratch.counted(simplify(edges), "edges-0")
     sym = scratch.write(symmetrise(cur), "sym")
     label, n = scratch.counted(endpoints(cur).select("v", F.col("v").alias("node")), "label-0")
-    stats = []
+    stats, traffic = [], Traffic(edges.sparkSession)
     for phase in range(cfg.max_phases):
         began = time.time()
         heard = sym.join(label.select(F.col("v").alias("dst"), "node"), "dst").groupBy("src").agg(F.min("node").alias("m"))
@@ -243,7 +252,7 @@ def _spread(edges, cfg, scratch):
         out, seen = scratch.observed(step, f"label-{phase + 1}", moved=F.coalesce(F.sum("moved"), F.lit(0)))
         label = out.select("v", "node")
         scratch.drop(f"label-{phase}")
-        stats.append(PhaseStat("min_spread", phase, n, m, rounds=1, records_sent=2 * m, seconds=time.time() - began))
+        stats.append(_close(PhaseStat("min_spread", phase, n, m), began, traffic))
         if not seen["moved"]:
             return [label], stats
     raise TooLarge(f"min_spread still moves after {cfg.max_phases} rounds")
@@ -256,7 +265,7 @@ def _clusters(edges, cfg, scratch, everyone: bool):
     cur, m = scratch.counted(simplify(edges), "edges-0")
     own = endpoints(cur).select("v", F.col("v").alias("u"))
     pairs, n = scratch.counted(symmetrise(cur).select(F.col("src").alias("v"), F.col("dst").alias("u")).unionByName(own), "pairs-0")
-    stats = []
+    stats, traffic = [], Traffic(edges.sparkSession)
     for phase in range(cfg.max_phases):
         began = time.time()
         low = pairs.groupBy("v").agg(F.min("u").alias("m"), F.count(F.lit(1)).alias("size"))
@@ -269,7 +278,7 @@ def _clusters(edges, cfg, scratch, everyone: bool):
             joined = pairs.join(low.select("v", "m"), "v")
             sent = joined.select(F.col("m").alias("v"), "u").unionByName(joined.select(F.col("u").alias("v"), F.col("m").alias("u"))).unionByName(low.select("v", F.col("v").alias("u"))).distinct()
         nxt, n2 = scratch.counted(sent, f"pairs-{phase + 1}")
-        stats.append(PhaseStat(name, phase, edges_in=m, rounds=2, records_sent=n + n2, seconds=time.time() - began))
+        stats.append(_close(PhaseStat(name, phase, edges_in=m), began, traffic))
         if n2 > cfg.max_pairs:
             raise TooLarge(f"{name} holds {n2} pairs")
         done = n2 == n and same_edges(pairs.toDF("src", "dst"), nxt.toDF("src", "dst"))
@@ -284,7 +293,7 @@ def _single(edges, cfg, scratch):
     began = time.time()
     cur, m = scratch.counted(simplify(edges), "edges-0")
     label, n = scratch.counted(finish.union_find(cur), "map-0")
-    return [label], [PhaseStat("single_task", 0, n, m, rounds=1, records_sent=m, finished_by="union_find", seconds=time.time() - began)]
+    return [label], [PhaseStat("single_task", 0, n, m, finished_by="union_find", seconds=time.time() - began)]
 
 
 def connected_components(edges: DataFrame, *, vertices: DataFrame | None = None, scratch: Scratch | None = None, **options) -> Components:

@@ -2,14 +2,15 @@
 
 Every intermediate frame is written as Parquet under the folder that the cluster
 names in ``spark.checkpoint.dir`` and read back. A private folder is chosen only
-when the setting is absent (tests on one machine).
+when the setting is absent and the master is local (tests on one machine).
 """
 
 from __future__ import annotations
 
 import tempfile
 import uuid
-from collections.abc import Sequence
+from collections.abc import Iterator, Sequence
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
@@ -18,9 +19,25 @@ from pyspark.sql import functions as F
 def shared_dir(spark: SparkSession) -> str:
     """Folder for intermediate tables: the cluster's own, else one private to this run."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if not named and not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     return (named or f"{tempfile.gettempdir()}/ccspark-checkpoints").rstrip("/")
 
 
+_open: list[list[Scratch]] = []
+
+
+@contextmanager
+def transient() -> Iterator[None]:
+    """Deletes, at its end, the tables of all scratch folders that were made within: for work whose result is written elsewhere."""
+    _open.append([])
+    try:
+        yield
+    finally:
+        for scratch in _open.pop():
+            scratch.drop()
+
+
 class Scratch:
     """One run's folder of intermediate tables.
 
@@ -32,6 +49,8 @@ class Scratch:
         """run_id: a name to come back to after a failure; by default no other run has it."""
         self.spark = spark
         self.root = f"{shared_dir(spark)}/{name}-{run_id or uuid.uuid4().hex}"
+        if _open and run_id is None:
+            _open[-1].append(self)
 
     def path(self, table: str) -> str:
         return f"{self.root}/{table}"

@@ -52,6 +52,11 @@ def write(df: DataFrame, path: str, fmt: str = "parquet", mode: str = "overwrite
     (writer.partitionBy(*partition_by) if partition_by else writer).save(path)
 
 
+def page(df: DataFrame, order_by: Sequence[str], limit: int, offset: int = 0) -> DataFrame:
+    """Rows ``offset .. offset + limit`` in a total order (give columns that tell all rows apart)."""
+    return df.orderBy(*order_by).offset(offset).limit(limit)
+
+
 def put_edges(df: DataFrame, table: str, buckets: int) -> DataFrame:
     """Symmetric edges as a table bucketed and sorted by ``src``: aggregates and joins on it need no exchange."""
     df.write.mode("overwrite").bucketBy(buckets, "src").sortBy("src").saveAsTable(table)
