@@ -6,6 +6,7 @@ affine order, ``op_<name>`` for operators, ``cost_<name>`` and ``exp_<name>`` fo
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame
@@ -18,8 +19,8 @@ from ccspark.plans import metrics, sqlsurface, verify
 from ccspark.plans.runner import connected_components, rewire
 from ccspark.plans.store import Scratch
 from ccspark.sources import generators
-from ccspark.sources.io import load
-from ccspark.sources.workloads import WORKLOADS, components_sql
+from ccspark.sources.io import load, page
+from ccspark.sources.workloads import WORKLOADS, components_sql, spread_sql
 
 _Q: dict[str, Callable] = {}
 _SQL: dict[str, str] = {}
@@ -88,6 +89,17 @@ for _name, _method, _graphs, _options in _RUNS:
         _query(f"{_name}__{_g}", components_sql(_g))(_components(_g, _method, _options))
 
 
+_RANDOM = {
+    "gnp": (lambda spark: generators.gnp(spark, 2000, seed=1), "SELECT range AS vertex, 0::BIGINT AS component FROM range(2000)"),
+    "gnp_plus_path": (lambda spark: generators.gnp_plus(spark, 2000, "path", seed=2), "SELECT range AS vertex, 0::BIGINT AS component FROM range(2000)"),
+    "gnp_plus_star": (lambda spark: generators.gnp_plus(spark, 1000, "star", seed=3), "SELECT range AS vertex, 0::BIGINT AS component FROM range(1000)"),
+    "gnp_blocks": (lambda spark: generators.gnp_blocks(spark, [50, 400, 1500], seed=4), "SELECT range AS vertex, (CASE WHEN range < 50 THEN 0 WHEN range < 450 THEN 50 ELSE 450 END)::BIGINT AS component FROM range(1950)"),
+}
+for _name, (_graph, _sql) in _RANDOM.items():
+    for _m, _options in (("two_hop", {}), ("two_hop_absorb", {"absorb": absorb.Schedule.mean_degree()}), ("forest", {"method": "forest"})):
+        _query(f"{_m}__{_name}", _sql)(lambda spark, d, g=_graph, o=_options: connected_components(g(spark), finish_edges=0, **o).assignment)
+
+
 # ---- single steps with the affine order
 
 _S = "e AS MATERIALIZED ({edges}), s AS MATERIALIZED (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e)"
@@ -123,7 +135,9 @@ def _steps(w: str) -> None:
         f"step_mutual_roots__{w}",
         _with(w, _PARENT, last=f"SELECT p.v::BIGINT AS v, CASE WHEN q.parent = p.v AND {_affine('p.v')} < {_affine('p.parent')} THEN p.v ELSE p.parent END::BIGINT AS parent FROM p JOIN p q ON q.v = p.parent"),
     )(lambda spark, d: labels.mutual_roots(Scratch(spark, "step").write(labels.lowest_neighbour(sym(spark, d), _AFFINE), "parent"), _AFFINE))
-    _query(f"step_jump_pointers__{w}")(lambda spark, d: labels.jump_pointers(labels.mutual_roots(Scratch(spark, "step").write(labels.lowest_neighbour(sym(spark, d), _AFFINE), "parent"), _AFFINE), Scratch(spark, "step"))[0])
+    rooted = f"m AS MATERIALIZED (SELECT p.v::BIGINT AS v, CASE WHEN q.parent = p.v AND {_affine('p.v')} < {_affine('p.parent')} THEN p.v ELSE p.parent END::BIGINT AS parent FROM p JOIN p q ON q.v = p.parent)"
+    chase = "r(v, x) AS (SELECT v, parent FROM m UNION ALL SELECT r.v, m.parent FROM r JOIN m ON m.v = r.x WHERE m.parent <> r.x)"
+    _query(f"step_jump_pointers__{w}", _with(w, _PARENT.replace("p AS (", "p AS MATERIALIZED ("), rooted, chase, last="SELECT r.v, r.x AS parent FROM r JOIN m ON m.v = r.x AND m.parent = r.x").replace("WITH ", "WITH RECURSIVE ", 1))(lambda spark, d: labels.jump_pointers(labels.mutual_roots(Scratch(spark, "step").write(labels.lowest_neighbour(sym(spark, d), _AFFINE), "parent"), _AFFINE), Scratch(spark, "step"))[0])
     _query(f"step_cluster_sizes__{w}", _with(w, _CLOSED, _TWO, _NODE, last="SELECT node, count(*)::BIGINT AS size FROM n GROUP BY node HAVING count(*) >= 2"))(lambda spark, d: absorb.large_nodes(_two_hop_nodes(sym(spark, d)), 2))
     _query(
         f"step_kth_largest__{w}",
@@ -146,6 +160,8 @@ def _steps(w: str) -> None:
 for _g in ("purchase", "user_paths", "hierarchy"):
     _steps(_g)
 
+_query("op_closed_min_by_struct", _with("purchase", _CLOSED, last="SELECT v::BIGINT AS v, m::BIGINT AS m FROM c"))(lambda spark, d: labels.closed_min_by_struct(_sym("purchase")(spark, d), _AFFINE))
+
 
 # ---- operators around the methods
 
@@ -161,7 +177,7 @@ def _cc(w: str) -> str:
 
 _query("op_degrees", f"SELECT v::BIGINT AS v, count(*)::BIGINT AS degree FROM (SELECT unnest([src, dst]) AS v FROM ({WORKLOADS['purchase'].edges_sql})) GROUP BY v")(lambda spark, d: edges.degrees(WORKLOADS["purchase"].build(spark, d)[0]))
 _query("op_top_degrees", f"SELECT v::BIGINT AS v, count(*)::BIGINT AS degree FROM (SELECT unnest([src, dst]) AS v FROM ({WORKLOADS['hierarchy'].edges_sql})) GROUP BY v ORDER BY degree DESC, v LIMIT 10")(lambda spark, d: metrics.top_degrees(WORKLOADS["hierarchy"].build(spark, d)[0], 10))
-_query("op_min_degree", f"WITH e AS MATERIALIZED ({WORKLOADS['copart'].edges_sql}), k AS (SELECT v FROM (SELECT unnest([src, dst]) AS v FROM e) GROUP BY v HAVING count(*) >= 100) SELECT src::BIGINT AS src, dst::BIGINT AS dst FROM e WHERE src IN (SELECT v FROM k) AND dst IN (SELECT v FROM k)")(lambda spark, d: edges.min_degree(WORKLOADS["copart"].build(spark, d)[0], 100))
+_query("op_min_degree", f"WITH e AS MATERIALIZED ({WORKLOADS['copart'].edges_sql}), k AS MATERIALIZED (SELECT v FROM (SELECT src AS v FROM e UNION ALL SELECT dst FROM e) GROUP BY v HAVING count(*) >= 100) SELECT e.src::BIGINT AS src, e.dst::BIGINT AS dst FROM e JOIN k a ON a.v = e.src JOIN k b ON b.v = e.dst")(lambda spark, d: edges.min_degree(WORKLOADS["copart"].build(spark, d)[0], 100))
 _query("op_induced", f"SELECT src::BIGINT AS src, dst::BIGINT AS dst FROM ({WORKLOADS['copart'].edges_sql}) WHERE src % 3 = 0 AND dst % 3 = 0")(lambda spark, d: edges.induced(WORKLOADS["copart"].build(spark, d)[0], load(spark, d, "part").select(F.col("p_partkey").alias("v")).where("v % 3 = 0")))
 _UNION = " UNION ALL ".join(f"SELECT src, dst FROM ({WORKLOADS[w].edges_sql})" for w in ("user_paths", "global_path"))
 _query("op_union_edges", f"SELECT least(src, dst)::BIGINT AS src, greatest(src, dst)::BIGINT AS dst FROM ({_UNION})")(lambda spark, d: edges.union_all(*[WORKLOADS[w].build(spark, d)[0] for w in ("user_paths", "global_path")]))
@@ -172,6 +188,10 @@ _query("op_where_edges", "SELECT DISTINCT least(a, b) AS src, greatest(a, b) AS
     lambda spark, d: edges.simplify(edges.where(load(spark, d, "lineitem"), "l_quantity >= 40").join(load(spark, d, "orders"), F.col("l_orderkey") == F.col("o_orderkey")).select(vertexids.encode("customer", F.col("o_custkey")).alias("src"), vertexids.encode("part", F.col("l_partkey")).alias("dst")))
 )
 _query("op_band_join", "SELECT a.p_partkey::BIGINT AS src, b.p_partkey::BIGINT AS dst FROM part a JOIN part b ON a.p_partkey < b.p_partkey AND abs(a.p_retailprice - b.p_retailprice) <= 0.25")(lambda spark, d: edges.band_join(load(spark, d, "part"), "p_partkey", "p_retailprice", 0.25))
+_query("op_overlap_join", "WITH i AS (SELECT event_id, user_id, epoch(ts)::BIGINT AS a, epoch(ts)::BIGINT + 5400 AS b FROM events) SELECT x.event_id::BIGINT AS src, y.event_id::BIGINT AS dst FROM i x JOIN i y ON x.user_id = y.user_id AND x.event_id < y.event_id AND x.a <= y.b AND y.a <= x.b")(
+    lambda spark, d: edges.overlap_join(load(spark, d, "events").select("event_id", "user_id", F.unix_seconds(F.col("ts").cast("timestamp")).alias("a")).withColumn("b", F.col("a") + 5400), "event_id", "user_id", "a", "b", 3600)
+)
+_query("op_page", "SELECT o_orderkey, o_custkey FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 50 OFFSET 100")(lambda spark, d: page(load(spark, d, "orders").withColumn("down", -F.col("o_totalprice")), ["down", "o_orderkey"], 50, 100).select("o_orderkey", "o_custkey"))
 _query("op_asof_link", "SELECT src, dst FROM (SELECT o.o_orderkey::BIGINT AS src, p.o_orderkey::BIGINT AS dst, row_number() OVER (PARTITION BY o.o_orderkey ORDER BY p.o_orderdate DESC, p.o_orderkey DESC) AS r FROM orders o JOIN orders p ON o.o_custkey = p.o_custkey AND p.o_orderdate <= o.o_orderdate WHERE o.o_orderpriority = '1-URGENT' AND p.o_orderpriority <> '1-URGENT') WHERE r = 1")(
     lambda spark, d: edges.asof_link(load(spark, d, "orders").where("o_orderpriority = '1-URGENT'"), load(spark, d, "orders").where("o_orderpriority <> '1-URGENT'"), "o_custkey", "o_orderdate", "o_orderkey", "o_orderkey")
 )
@@ -224,7 +244,10 @@ def _gaps(spark, d):
     return load(spark, d, "events").select(F.col("event_id").cast("long").alias("event_id"), edges.gap_seconds(F.col("ts"), F.lag("ts").over(w)).cast("double").alias("gap"))
 
 
-@_query("op_single_linkage")
+_LINKED = "SELECT a.vec_id AS src, b.vec_id AS dst FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id WHERE list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) >= {}"
+
+
+@_query("op_single_linkage", " UNION ALL ".join(f"SELECT {i}::INTEGER AS level, {t}::DOUBLE AS threshold, vertex, component FROM ({spread_sql(_LINKED.format(t))})" for i, t in enumerate((0.6, 0.5, 0.4))))
 def _linkage(spark, d):
     from ccspark.functions import vectors
 
@@ -243,20 +266,60 @@ def _stats(spark, d, w, method, **options):
     return connected_components(e, vertices=v, method=method, **options).stats_frame()
 
 
-_query("cost_phase_stats")(lambda spark, d: _stats(spark, d, "copart", "two_hop", finish_edges=0, details=True).drop("seconds"))
-_query("cost_edge_decay")(lambda spark, d: metrics.decay(_stats(spark, d, "copart", "two_hop", finish_edges=0)))
-_query("cost_node_shrink")(lambda spark, d: metrics.shrink(_stats(spark, d, "user_paths", "two_hop", finish_edges=0)))
+def _phases_sql(workload: str, phases: int, last: str) -> str:
+    """Tables e0, t0, n0, e1, ... of the two-hop method with affine orders, whose seed grows by one a phase; ``last`` is repeated for each."""
+    parts = [f"e0 AS MATERIALIZED ({WORKLOADS[workload].edges_sql})"]
+    for k in range(phases):
+        p = lambda x, k=k: f"(({MULTIPLIER} * {x} + {_SEED + k}) % {MODULUS})"
+        back = f"((((label - {_SEED + k} + {MODULUS}) % {MODULUS})::HUGEINT * {_BACK}) % {MODULUS})::BIGINT"
+        parts += [
+            f"s{k} AS MATERIALIZED (SELECT src, dst FROM e{k} UNION ALL SELECT dst, src FROM e{k})",
+            f"c{k} AS MATERIALIZED (SELECT src AS v, least(min({p('dst')}), {p('src')}) AS m FROM s{k} GROUP BY src)",
+            f"n{k} AS MATERIALIZED (SELECT v, {back} AS node FROM (SELECT s.dst AS v, min(c.m) AS label FROM s{k} s JOIN c{k} c ON c.v = s.src GROUP BY s.dst))",
+            f"e{k + 1} AS MATERIALIZED (SELECT DISTINCT least(a.node, b.node) AS src, greatest(a.node, b.node) AS dst FROM e{k} e JOIN n{k} a ON a.v = e.src JOIN n{k} b ON b.v = e.dst WHERE a.node <> b.node)",
+        ]
+    rows = " UNION ALL ".join(f"SELECT {k}::INTEGER AS phase, (SELECT count(*) FROM n{k})::BIGINT AS nodes_in, (SELECT count(*) FROM e{k})::BIGINT AS edges_in, (SELECT count(DISTINCT node) FROM n{k})::BIGINT AS labels, (SELECT max(n) FROM (SELECT count(*) AS n FROM n{k} GROUP BY node))::BIGINT AS largest_cluster" for k in range(phases))
+    return f"WITH {', '.join(parts)}, stats AS (SELECT 'two_hop' AS method, * FROM ({rows}) WHERE edges_in > 0) {last}"
+
+
+_BY_AFFINE = {"finish_edges": 0, "priority": "affine", "seed": _SEED}
+for _g, _k in (("purchase", 4), ("copart", 4), ("pagelink", 6), ("embedsim", 7), ("docline", 7), ("sparse_orders", 6)):
+    _query(f"cost_phase_stats__{_g}", _phases_sql(_g, _k, "SELECT method, phase, nodes_in, edges_in, labels, largest_cluster FROM stats"))(
+        lambda spark, d, g=_g: _stats(spark, d, g, "two_hop", details=True, **_BY_AFFINE).select("method", "phase", "nodes_in", "edges_in", "labels", "largest_cluster")
+    )
+    _query(f"cost_edge_decay__{_g}", _phases_sql(_g, _k, "SELECT method, phase, edges_in, (edges_in / lead(edges_in) OVER (ORDER BY phase))::DOUBLE AS factor FROM stats"))(lambda spark, d, g=_g: metrics.decay(_stats(spark, d, g, "two_hop", **_BY_AFFINE)))
+_query("cost_node_shrink", _phases_sql("docline", 7, "SELECT method, phase, nodes_in, (lead(nodes_in) OVER (ORDER BY phase) / nodes_in)::DOUBLE AS ratio FROM stats"))(lambda spark, d: metrics.shrink(_stats(spark, d, "docline", "two_hop", **_BY_AFFINE)))
+_query("cost_density", _phases_sql("copart", 4, "SELECT method, phase, nodes_in, edges_in, (edges_in / (nodes_in * (nodes_in - 1) / 2.0))::DOUBLE AS density FROM stats"))(lambda spark, d: metrics.density(_stats(spark, d, "copart", "two_hop", **_BY_AFFINE)))
 _query("cost_running")(lambda spark, d: metrics.running(_stats(spark, d, "user_paths", "forest", finish_edges=0)))
-_query("cost_density")(lambda spark, d: metrics.density(_stats(spark, d, "copart", "two_hop", finish_edges=0)))
+_query("cost_traffic")(lambda spark, d: _stats(spark, d, "copart", "two_hop", finish_edges=0).select("phase", "edges_in", "rounds", "records_sent", "bytes_sent", (F.col("records_sent") / F.col("edges_in")).alias("records_per_edge")))
+
+
+@_query("cost_received")
+def _received(spark, d):
+    e = Scratch(spark, "received").write(WORKLOADS["hierarchy"].build(spark, d)[0], "edges")
+    traffic = metrics.Traffic(spark)
+    connected_components(e, finish_edges=0)
+    got = traffic.received()
+    return spark.createDataFrame([(float(got["bytes"]), float(got["ratio"]))], "most_bytes double, over_mean double")
+
+
 _query("cost_skew", f"WITH n AS (SELECT v, count(*) AS n FROM (SELECT unnest([src, dst]) AS v FROM ({WORKLOADS['hierarchy'].edges_sql})) GROUP BY v) SELECT max(n)::BIGINT AS most, avg(n)::DOUBLE AS mean, count(*)::BIGINT AS keys, (max(n) / avg(n))::DOUBLE AS ratio FROM n")(lambda spark, d: metrics.skew(edges.symmetrise(WORKLOADS["hierarchy"].build(spark, d)[0]), "src"))
 
 
-@_query("cost_chain_depth")
+_DEPTHS = ("user_paths", "hierarchy", "purchase")
+
+
+def _depth_sql(w: str) -> str:
+    walk = "r(v, x, d) AS (SELECT v, v, 0 FROM p UNION ALL SELECT r.v, p.parent, r.d + 1 FROM r JOIN p ON p.v = r.x JOIN p q ON q.v = p.parent WHERE q.parent <> r.x)"
+    return _with(w, _PARENT.replace("p AS (", "p AS MATERIALIZED ("), walk, last=f"SELECT '{w}' AS graph, max(d)::INTEGER AS depth FROM r").replace("WITH ", "WITH RECURSIVE ", 1)
+
+
+@_query("cost_chain_depth", " UNION ALL ".join(f"SELECT * FROM ({_depth_sql(w)})" for w in _DEPTHS))
 def _depth(spark, d):
     rows = []
-    for w in ("user_paths", "hierarchy", "purchase"):
+    for w in _DEPTHS:
         scratch = Scratch(spark, "depth")
-        parent = scratch.write(labels.lowest_neighbour(edges.symmetrise(WORKLOADS[w].build(spark, d)[0]), Priority("permute", 3)), "parent")
+        parent = scratch.write(labels.lowest_neighbour(_sym(w)(spark, d), _AFFINE), "parent")
         rows.append((w, labels.chain_depth(parent, scratch)))
     return spark.createDataFrame(rows, "graph string, depth int")
 
@@ -305,27 +368,69 @@ def _grid(spark, d, graphs, methods, **options):
     return spark.createDataFrame(rows, "graph string, method string, phases int, status string")
 
 
-_query("exp_phases")(lambda spark, d: _grid(spark, d, ["purchase", "pagelink", "sparse_orders"], ["two_hop", "forest", "rewire_merge", "star_alternation", "min_hub"], finish_edges=0))
-_query("exp_phases_finisher")(lambda spark, d: _grid(spark, d, ["purchase", "pagelink"], ["two_hop", "forest", "rewire_merge"], finish_edges=1000))
+_GRAPHS = ["purchase", "copart", "pagelink", "embedsim", "docline", "sparse_orders"]
+_query("exp_phases")(lambda spark, d: _grid(spark, d, _GRAPHS, ["two_hop", "forest", "rewire_merge", "star_alternation", "min_hub"], finish_edges=0))
+_query("exp_phases_finisher")(lambda spark, d: _grid(spark, d, ["purchase", "copart", "docline"], ["two_hop", "forest", "rewire_merge"], finish_edges=1000))
 
 
 @_query("exp_path_bound")
 def _paths(spark, d):
+    """Phases on a path of n vertices: each method's must grow with the logarithm of n, min_spread's with n itself."""
+    longest = {"two_hop": 12, "forest": 12, "rewire_merge": 12, "star_alternation": 8, "min_hub": 10, "min_spread": 5}
     rows = []
-    for k in (4, 6, 8):
-        for m in ("two_hop", "forest", "rewire_merge", "min_hub"):
-            rows.append((m, 1 << k, connected_components(generators.path(spark, 1 << k), method=m, **({"finish_edges": 0} if m != "min_hub" else {})).phases))
+    for m, most in longest.items():
+        for k in range(4, most + 1, 1 if m == "min_spread" else 2):
+            got = connected_components(generators.path(spark, 1 << k), method=m, **({"finish_edges": 0} if m in ("two_hop", "forest", "rewire_merge") else {}))
+            rows.append((m, 1 << k, got.phases))
+            got.scratch.drop()
     return spark.createDataFrame(rows, "method string, n long, phases int")
 
 
 @_query("exp_absorption")
 def _absorption(spark, d):
+    """Random graphs of doubling size and of the relaxed classes: phases with and without absorption, nodes left after one phase
+    against n over alpha, and their density against alpha squared over m."""
+    graphs = [("gnp", n, lambda n=n: generators.gnp(spark, n, seed=n)) for n in (500, 1000, 2000, 4000)]
+    graphs += [("gnp_plus_path", 2000, lambda: generators.gnp_plus(spark, 2000, "path", 5)), ("gnp_plus_star", 2000, lambda: generators.gnp_plus(spark, 2000, "star", 6)), ("gnp_blocks", 2050, lambda: generators.gnp_blocks(spark, [50, 500, 1500], 7))]
+    rows = []
+    for name, n, graph in graphs:
+        for kind, s in (("none", None), ("mean_degree", absorb.Schedule.mean_degree())):
+            r = connected_components(graph(), finish_edges=0, absorb=s)
+            m = r.phase_stats[0].edges_in
+            left = (r.phase_stats[1].nodes_in, r.phase_stats[1].edges_in) if len(r.phase_stats) > 1 else (0, 0)
+            alpha = 2 * m / n
+            bound = metrics.density_bound((n, m), left, alpha)
+            rows.append((name, n, kind, r.phases, math.log2(math.log2(n)), left[0], n / alpha, bound["density"], bound["bound"]))
+            r.scratch.drop()
+    return spark.createDataFrame(rows, "graph string, n long, absorption string, phases int, log_log_n double, second_phase_nodes long, nodes_bound double, density double, density_bound double")
+
+
+@_query("exp_scaling")
+def _scaling(spark, d):
+    """Phases, counted rows and seconds on graphs of ten times the size each: rows sent should stay in proportion to the edges."""
+    rows = []
+    for n in (1_000, 10_000, 100_000):
+        e = Scratch(spark, "scaling").write(generators.forest_mix(spark, n, seed=1), "edges")
+        for m in ("two_hop", "forest", "rewire_merge"):
+            r = connected_components(e, method=m, finish_edges=0)
+            first = r.phase_stats[0]
+            rows.append((m, n, first.edges_in, r.phases, sum(s.records_sent for s in r.phase_stats) / first.edges_in, sum(s.seconds for s in r.phase_stats)))
+            r.scratch.drop()
+    return spark.createDataFrame(rows, "method string, n long, edges long, phases int, records_per_edge double, seconds double")
+
+
+@_query("exp_store")
+def _store(spark, d):
+    """The map held by the tasks against doubling by joins: exchanges, rows sent and lookups of the methods that use it."""
     rows = []
-    for n in (500, 2000):
-        for name, s in (("none", None), ("mean_degree", absorb.Schedule.mean_degree())):
-            r = connected_components(generators.gnp(spark, n, seed=n), finish_edges=0, absorb=s)
-            rows.append((n, name, r.phases, r.phase_stats[1].nodes_in if len(r.phase_stats) > 1 else 0))
-    return spark.createDataFrame(rows, "n long, absorption string, phases int, second_phase_nodes long")
+    for w in ("user_paths", "hierarchy"):
+        for m in ("forest", "star_alternation"):
+            for lookup in (True, False):
+                r = connected_components(WORKLOADS[w].build(spark, d)[0], method=m, lookup=lookup, **({"finish_edges": 0} if m == "forest" else {}))
+                total = {k: sum(getattr(s, k) for s in r.phase_stats) for k in ("rounds", "records_sent", "lookups", "jump_steps")}
+                rows.append((w, m, lookup, r.phases, *total.values()))
+                r.scratch.drop()
+    return spark.createDataFrame(rows, "graph string, method string, lookup boolean, phases int, rounds long, records_sent long, lookups long, jump_steps long")
 
 
 @_query("exp_two_cycles", "SELECT * FROM (VALUES ('one', 1::BIGINT), ('two', 2::BIGINT)) AS t(graph, components)")

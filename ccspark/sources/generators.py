@@ -66,4 +66,16 @@ def gnp_blocks(spark: SparkSession, sizes: list[int], seed: int = 0) -> DataFram
     return out
 
 
+def forest_mix(spark: SparkSession, n: int, extra: float = 1.0, block: int = 1000, seed: int = 0) -> DataFrame:
+    """Many components of uneven shape: random recursive trees of ``block`` vertices, chains between some, ``extra * n`` random edges inside blocks."""
+    i, base = F.col("id"), F.col("id") - F.pmod("id", F.lit(block))
+    at = F.pmod("id", F.lit(block))
+    parent = base + F.when(F.pmod(F.xxhash64(base, F.lit(seed)), F.lit(4)) == 0, at - 1).otherwise(F.pmod(F.xxhash64("id", F.lit(seed), F.lit(1)), F.greatest(at, F.lit(1))))
+    trees = spark.range(n).where(at > 0).select(i.alias("src"), parent.alias("dst"))
+    joints = spark.range(block, n, block).where(F.pmod(F.xxhash64("id", F.lit(seed), F.lit(2)), F.lit(3)) > 0).select(i.alias("src"), (i - block).alias("dst"))
+    end = lambda k: F.pmod(F.xxhash64("id", F.lit(seed), F.lit(k)), F.lit(block))
+    more = spark.range(int(n * extra)).select((F.pmod("id", F.lit(n)) - F.pmod("id", F.lit(block))).alias("b"), end(3).alias("x"), end(4).alias("y")).where(F.pmod(F.xxhash64("b", F.lit(seed)), F.lit(4)) != 0)
+    return _pairs(trees.unionByName(joints).unionByName(more.select((F.col("b") + F.col("x")).alias("src"), (F.col("b") + F.col("y")).alias("dst"))), F.col("src"), F.col("dst"))
+
+
 KINDS = {"path": path, "cycles": cycles, "star": star, "clique": clique, "gnp": gnp}

@@ -135,9 +135,14 @@ def components_sql(name: str) -> str:
     w = WORKLOADS[name]
     if w.closed_sql:
         return f"SELECT vertex::BIGINT AS vertex, component::BIGINT AS component FROM ({w.closed_sql})"
-    vertices = "SELECT src AS v FROM s" + (f" UNION SELECT v FROM ({w.vertices_sql})" if w.vertices_sql else "")
+    return spread_sql(w.edges_sql, w.vertices_sql)
+
+
+def spread_sql(edges_sql: str, vertices_sql: str | None = None) -> str:
+    """Smaller labels spread along the edges until none improves."""
+    vertices = "SELECT src AS v FROM s" + (f" UNION SELECT v FROM ({vertices_sql})" if vertices_sql else "")
     return f"""
-WITH RECURSIVE e AS MATERIALIZED ({w.edges_sql}), s AS MATERIALIZED (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e),
+WITH RECURSIVE e AS MATERIALIZED ({edges_sql}), s AS MATERIALIZED (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e),
 cc(vertex, component) USING KEY (vertex) AS (
   SELECT v, v FROM (SELECT DISTINCT v FROM ({vertices}))
   UNION
