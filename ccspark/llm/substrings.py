@@ -18,10 +18,14 @@ columns stream by and none is read again.
 
 Equal contexts are one from the start: their first keeps its strings for judgement, and
 all strings of the others are repeats; counts and firsts are taken in each task before the
-exchange. Only contexts of anchors that have several are cut from the texts. An anchor
-with more than ``crowd`` different contexts (the ends of a passage that stands in a large
-share of the documents) is dealt by string instead: one key for each string, with the
-first of each taken before the exchange.
+exchange. (A context is told by 64 bits among those of its anchor, a hash of its own.) Only
+contexts of anchors that have several are cut from the texts, and whether their strings
+repeat is read off the construction alone: how contexts are dealt to blocks decides
+nothing, as long as equal strings meet. An anchor with more than ``crowd`` different contexts
+(the ends of a passage that stands in a large share of the documents) is constructed twice:
+first in blocks of its documents, which leaves each string once for each block, then by the
+bytes that all strings within a few places of each other share. :func:`column_files` gives
+the construction's own output, round by round.
 
 Null or empty text, or text under ``length`` bytes: nothing is removed. Repeated rows are
 one document and have equal results; rows of equal doc_id and different text are documents
@@ -35,15 +39,18 @@ import hashlib
 from collections.abc import Iterator
 
 import numpy as np
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ccspark.llm.common import text_of
+from ccspark.llm.common import dense_ids, lean, text_of
 from ccspark.plans.store import Scratch
 
 LENGTH, GRAM = 100, 32
 BLOCK_ROWS = 8192
-CROWD = 20_000
+#: Different contexts of an anchor above which it is constructed in two steps; its rows of a block in the first; ranges of places in the second.
+CROWD, FIRST_ROWS, RANGES = 4096, 2048, 8
+#: Texts that a task takes at once.
+ROWS = 512
 CHUNK = 1 << 22
 _P = np.uint64(0x9E3779B97F4A7C15)
 
@@ -147,7 +154,7 @@ def anchor_rows(docs: DataFrame, length: int, gram: int, contexts: bool) -> Data
         if held:
             yield from pa.Table.from_batches(held).combine_chunks().to_batches()
 
-    return docs.mapInArrow(gathered, "h long, c long, d long, at int, own int") if contexts else docs.mapInArrow(count, "h long, n long")
+    return docs.mapInArrow(lean(gathered, ROWS), "h long, c long, d long, at int, own int") if contexts else docs.mapInArrow(lean(count, ROWS), "h long, n long")
 
 
 def columns(symbols: np.ndarray, cap: int) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
@@ -201,63 +208,114 @@ def _mark_runs(flags: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return row, first, past - 1
 
 
-def _construct(dealt: DataFrame, length: int, gram: int) -> DataFrame:
-    """``d, lo, hi``: bytes covered by strings of the contexts (``h, d, at, own, ctx``, dealt and sorted by h) that repeat an earlier one."""
+def _blocks(batches, rows: int = BLOCK_ROWS) -> Iterator[list[tuple]]:
+    """Rows (``g, d, at, own, ctx``, sorted by g) in blocks of whole groups, some ``rows`` at a time."""
+    held: list[tuple] = []
+    for b in batches:
+        held.extend(zip(*[b.column(i).to_pylist() for i in range(5)], strict=True))
+        if len(held) >= rows and held[0][0] != held[-1][0]:
+            cut = next(i for i in range(len(held) - 1, -1, -1) if held[i][0] != held[-1][0]) + 1
+            yield held[:cut]
+            held = held[cut:]
+    if held:
+        yield held
+
+
+def _aligned(rows: list[tuple], length: int, reach: int) -> tuple[np.ndarray, ...]:
+    """Symbols of the contexts with their anchors in one column, their places, and the nearest and farthest starts."""
+    symbols = np.zeros((len(rows), reach + length), np.uint8)
+    d, at, own = (np.array([r[k] for r in rows], np.int64) for k in (1, 2, 3))
+    nearest, farthest = own >> 16, own & 0xFFFF
+    for i, r in enumerate(rows):
+        left = reach - int(farthest[i])
+        symbols[i, left : left + len(r[4])] = np.frombuffer(r[4], np.uint8)
+    return symbols, d, at, nearest, farthest
+
+
+CONSTRUCTED = "d long, lo long, hi long, at int, own int, ctx binary"
+
+
+def _construct(dealt: DataFrame, length: int, gram: int, rest: bool = False) -> DataFrame:
+    """Bytes ``lo .. hi`` of ``d`` covered by strings that repeat an earlier one of their group.
+
+    dealt: contexts ``g, d, at, own, ctx``, dealt and sorted by the group g. rest: also the strings that are the first
+    of their kind in their block, as contexts (``at, own, ctx``; null for the others).
+    """
     reach = length - gram
 
-    def block(rows: list[tuple]) -> Iterator:
+    def work(batches):
         import pyarrow as pa
 
-        symbols = np.zeros((len(rows), reach + length), np.uint8)
-        d, at, own = (np.array([r[k] for r in rows], np.int64) for k in (1, 2, 3))
-        nearest, farthest = own >> 16, own & 0xFFFF
-        for i, r in enumerate(rows):
-            left = reach - int(farthest[i])
-            symbols[i, left : left + len(r[4])] = np.frombuffer(r[4], np.uint8)
-        sorted_ = np.lexsort((at, d))
-        rank = np.zeros(len(rows), np.int64)
-        rank[sorted_[1:]] = np.cumsum((np.diff(d[sorted_]) != 0) | (np.diff(at[sorted_]) != 0))
-        row, first, last = _mark_runs(repeats(symbols, nearest, farthest, rank, length, reach))
-        start = at[row] - reach + first
-        yield pa.RecordBatch.from_arrays([pa.array(d[row]), pa.array(start), pa.array(start + (last - first) + length)], names=["d", "lo", "hi"])
+        for rows in _blocks(batches):
+            symbols, d, at, nearest, farthest = _aligned(rows, length, reach)
+            sorted_ = np.lexsort((at, d))
+            rank = np.zeros(len(rows), np.int64)
+            rank[sorted_[1:]] = np.cumsum((np.diff(d[sorted_]) != 0) | (np.diff(at[sorted_]) != 0))
+            flags = repeats(symbols, nearest, farthest, rank, length, reach)
+            row, first, last = _mark_runs(flags)
+            start = at[row] - reach + first
+            none = pa.nulls(len(row), pa.int32())
+            yield pa.RecordBatch.from_arrays([pa.array(d[row]), pa.array(start), pa.array(start + (last - first) + length), none, none, pa.nulls(len(row), pa.binary())], names=names)
+            if rest:
+                back = reach - np.arange(reach + 1)[None, :]
+                row, first, last = _mark_runs((nearest[:, None] <= back) & (back <= farthest[:, None]) & ~flags)
+                kept = [symbols[i, a : b + length].tobytes() for i, a, b in zip(row.tolist(), first.tolist(), last.tolist(), strict=True)]
+                none = pa.nulls(len(row), pa.int64())
+                own = (reach - last) << 16 | (reach - first)
+                yield pa.RecordBatch.from_arrays([pa.array(d[row]), none, none, pa.array(at[row].astype(np.int32)), pa.array(own.astype(np.int32)), pa.array(kept, pa.binary())], names=names)
+
+    names = [x.split()[0] for x in CONSTRUCTED.split(", ")]
+    return dealt.select("g", "d", "at", "own", "ctx").mapInArrow(lean(work), CONSTRUCTED)
+
+
+def _by_shared_bytes(contexts: DataFrame, length: int, gram: int) -> DataFrame:
+    """Contexts cut to ranges of places and dealt by the bytes that all strings of a range have in common: ``g, d, at, own, ctx``."""
+    step = -(-(length - gram + 1) // RANGES)
 
     def work(batches):
-        held: list[tuple] = []
+        import pyarrow as pa
+        import xxhash
+
         for b in batches:
-            got = list(zip(*[b.column(i).to_pylist() for i in range(5)], strict=True))
-            held.extend(got)
-            if len(held) >= BLOCK_ROWS and held[0][0] != held[-1][0]:
-                cut = next(i for i in range(len(held) - 1, -1, -1) if held[i][0] != held[-1][0]) + 1
-                yield from block(held[:cut])
-                held = held[cut:]
-        if held:
-            yield from block(held)
+            out: list[list] = [[] for _ in range(5)]
+            for d, at, own, ctx in zip(*[b.column(i).to_pylist() for i in range(4)], strict=True):
+                near, far = own >> 16, own & 0xFFFF
+                for p in range(near // step, far // step + 1):
+                    low, high = max(near, p * step), min(far, (p + 1) * step - 1)
+                    shared = ctx[far - p * step : far - (p + 1) * step + 1 + length]
+                    key = xxhash.xxh3_64_intdigest(shared, p) - (1 << 63)
+                    for k, v in enumerate((key, d, at, low << 16 | high, ctx[far - high : far - low + length])):
+                        out[k].append(v)
+            kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary())
+            yield pa.RecordBatch.from_arrays([pa.array(v, k) for v, k in zip(out, kinds, strict=True)], names=["g", "d", "at", "own", "ctx"])
+
+    return contexts.select("d", "at", "own", "ctx").mapInArrow(lean(work), "g long, d long, at int, own int, ctx binary")
 
-    return dealt.select("h", "d", "at", "own", "ctx").mapInArrow(work, "d long, lo long, hi long")
 
+def _dealt(contexts: DataFrame) -> DataFrame:
+    return contexts.repartition("g").sortWithinPartitions("g")
 
-def _string_rows(contexts: DataFrame, length: int) -> DataFrame:
-    """``d, lo, hi`` for contexts of crowded anchors: a key for each string, its first taken before the exchange."""
+
+def column_files(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, scratch: Scratch | None = None) -> DataFrame:
+    """The construction's own output: ``block, round, symbols, lcp``, one row for each block and round (last column first).
+
+    symbols: of the suffixes that start in the round's column, in their order, so each round's piece of the collection's
+    transform; lcp: two bytes each, the common prefix with the suffix before, at most ``length``. The rows are written in the order in which they come,
+    so they are the sequential files of the construction; nothing of an earlier round is read again.
+    """
+    scratch = scratch or Scratch(docs.sparkSession, "substrings")
+    contexts = _contexts(_numbered(docs, scratch), scratch, length, gram)[0]
+    reach = length - gram
 
     def work(batches):
         import pyarrow as pa
-        import xxhash
 
-        for b in batches:
-            k1, k2, d, p = [], [], [], []
-            for doc, at, own, ctx in zip(*[b.column(c).to_pylist() for c in ("d", "at", "own", "ctx")], strict=True):
-                for i in range(len(ctx) - length + 1):
-                    x = xxhash.xxh3_128_intdigest(ctx[i : i + length])
-                    k1.append((x >> 64) - (1 << 63))
-                    k2.append((x & ((1 << 64) - 1)) - (1 << 63))
-                    d.append(doc)
-                    p.append(at - (own & 0xFFFF) + i)
-            yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in (k1, k2, d, p)], names=["k1", "k2", "d", "p"])
-
-    rows = contexts.select("d", "at", "own", "ctx").mapInArrow(work, "k1 long, k2 long, d long, p long")
-    first = rows.groupBy("k1", "k2").agg(F.min(F.struct("d", "p")).alias("first"))
-    later = rows.join(first, ["k1", "k2"]).where(F.struct("d", "p") > F.col("first"))
-    return later.select("d", F.col("p").alias("lo"), (F.col("p") + length).alias("hi"))
+        for rows in _blocks(batches):
+            symbols, *_ = _aligned(rows, length, reach)
+            for c, _, column, lcp in columns(symbols, length):
+                yield pa.RecordBatch.from_arrays([pa.array([rows[0][0]], pa.int64()), pa.array([reach + length - 1 - c], pa.int32()), pa.array([column.tobytes()], pa.binary()), pa.array([lcp.astype("<i2").tobytes()], pa.binary())], names=["block", "round", "symbols", "lcp"])
+
+    return _dealt(contexts.withColumnRenamed("h", "g")).select("g", "d", "at", "own", "ctx").mapInArrow(lean(work), "block long, round int, symbols binary, lcp binary")
 
 
 def _numbered(docs: DataFrame, scratch: Scratch) -> DataFrame:
@@ -267,14 +325,14 @@ def _numbered(docs: DataFrame, scratch: Scratch) -> DataFrame:
     odd = ids.groupBy("doc_id").agg((F.min("k1") != F.max("k1")).alias("several")).where("several or doc_id is null").limit(1).count()
     if not odd:
         return t.select(F.col("doc_id").cast("long").alias("d"), "doc_id", "text")
-    ranked = scratch.write(ids.distinct().withColumn("d", F.row_number().over(Window.orderBy("doc_id", "k1", "k2")).cast("long")), "ranks")
+    ranked = scratch.write(dense_ids(ids.distinct(), ["doc_id", "k1", "k2"], scratch).withColumnRenamed("id", "d"), "ranks")
     named = t.withColumns({"k1": F.xxhash64("text"), "k2": F.xxhash64(F.lit(1), F.col("text"))})
     r = ranked.select(F.col("doc_id").alias("r"), F.col("k1").alias("r1"), F.col("k2").alias("r2"), "d")
     return named.join(r, named["doc_id"].eqNullSafe(r["r"]) & (named["k1"] == r["r1"]) & (named["k2"] == r["r2"])).select("d", "doc_id", "text")
 
 
-def covered(numbered: DataFrame, scratch: Scratch, length: int = LENGTH, gram: int = GRAM, crowd: int = CROWD) -> DataFrame:
-    """``d, lo, hi``: byte ranges of the strings that repeat an earlier one; ranges may overlap."""
+def _contexts(numbered: DataFrame, scratch: Scratch, length: int, gram: int) -> tuple[DataFrame, DataFrame]:
+    """Different contexts of anchors that have several (``h, m, d, at, own, ctx``, m of them), and ``d, lo, hi`` of those that equal an earlier one."""
     texts = numbered.select("d", "text")
     # written, so that both sides of the join come straight from an exchange and a hot anchor can be split
     shared = scratch.write(anchor_rows(texts, length, gram, contexts=False).groupBy("h").agg(F.sum("n").alias("n")).where("n > 1").select("h"), "shared")
@@ -302,9 +360,18 @@ def covered(numbered: DataFrame, scratch: Scratch, length: int = LENGTH, gram: i
             kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary())
             yield pa.RecordBatch.from_arrays([pa.array(v, k) for v, k in zip(out, kinds, strict=True)], names=["h", "m", "d", "at", "own", "ctx"])
 
-    contexts = scratch.write(cut.mapInArrow(cutter, "h long, m long, d long, at int, own int, ctx binary"), "contexts")
-    dealt = contexts.where(F.col("m") <= crowd).repartition("h").sortWithinPartitions("h")
-    return whole.unionByName(_construct(dealt, length, gram)).unionByName(_string_rows(contexts.where(F.col("m") > crowd), length))
+    return scratch.write(cut.mapInArrow(lean(cutter, ROWS), "h long, m long, d long, at int, own int, ctx binary"), "contexts"), whole
+
+
+def covered(numbered: DataFrame, scratch: Scratch, length: int = LENGTH, gram: int = GRAM, crowd: int = CROWD) -> DataFrame:
+    """``d, lo, hi``: byte ranges of the strings that repeat an earlier one; ranges may overlap."""
+    contexts, whole = _contexts(numbered, scratch, length, gram)
+    few = _construct(_dealt(contexts.where(F.col("m") <= crowd).withColumnRenamed("h", "g")), length, gram).select("d", "lo", "hi")
+    part = F.pmod(F.xxhash64("d"), F.ceil(F.col("m") / min(FIRST_ROWS, crowd)))
+    crowded = contexts.where(F.col("m") > crowd).withColumn("g", F.xxhash64("h", part))
+    first = scratch.write(_construct(_dealt(crowded), length, gram, rest=True), "crowded")
+    second = _construct(_dealt(_by_shared_bytes(first.where("ctx is not null"), length, gram)), length, gram).select("d", "lo", "hi")
+    return whole.unionByName(few).unionByName(first.where("ctx is null").select("d", "lo", "hi")).unionByName(second)
 
 
 def remove(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, crowd: int = CROWD, digest: bool = False, scratch: Scratch | None = None) -> DataFrame:
@@ -340,4 +407,4 @@ def remove(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, crowd: int =
                 kept.append(hashlib.sha256(rest).hexdigest() if digest else rest)
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(size, pa.int64()), pa.array(gone, pa.int64()), pa.array(runs, pa.int64()), pa.array(kept, pa.string() if digest else pa.binary())], names=["doc_id", "n_bytes", "n_removed", "n_spans", last.split()[0]])
 
-    return joined.mapInArrow(work, f"doc_id long, n_bytes long, n_removed long, n_spans long, {last}")
+    return joined.mapInArrow(lean(work, ROWS), f"doc_id long, n_bytes long, n_removed long, n_spans long, {last}")

@@ -205,7 +205,7 @@ def test_ppm_adaptive_and_empty(spark):
 # ---- substrings
 
 
-@pytest.mark.parametrize("crowd", [20_000, 2])
+@pytest.mark.parametrize("crowd", [4096, 2])
 @pytest.mark.parametrize("length,gram", [(20, 8), (100, 32)])
 def test_substrings(spark, crowd, length, gram):
     rng = random.Random(length)
@@ -229,6 +229,20 @@ def test_substrings_long_text_and_repeats(spark, monkeypatch):
     assert substrings.remove(frame(spark, [])).count() == 0
 
 
+def test_column_files_hold_the_transform(spark):
+    """Per block and round: the symbols in the order of the suffixes that start there, and their common prefixes."""
+    rng = random.Random(1)
+    passage = "".join(rng.choice("abcd") for _ in range(60))
+    docs = [(i, "".join(rng.choice("xyz") for _ in range(rng.randrange(40))) + passage + str(i)) for i in range(30)]
+    rows = substrings.column_files(frame(spark, docs), 20, 8).collect()
+    assert rows and {r["round"] for r in rows} == set(range(32))
+    for r in rows:
+        s, lcp = bytes(r["symbols"]), np.frombuffer(r["lcp"], "<i2")
+        assert list(s) == sorted(s) and len(lcp) == len(s) and lcp[0] == 0
+        assert all((x > 0) == (a == b) and x <= 20 for x, a, b in zip(lcp[1:], s, s[1:], strict=False))
+    assert max(np.frombuffer(r["lcp"], "<i2").max() for r in rows) == 20
+
+
 def test_columns_order_suffixes():
     rng = np.random.default_rng(2)
     x = rng.integers(97, 99, (40, 12)).astype(np.uint8)
