@@ -9,8 +9,11 @@ levels hit and the last has an even number.
 A level is an array of 64-bit words, each key sets four bits of one word, built by a
 ``bit_or`` per word before any exchange. The arrays reach the tasks as scalar subqueries,
 without a join. Their size follows the list, so it is checked: beyond ``max_words`` the
-keys are dealt to shards by hash, each with a cascade of its own, and the rows of each
-shard are judged in a pass of their own.
+keys are dealt to shards by hash, each with a cascade of its own; the rows are written by
+shard once, and each shard's are judged in a pass of their own.
+
+The list is a table of hosts and paths, or a rule that marks keys. Only the cascade's
+construction joins it, with the corpus's distinct keys.
 
 Null url or one without ``://``: empty host, path and key, judged like any other key.
 Repeated rows give repeated rows. Empty tables give no rows.
@@ -116,23 +119,32 @@ class Cascade:
         return out
 
 
-def judge(pages: DataFrame, rules: Sequence[Rule] = RULES, listed: Callable[[Column, Column], Column] = listed_stand_in, max_words: int = MAX_WORDS, bits_per_key: int = 12, scratch: Scratch | None = None) -> DataFrame:
+def judge(pages: DataFrame, rules: Sequence[Rule] = RULES, listed: DataFrame | Callable[[Column, Column], Column] = listed_stand_in, max_words: int = MAX_WORDS, bits_per_key: int = 12, scratch: Scratch | None = None) -> DataFrame:
     """``page_id, host, path, rule, verdict, listed`` for every page: the rule's verdict, else ``block`` for a listed key.
 
-    listed: from (host, key) a boolean column that marks the listed keys; the key is host and path together.
+    listed: a table of ``host, path`` (null: empty; repeated rows count once), or from (host, key) a boolean column that
+    marks the listed keys; the key is host and path together.
     """
     scratch = scratch or Scratch(pages.sparkSession, "url-filter")
     host, path = split_hosts(F.col("url"))
     rows = pages.select(F.col("page_id"), host.alias("host"), path.alias("path"))
-    rows = rows.withColumns({"k1": F.xxhash64("host", "path"), "k2": F.xxhash64(F.lit(1), F.col("path"), F.col("host"))})
-    mark = listed(F.col("host"), F.concat("host", "path"))
-    keys = scratch.write(rows.groupBy("k1", "k2").agg(F.bool_or(mark).alias("inside")), "keys")
+    hashes = {"k1": F.xxhash64("host", "path"), "k2": F.xxhash64(F.lit(1), F.col("path"), F.col("host"))}
+    rows = rows.withColumns(hashes)
+    if isinstance(listed, DataFrame):
+        own = listed.select(*[F.coalesce(F.col(c), F.lit("")).alias(c) for c in ("host", "path")]).withColumns(hashes)
+        own = own.select("k1", "k2", F.lit(True).alias("inside")).distinct()
+        keys = rows.select("k1", "k2").distinct().join(own, ["k1", "k2"], "left").select("k1", "k2", F.coalesce("inside", F.lit(False)).alias("inside"))
+    else:
+        keys = rows.groupBy("k1", "k2").agg(F.bool_or(listed(F.col("host"), F.concat("host", "path"))).alias("inside"))
+    keys = scratch.write(keys, "keys")
     n = keys.where("inside").count()
     shards = max(1, math.ceil(n * bits_per_key / 64 / max_words))
-    out = []
+    out, shard = [], F.pmod("k2", F.lit(shards)).cast("int")
+    if shards > 1:
+        rows = scratch.write(rows.withColumn("shard", shard), "rows", partition_by=["shard"])
     for s in range(shards):
-        own = F.pmod("k2", F.lit(shards)) == s if shards > 1 else F.lit(True)
-        part = keys.where(own)
+        own = F.col("shard") == s if shards > 1 else F.lit(True)
+        part = keys.where(shard == s) if shards > 1 else keys
         cascade = Cascade(scratch, f"shard-{s}").build(part.where("inside").select("k1", "k2"), n if shards == 1 else part.where("inside").count(), part.where("not inside").select("k1", "k2"), bits_per_key)
         out.append(rows.where(own).withColumn("listed", cascade.member()))
     judged = reduce(DataFrame.unionByName, out).withColumn("r", rule_of(F.col("host"), F.col("path"), rules))

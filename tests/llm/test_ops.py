@@ -131,6 +131,16 @@ def test_cascade_is_exact(spark, max_words):
     assert empty.count() == 0
 
 
+@pytest.mark.parametrize("max_words", [1 << 20, 4])
+def test_list_as_a_table(spark, max_words):
+    df = spark.range(2000).selectExpr("id as page_id", "concat('http://h', id % 50, '.org/p', id % 700) as url")
+    rows = [(f"h{i}.org", f"/p{j}") for i in range(0, 50, 3) for j in range(0, 700, 7)] + [("h0.org", "/p0"), ("elsewhere.org", "/"), (None, None)]
+    listed = spark.createDataFrame(rows, "host string, path string")
+    got = url_filter.judge(df.unionByName(spark.createDataFrame([(5000, None)], "page_id long, url string")), rules=(), listed=listed, max_words=max_words).collect()
+    assert len(got) == 2001
+    assert all(r.listed == ((r.host, r.path) in set(rows) or r.page_id == 5000) and r.verdict == ("block" if r.listed else "allow") for r in got)
+
+
 # ---- quality
 
 
