@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ccspark.llm import byte_bpe, decontaminate, line_dedup, near_dups, quality
 from ccspark.plans.ship import ship
-from ccspark.plans.store import Scratch
+from ccspark.plans.store import Scratch, transient
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -51,11 +51,15 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over ``documents``; each result is written as Parquet and read back."""
-    scratch = Scratch(spark, "pipeline")
+    """All stages over ``documents``; each result is written as Parquet and read back, and the tables that it came from go."""
+    scratch, before = Scratch(spark, "pipeline"), None
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for name, stage in STAGES[:-1]:
-        docs = scratch.write(stage(spark, docs, sf_dir), name)
+        with transient():
+            docs = scratch.write(stage(spark, docs, sf_dir), name)
+        if before:
+            scratch.drop(before)
+        before = name
     return STAGES[-1][1](spark, docs, sf_dir)
 
 
