@@ -594,3 +594,32 @@ def test_latent_basis_spans_the_rows(spark):
     for i, (ids, w) in enumerate(rows):
         dense[i, ids] = w
     assert np.allclose(dense @ basis @ basis.T, dense, atol=1e-8)
+
+
+def test_near_groups_on_the_given_table(spark):
+    """All pairs of the documents table, by their shared word runs: none at the bound is lost, and groups hold nothing else."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    rows = {r.doc_id: r.text or "" for r in docs.select("doc_id", "text").collect()}
+    sets = {i: near_dups.shingle_set(t, 5) for i, t in rows.items()}
+    holders = {}
+    for i, s in sets.items():
+        for run in s:
+            holders.setdefault(run, []).append(i)
+    shared = Counter((a, b) for own in holders.values() for k, a in enumerate(own) for b in own[k + 1 :])
+    alike = {(a, b): n / (len(sets[a]) + len(sets[b]) - n) for (a, b), n in shared.items()}
+    got = {r.doc_id: r.component_id for r in near_dups.groups(docs).collect()}
+    linked = [p for p, s in alike.items() if s >= 0.8]
+    for low in (0.5, 0.7, 0.8, 0.9):
+        band = [p for p, s in alike.items() if low <= s < {0.5: 0.7, 0.7: 0.8, 0.8: 0.9, 0.9: 2}[low]]
+        print("similarity from", low, "pairs", len(band), "in one group", sum(got[a] == got[b] for a, b in band))
+    assert all(got[a] == got[b] for a, b in linked)
+    up = {i: i for i in rows}
+    for a, b in linked:
+        while up[a] != a:
+            a = up[a]
+        while up[b] != b:
+            b = up[b]
+        up[max(a, b)] = min(a, b)
+    for i in sorted(rows):
+        up[i] = up[up[i]]
+    assert got == up
