@@ -205,7 +205,7 @@ _query(
 )(lambda spark, d: metrics.rank_components(_assigned(spark, d, "sessions")))
 _query("op_count_nodes", f"SELECT count(DISTINCT vertex)::BIGINT AS vertices, count(DISTINCT component)::BIGINT AS components FROM {_cc('docline')}")(lambda spark, d: metrics.count_nodes(_assigned(spark, d)))
 _query("op_count_nodes_approx")(lambda spark, d: metrics.count_nodes(_assigned(spark, d), approx=True))
-_query("op_size_percentiles")(lambda spark, d: metrics.size_percentiles(_assigned(spark, d)))
+_query("op_size_percentiles", f"SELECT quantile_disc(size, [0.5, 0.9, 0.99]) AS sizes, max(size) AS largest, count(*)::BIGINT AS components FROM (SELECT count(*)::BIGINT AS size FROM {_cc('docline')} GROUP BY component)")(lambda spark, d: metrics.size_percentiles(_assigned(spark, d)))
 for _how, _sets in (("rollup", "ROLLUP (lang, source)"), ("cube", "CUBE (lang, source)"), ("sets", "GROUPING SETS ((lang), (source))")):
     _query(f"op_by_attributes_{_how}", f"SELECT lang, source, count(*)::BIGINT AS vertices, count(DISTINCT component)::BIGINT AS components FROM {_cc('docline')} JOIN documents ON doc_id = vertex GROUP BY {_sets}")(lambda spark, d, how=_how: metrics.by_attributes(_assigned(spark, d), load(spark, d, "documents"), "doc_id", ["lang", "source"], how))
 _query("op_dedupe_rows", f"SELECT doc_id, lang FROM documents JOIN {_cc('doc_exact')} ON doc_id = vertex WHERE vertex = component")(lambda spark, d: post.dedupe(load(spark, d, "documents"), _assigned(spark, d, "doc_exact"), "doc_id").select("doc_id", "lang"))
