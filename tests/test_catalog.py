@@ -23,3 +23,17 @@ def test_entity_kinds_of_orders_without_items(spark, tables):
     """A customer whose orders have no items and a part of no known order count; so does a null key, once."""
     d = tables(orders=([(1, 7), (2, 8), (3, 8), (4, None), (5, None)], "o_orderkey long, o_custkey long"), lineitem=([(1, 5), (1, 6), (99, 9)], "l_orderkey long, l_partkey long"))
     assert run(spark, "op_entity_kinds", d) == [(1, 3), (2, 3)]
+
+
+@pytest.mark.parametrize("name", ["full_cluster"])
+def test_cluster_sets_beyond_their_bound(spark, name):
+    """As the catalogue calls them, with a bound that cliques, a star, a path and sparse edges outgrow: whole components still."""
+    from ccspark.plans.runner import connected_components
+
+    method, options = next((m, o) for n, m, _, o in catalog._RUNS if n == name)
+    pairs = [(a, b) for a in range(30) for b in range(a)] + [(100, 100 + i) for i in range(1, 60)] + [(200 + i, 201 + i) for i in range(40)] + [(29, 160), (300, 301), (400, 400)]
+    e = spark.createDataFrame(pairs, "src long, dst long")
+    got = connected_components(e, method=method, **{**options, "max_pairs": 300})
+    want = dict.fromkeys(range(30), 0) | dict.fromkeys(range(100, 160), 100) | dict.fromkeys(range(200, 241), 200) | {160: 0, 300: 300, 301: 300, 400: 400}
+    assert {r.vertex: r.component for r in got.assignment.collect()} == want
+    assert any(s.finished_by == "contraction" for s in got.phase_stats)
