@@ -37,3 +37,9 @@ def test_cluster_sets_beyond_their_bound(spark, name):
     want = dict.fromkeys(range(30), 0) | dict.fromkeys(range(100, 160), 100) | dict.fromkeys(range(200, 241), 200) | {160: 0, 300: 300, 301: 300, 400: 400}
     assert {r.vertex: r.component for r in got.assignment.collect()} == want
     assert any(s.finished_by == "contraction" for s in got.phase_stats)
+
+
+def test_full_cluster_of_a_large_host(spark, tables):
+    """The sets of one host's 400 pages would be 64 million pairs in the second round."""
+    d = tables(pages=([(i, f"http://{'a' if i >= 5 else 'b'}.org/{i}", "") for i in range(405)], "page_id long, url string, html string"))
+    assert run(spark, "full_cluster__pagehost", d) == [(i, 0 if i < 5 else 5) for i in range(405)]
