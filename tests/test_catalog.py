@@ -25,7 +25,7 @@ def test_entity_kinds_of_orders_without_items(spark, tables):
     assert run(spark, "op_entity_kinds", d) == [(1, 3), (2, 3)]
 
 
-@pytest.mark.parametrize("name", ["full_cluster"])
+@pytest.mark.parametrize("name", ["full_cluster", "min_hub"])
 def test_cluster_sets_beyond_their_bound(spark, name):
     """As the catalogue calls them, with a bound that cliques, a star, a path and sparse edges outgrow: whole components still."""
     from ccspark.plans.runner import connected_components
