@@ -43,3 +43,24 @@ def test_full_cluster_of_a_large_host(spark, tables):
     """The sets of one host's 400 pages would be 64 million pairs in the second round."""
     d = tables(pages=([(i, f"http://{'a' if i >= 5 else 'b'}.org/{i}", "") for i in range(405)], "page_id long, url string, html string"))
     assert run(spark, "full_cluster__pagehost", d) == [(i, 0 if i < 5 else 5) for i in range(405)]
+
+
+def test_grid_builds_each_graph_once(spark, monkeypatch):
+    """The rows are those of single runs, in their order; a run that outgrows its bound is marked and the others go on."""
+    from ccspark.plans import runner
+    from ccspark.sources import generators
+
+    built = []
+    graph = lambda name, n: lambda s, d: (built.append(name), (generators.path(s, n), None))[1]
+    monkeypatch.setattr(catalog, "WORKLOADS", {k: type("W", (), {"build": staticmethod(graph(k, n))}) for k, n in (("a", 16), ("b", 70))})
+    monkeypatch.setattr(runner.Config.__init__, "__defaults__", tuple(40 if v == 64 else v for v in runner.Config.__init__.__defaults__))
+    methods = ["two_hop", "min_hub", "min_spread"]
+    got = [tuple(r) for r in catalog._grid(spark, "", ["a", "b"], methods, finish_edges=0).collect()]
+    assert sorted(built) == ["a", "b"]
+    for w, m, phases, status in got:
+        if (w, m) == ("b", "min_spread"):
+            assert (phases, status) == (None, "x")
+        else:
+            one = runner.connected_components(generators.path(spark, 16 if w == "a" else 70), method=m, **({"finish_edges": 0} if m == "two_hop" else {}))
+            assert (phases, status) == (one.phases, "ok")
+    assert [r[:2] for r in got] == [(w, m) for w in ("a", "b") for m in methods]
