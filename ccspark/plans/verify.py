@@ -75,8 +75,12 @@ def random_graph_events(edges: DataFrame, n: int, alpha: int, seed: int = 0) ->
     return out
 
 
-def bernoulli_bound(spark, n: int, p: float, runs: int = 2000, seed: int = 0) -> tuple[float, float]:
-    """Share of runs of n draws with a success, and the lower bound n p / 2 (for n p up to a half)."""
-    draw = F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(1 << 53)) / float(1 << 53) < p
-    hit = spark.range(runs * n).select((F.col("id") / n).cast("long").alias("run"), draw.cast("int").alias("hit")).groupBy("run").agg(F.max("hit").alias("hit"))
-    return hit.agg(F.avg("hit")).first()[0], n * p / 2
+def bernoulli_bound(rows: DataFrame, key: str, n: int, p: float, seed: int = 0) -> tuple[float, float]:
+    """Share of runs of n draws with a success, and the lower bound n p / 2 (for n p up to a half).
+
+    Each row is a draw and n successive keys are a run; the bound of a run follows the rows that it has.
+    """
+    draw = F.pmod(F.xxhash64(key, F.lit(seed)), F.lit(1 << 53)) / float(1 << 53) < p
+    hit = rows.select(F.floor(F.col(key) / n).alias("run"), draw.cast("int").alias("hit")).groupBy("run").agg(F.max("hit").alias("hit"), F.count(F.lit(1)).alias("c"))
+    got = hit.agg(F.avg("hit").alias("share"), F.avg(F.least(F.col("c") * p, F.lit(0.5)) / 2).alias("bound")).first()
+    return got["share"] or 0.0, got["bound"] or 0.0

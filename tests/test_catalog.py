@@ -64,3 +64,17 @@ def test_grid_builds_each_graph_once(spark, monkeypatch):
             one = runner.connected_components(generators.path(spark, 16 if w == "a" else 70), method=m, **({"finish_edges": 0} if m == "two_hop" else {}))
             assert (phases, status) == (one.phases, "ok")
     assert [r[:2] for r in got] == [(w, m) for w in ("a", "b") for m in methods]
+
+
+def test_bernoulli_bound_draws_rows_of_events(spark, tables):
+    """A table without rows of success at this seed gives no success: the draws come from the rows, not from made-up numbers."""
+    from pyspark.sql import functions as F
+
+    from ccspark.plans import verify
+
+    draws = spark.range(100_000).select(F.col("id").alias("event_id"), (F.pmod(F.xxhash64("id", F.lit(0)), F.lit(1 << 53)) / float(1 << 53) < 0.01).alias("hit"))
+    share, bound = verify.bernoulli_bound(draws, "event_id", 50, 0.01)
+    assert bound == pytest.approx(0.25) and abs(share - (1 - 0.99**50)) < 0.05
+    assert verify.bernoulli_bound(draws.where("not hit"), "event_id", 50, 0.01)[0] == 0
+    d = tables(events=([(r.event_id,) for r in draws.where("not hit").limit(500).collect()], "event_id long"))
+    assert run(spark, "verify_bernoulli_bound", d) == [(False,)]
