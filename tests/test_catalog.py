@@ -78,3 +78,9 @@ def test_bernoulli_bound_draws_rows_of_events(spark, tables):
     assert verify.bernoulli_bound(draws.where("not hit"), "event_id", 50, 0.01)[0] == 0
     d = tables(events=([(r.event_id,) for r in draws.where("not hit").limit(500).collect()], "event_id long"))
     assert run(spark, "verify_bernoulli_bound", d) == [(False,)]
+
+
+def test_band_join_at_the_edge_of_bins(spark, tables):
+    """0.5 and the number under 0.25 differ by 0.25 as doubles do, and lie two bins apart."""
+    d = tables(part=([(1, 0.24999999999999997), (2, 0.5), (3, 0.5), (4, None), (5, 0.76), (6, 0.6), (0, 0.9)], "p_partkey long, p_retailprice double"))
+    assert run(spark, "op_band_join", d) == [(0, 5), (1, 2), (1, 3), (2, 3), (2, 6), (3, 6), (5, 6)]
