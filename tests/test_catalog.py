@@ -45,6 +45,18 @@ def test_full_cluster_of_a_large_host(spark, tables):
     assert run(spark, "full_cluster__pagehost", d) == [(i, 0 if i < 5 else 5) for i in range(405)]
 
 
+def test_full_cluster_sends_no_sets_in_vain(spark):
+    """The star's first round is under the bound and its second far over it: its square is never sent. A path stays under it and is not contracted."""
+    from ccspark.plans.runner import connected_components
+
+    star = spark.createDataFrame([(0, i) for i in range(1, 400)] + [(500, 501)], "src long, dst long")
+    got = connected_components(star, method="full_cluster", beyond="contract", max_pairs=200_000)
+    assert {r.vertex: r.component for r in got.assignment.collect()} == dict.fromkeys(range(400), 0) | {500: 500, 501: 500}
+    assert got.phase_stats[0].finished_by == "contraction" and sum(s.records_sent for s in got.phase_stats) < 20_000
+    path = connected_components(spark.createDataFrame([(i, i + 1) for i in range(20)], "src long, dst long"), method="full_cluster", beyond="contract", max_pairs=200_000)
+    assert not any(s.finished_by for s in path.phase_stats) and {r.component for r in path.assignment.collect()} == {0}
+
+
 def test_grid_builds_each_graph_once(spark, monkeypatch):
     """The rows are those of single runs, in their order; a run that outgrows its bound is marked and the others go on."""
     from ccspark.plans import runner
