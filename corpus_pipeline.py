@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ccspark.llm import byte_bpe, decontaminate, line_dedup, near_dups, quality
+from ccspark.llm.common import small_batches
 from ccspark.plans.ship import ship
 from ccspark.plans.store import Scratch, transient
 
@@ -18,6 +19,7 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Lines of ten or more documents go, in every document; ``n_chars`` follows the text."""
     ship(spark)
+    small_batches(spark)
     state = line_dedup.LineState(spark).insert(docs)
     out = line_dedup.apply_state(docs, state, columns=docs.columns)
     if "n_chars" in docs.columns:
@@ -28,12 +30,14 @@ def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of documents alike in four fifths of their five-word runs, directly or by others between, the first stays."""
     ship(spark)
+    small_batches(spark)
     return near_dups.keep_one(docs)
 
 
 def decontaminate_docs(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold a benchmark item go."""
     ship(spark)
+    small_batches(spark)
     return decontaminate.clean(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
@@ -42,6 +46,7 @@ def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
     ship(spark)
+    small_batches(spark)
     return byte_bpe.encode(docs, public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
 
 

@@ -120,3 +120,29 @@ def test_pipeline_equals_plain_stages(spark, tmp_path):
     assert sorted((r.doc_id or 0, list(r.ids), r.decoded) for r in steps[4]) == sorted((d or 0, encoding.encode_ordinary(t), t) for d, t in steps[3])
     whole = corpus_pipeline.run(spark, folder)
     assert sorted((r.doc_id or 0, list(r.ids)) for r in whole.collect()) == sorted((r.doc_id or 0, list(r.ids)) for r in steps[4])
+
+
+def test_stages_bound_the_bytes_of_a_batch(spark):
+    """15 MB of texts in one partition reach Python in parts, none lost; a bound that is lower stays."""
+    import corpus_pipeline
+
+    from ccspark.llm import common
+
+    def sizes(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([b.num_rows]), pa.array([b.nbytes])], names=["n", "bytes"])
+
+    docs = spark.range(3000).coalesce(1).selectExpr("id as doc_id", "repeat('some words ', 460) as text")
+    key = common._BATCH_CONF
+    spark.conf.unset(key)
+    try:
+        corpus_pipeline.encode(spark, docs, "")
+        got = docs.mapInArrow(sizes, "n long, bytes long").collect()
+        assert sum(r.n for r in got) == 3000 and max(r.bytes for r in got) < 2 * common.BATCH_BYTES
+        spark.conf.set(key, "1m")
+        corpus_pipeline.encode(spark, docs, "")
+        assert spark.conf.get(key) == "1m"
+    finally:
+        spark.conf.unset(key)
