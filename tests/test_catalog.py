@@ -96,3 +96,23 @@ def test_band_join_at_the_edge_of_bins(spark, tables):
     """0.5 and the number under 0.25 differ by 0.25 as doubles do, and lie two bins apart."""
     d = tables(part=([(1, 0.24999999999999997), (2, 0.5), (3, 0.5), (4, None), (5, 0.76), (6, 0.6), (0, 0.9)], "p_partkey long, p_retailprice double"))
     assert run(spark, "op_band_join", d) == [(0, 5), (1, 2), (1, 3), (2, 3), (2, 6), (3, 6), (5, 6)]
+
+
+def test_band_join_of_groups(spark, monkeypatch):
+    """Bins of several groups, values below zero, equal rows; single pairs go through no exchange."""
+    from ccspark.operators import edges
+    from ccspark.plans.metrics import Traffic
+
+    monkeypatch.setattr(edges, "BAND_ROWS", 8, raising=False)
+    rows = [(i * 7919 % 600, (i * i % 41) / 10 - 2) for i in range(600)] + [(5, 0.0), (5, 0.0), (900, 1e6), (901, 1e6 + 0.25)]
+    df = spark.createDataFrame(rows, "k long, x double").coalesce(1)
+    want = sorted((min(a, b), max(a, b)) for i, (a, x) in enumerate(rows) for b, y in rows[:i] if a != b and abs(x - y) <= 0.25)
+    threshold = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        traffic = Traffic(spark)
+        assert sorted(tuple(r) for r in edges.band_join(df, "k", "x", 0.25).collect()) == want
+        sent = traffic.take()["records"]
+        assert sent < 2 * len(rows) < len(want)
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", threshold)
