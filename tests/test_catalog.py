@@ -116,3 +116,23 @@ def test_band_join_of_groups(spark, monkeypatch):
         assert sent < 2 * len(rows) < len(want)
     finally:
         spark.conf.set("spark.sql.autoBroadcastJoinThreshold", threshold)
+
+
+def test_min_hub_sends_each_pair_once(spark):
+    """Of a minimum and a member one direction goes through the exchange; the settings for the joins are put back."""
+    from ccspark.plans.runner import connected_components
+
+    name = "spark.sql.adaptive.maxShuffledHashJoinLocalMapThreshold"
+    before = spark.conf.get(name)
+    edges = [(i, i * 37 % 211 + 300) for i in range(300)] + [(1000 + i, 1001 + i) for i in range(60)]
+    with catalog._hash_joins(spark):
+        assert spark.conf.get(name) != before
+        got = connected_components(spark.createDataFrame(edges, "src long, dst long").coalesce(1), method="min_hub")
+    assert spark.conf.get(name) == before
+    low = {v: v for e in edges for v in e}
+    for _ in range(100):
+        for a, b in edges:
+            low[a] = low[b] = min(low[a], low[b])
+    assert {r.vertex: r.component for r in got.assignment.collect()} == low
+    sent = sum(s.records_sent for s in got.phase_stats)
+    assert sent < 28_000
